@@ -6,11 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sift.llm import neardup, packing
+from sift.llm import decontam, lm, neardup, packing
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_best_fit_packing": packing.op3_best_fit_packing,
+    "op5_benchmark_decontamination": decontam.op5_benchmark_decontamination,
+    "op9_lm_scoring": lm.op9_lm_scoring,
     "op10_simhash_near_dedup": neardup.op10_simhash_near_dedup,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op5_benchmark_decontamination": decontam.ORACLE,
+}
