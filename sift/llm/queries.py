@@ -6,11 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sift.llm import decontam, lm, neardup, packing
+from sift.llm import decontam, lm, neardup, packing, quality, secrets
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_quality_rules": quality.op1_quality_rules,
     "op3_best_fit_packing": packing.op3_best_fit_packing,
     "op5_benchmark_decontamination": decontam.op5_benchmark_decontamination,
+    "op6_secret_scans": secrets.op6_secret_scans,
     "op9_lm_scoring": lm.op9_lm_scoring,
     "op10_simhash_near_dedup": neardup.op10_simhash_near_dedup,
 }
