@@ -10,6 +10,7 @@ until one task is left. Only lengths travel, never tokens.
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -28,16 +29,21 @@ TASK_PIECES = 20_000
 FAN_IN = 8
 #: Bins with the widest residuals that accompany each group's half-empty ones.
 HOSTS = 16
-#: Words whose ids a worker keeps at most; beyond, it starts over.
-CACHE_WORDS = 600_000
+#: Words, and runs of letters or signs, whose ids a worker keeps at most; beyond, it starts over.
+CACHE_WORDS = 400_000
+CACHE_RUNS = 800_000
+#: A word that the pre-tokenizer breaks into just these two: letters that composing leaves alone, and ASCII signs.
+_TWO = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([!-&(-/:-@\\[-`{-~]*)")
 
 _encoders: dict[str, "WordEncoder"] = {}
 
 
 class WordEncoder:
-    """Ids by a tokenizer whose pre-tokenizer breaks at white space: each word is encoded once and remembered.
+    """Ids by a tokenizer that lower-cases and whose pre-tokenizer breaks at white space, letters and signs.
 
-    Words are split at ASCII white space only, which that tokenizer drops; any other stays inside a word.
+    Words are split at ASCII white space only, which that tokenizer drops; any other stays inside a word. A new word of
+    plain letters and signs gets the ids of its letters, lower-cased, and of its signs; any other is encoded whole. A
+    sign run with ``<`` and ``|`` around letters never matches that form, so special tokens are found as in whole texts.
     """
 
     def __init__(self, path: str):
@@ -46,17 +52,48 @@ class WordEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[bytes, bytes] = {}
+        self.runs: dict[str, bytes] = {"": b""}
+        self.closing = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        self.closing[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
+
+    def _learn(self, words: list[bytes]) -> None:
+        """Ids of new words."""
+        if len(self.runs) > CACHE_RUNS:
+            self.runs = {"": b""}
+        split, runs = [], self.runs
+        fresh: set[str] = set()
+        for w in words:
+            m = _TWO.fullmatch(t := w.decode())
+            if m:
+                pair = (m[1].lower(), m[2])
+                fresh.update(pair)
+            else:
+                pair = (t, "")
+                if t not in runs:
+                    runs[t] = np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+            split.append(pair)
+        self._learn_runs([r for r in fresh if r not in runs])
+        self.known.update((w, runs[a] + runs[b]) for w, (a, b) in zip(words, split, strict=True))
+
+    def _learn_runs(self, runs: list[str]) -> None:
+        """Ids of new runs of letters or of signs, many in one text: each ends with the one token that closes a word."""
+        for at in range(0, len(runs), 20_000):
+            some = runs[at : at + 20_000]
+            found = self.tokenizer.encode_batch_fast([" ".join(some[k : k + 200]) for k in range(0, len(some), 200)], add_special_tokens=False)
+            ids = np.concatenate([np.array(e.ids, "<u4") for e in found])
+            ends = (4 * (np.flatnonzero(self.closing[ids]) + 1)).tolist()
+            raw = ids.tobytes()
+            self.runs.update((r, raw[a:b]) for r, a, b in zip(some, [0, *ends], ends, strict=False))
+            if len(ends) != len(some):
+                raise ValueError("the tokenizer doesn't close each word by one token")
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Each text's ids as little-endian unsigned 32-bit integers."""
         words = [(t or "").encode().split() for t in texts]
+        fresh = set().union(*words)
         if len(self.known) > CACHE_WORDS:
             self.known.clear()
-        fresh = [w for w in set().union(*words) if w not in self.known]
-        for at in range(0, len(fresh), 4096):
-            part = fresh[at : at + 4096]
-            found = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
-            self.known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(part, found, strict=True))
+        self._learn([w for w in fresh if w not in self.known])
         get = self.known.__getitem__
         return [b"".join(map(get, ws)) for ws in words]
 
