@@ -18,7 +18,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sift.llm.textbatch import slices
@@ -58,15 +58,21 @@ def _fingerprint_batches(shingle: int, seed: int):
         for batch in batches:
             for part in slices(batch, "text"):
                 found = np.array([text_fingerprint(t, shingle, seed) for t in part.column("text").to_pylist()], np.uint64)
-                yield pa.RecordBatch.from_arrays([part.column("doc"), pa.array(found.view(np.int64))], ["doc", "fp"])
+                yield pa.RecordBatch.from_arrays([part.column("doc"), part.column("key"), pa.array(found.view(np.int64))], ["doc", "key", "fp"])
 
     return run
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE_WORDS, seed: int = SEED) -> DataFrame:
-    """(doc, fp): one row per row of ``docs``; fp is the fingerprint as a signed 64-bit integer."""
+    """(doc, key, fp): one row per row of ``docs``; fp is the fingerprint as a signed 64-bit integer, key a hash of the text."""
     ship_package(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text")).mapInArrow(_fingerprint_batches(shingle, seed), "doc long, fp long")
+    text = F.col(text_col).cast("string")
+    return docs.select(F.col(id_col).cast("long").alias("doc"), text_key(text).alias("key"), text.alias("text")).mapInArrow(_fingerprint_batches(shingle, seed), "doc long, key long, fp long")
+
+
+def text_key(text: Column) -> Column:
+    """With the id, tells rows apart that repeat an id."""
+    return F.xxhash64(text)
 
 
 def _pair_links(fp: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
@@ -179,19 +185,30 @@ def components(links: DataFrame, label: str = "cc") -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """(doc, fp, component): every row of ``docs`` with its fingerprint and the smallest id of its component.
+    """(doc, key, fp, root, component): every row of ``docs`` with its fingerprint, its component and the smallest id there.
 
-    Null or wordless texts have fingerprint zero and are linked like any other. Repeated rows share their component;
-    a null id takes no part in the minimum (a component of null ids only has a null component). An empty table gives
-    an empty result. Other columns of ``docs`` are not looked at.
+    root names the component by one of its fingerprints. Null or wordless texts have fingerprint zero and are linked
+    like any other. Repeated rows share their component; a null id takes no part in the minimum (a component of null ids
+    only has a null component). An empty table gives an empty result. Other columns of ``docs`` are not looked at.
     """
     marked = materialise(fingerprints(docs, id_col, text_col), "simhash")
     least = marked.groupBy("fp").agg(F.min("doc").alias("least"))
     roots = components(near_links(marked, radius))
     placed = least.join(roots, least.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = placed.groupBy("root").agg(F.min("least").alias("component"))
-    of = materialise(placed.join(named, "root").select("fp", "component"), "simhash-of")
-    return marked.join(of, "fp").select("doc", "fp", "component")
+    of = materialise(placed.join(named, "root").select("fp", "root", "component"), "simhash-of")
+    return marked.join(of, "fp").select("doc", "key", "fp", "root", "component")
+
+
+def without_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
+    """``docs`` with one row of each component: that of the smallest id (rows without an id come last, then by text)."""
+    found = near_duplicates(docs, id_col, text_col, radius)
+    keep = found.groupBy("root").agg(F.min(F.struct(F.col("doc").isNull().alias("late"), "doc", "key")).alias("_k")).select(F.col("_k.doc").alias("_keep_doc"), F.col("_k.key").alias("_keep_key"))
+    keep = materialise(keep, "simhash-keep")
+    rows = docs.join(keep, docs[id_col].cast("long").eqNullSafe(F.col("_keep_doc")) & (text_key(docs[text_col].cast("string")) == F.col("_keep_key")), "left_semi")
+    # Only where the kept rows themselves are repeated has anything to be compared.
+    repeated = found.groupBy("doc", "key").agg(F.count("*").alias("n")).where("n > 1").join(keep, F.col("doc").eqNullSafe(F.col("_keep_doc")) & (F.col("key") == F.col("_keep_key")), "left_semi")
+    return rows.dropDuplicates([id_col, text_col]) if repeated.take(1) else rows
 
 
 def op10_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:
