@@ -199,12 +199,11 @@ def learn_from(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_
         docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
         .join(F.broadcast(chosen), "_id")  # at most ``sample`` rows
         .withColumn("_s", s)
-        .where(~base_failed(F.col("_s")))
-        .select("_id", F.pmod(F.xxhash64("_id", F.lit(1)), F.lit(3)).alias("_fold"), (F.col("_label") == 0).alias("_bad"), features(F.col("_text"), F.col("_s")).alias("_f"))
-        .limit(2 * sample)
+        .select(base_failed(F.col("_s")).alias("_failed"), "_id", F.pmod(F.xxhash64("_id", F.lit(1)), F.lit(3)).alias("_fold"), (F.col("_label") == 0).alias("_bad"), features(F.col("_text"), F.col("_s")).alias("_f"))
         .collect()
     )
-    return learn([(r["_f"].asDict(), r["_bad"], r["_fold"]) for r in sorted(rows, key=lambda r: (r["_id"], r["_bad"]))])
+    # A filter on the statistics in the plan would sink below the join and compute them for every text.
+    return learn([(r["_f"].asDict(), r["_bad"], r["_fold"]) for r in sorted(rows, key=lambda r: (r["_id"], r["_bad"])) if not r["_failed"]])
 
 
 def judged(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
