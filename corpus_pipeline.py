@@ -16,7 +16,7 @@ from sift.runtime import scratch_path
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that fail the base or meet a learned rule go."""
     rules = quality.learn_from(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return quality.judged(docs, rules).where("_quality.kept").select(*docs.columns)
+    return quality.kept(docs, rules)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

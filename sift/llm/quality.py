@@ -206,20 +206,31 @@ def learn_from(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_
     return learn([(r["_f"].asDict(), r["_bad"], r["_fold"]) for r in sorted(rows, key=lambda r: (r["_id"], r["_bad"])) if not r["_failed"]])
 
 
+def verdicts(text: Column, rules: list[Rule]) -> Column:
+    """Struct of the statistics, base_failed, rule (0: none holds) and kept, as one expression that evaluates each part once."""
+
+    def of(s: Column) -> Column:
+        failed = base_failed(s)
+        parts = [s[k].alias(k) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
+        rule = let(features(text, s), lambda f: verdict(rules, f)) if rules else F.lit(0)
+        return let(rule, lambda r: F.struct(*parts, failed.alias("base_failed"), r.alias("rule"), (~failed & (r == 0)).alias("kept")))
+
+    return let(statistics(text), of)
+
+
 def judged(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
     """``docs`` with a struct column _quality: the statistics, base_failed, rule (0: none holds) and kept.
 
     A null or empty text has no words and fails the base. Other columns are carried along untouched, so none of them
-    may be called _quality or _s.
+    may be called _quality. To filter on it use ``kept``: a plain filter would sink below and evaluate all of it again.
     """
-    text = F.col(f"`{text_col}`").cast("string")
-    with_s = docs.withColumn("_s", statistics(text))
-    s = F.col("_s")
-    rule = verdict(rules, features(text, s)) if rules else F.lit(0)
-    failed = base_failed(s)
-    parts = [s[k].alias(k) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
-    whole = let(rule, lambda r: F.struct(*parts, failed.alias("base_failed"), r.alias("rule"), (~failed & (r == 0)).alias("kept")))
-    return with_s.withColumn("_quality", whole).drop("_s")
+    return docs.withColumn("_quality", verdicts(F.col(f"`{text_col}`").cast("string"), rules))
+
+
+def kept(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that pass. The verdict is exploded from an array of one or none, so it is evaluated once."""
+    passed = F.filter(F.array(verdicts(F.col(f"`{text_col}`").cast("string"), rules)), lambda q: q["kept"])
+    return docs.select("*", F.explode(F.transform(passed, lambda q: F.lit(1))).alias("_kept")).drop("_kept")
 
 
 def op1_quality_rules(spark, sf_dir: str) -> DataFrame:
