@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sift.llm import decontam, neardup, packing, quality, secrets
+from sift.llm.expr import fresh
 from sift.runtime import scratch_path
 
 
@@ -26,18 +27,20 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents contaminated by the benchmark go."""
-    found = decontam.contamination(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), carry=docs.columns)
-    return found.where("not contaminated").select(*docs.columns)
+    mark = fresh(docs, "_found")
+    found = decontam.contamination(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), carry=docs.columns, name=mark)
+    return found.where(~F.col(f"{mark}.contaminated")).drop(mark)
 
 
 def secret_masking(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Secrets are masked in the text, and its length follows; every document stays."""
-    found = secrets.scanned(docs, secrets.train(docs))
-    clean = secrets.masked(F.col("text"), F.concat("_secrets.base", "_secrets.added"))
-    out = found.withColumn("text", clean)
+    mark = fresh(docs, "_found")
+    found = secrets.scanned(docs, secrets.train(docs), name=mark)
+    spans = F.concat(f"{mark}.base", f"{mark}.added")
+    out = found.withColumn("text", secrets.masked(F.col("text"), spans))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.size("_secrets.base") + F.size("_secrets.added") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+        out = out.withColumn("n_chars", F.when(F.size(spans) > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return out.drop(mark)
 
 
 def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -9,7 +9,6 @@ of words, so that every step is one vector operation.
 
 from __future__ import annotations
 
-import hashlib
 import re
 from collections.abc import Iterator
 
@@ -18,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from sift.llm.expr import let
 from sift.llm.textbatch import ASCII_LOWER, flat, slices, word_bounds, word_keys
 from sift.runtime import ship_package
 
@@ -162,8 +162,8 @@ def _hit_words(spans: str) -> str:
     return f"aggregate({sorted_}, struct(0L AS n, 0 AS up), (s, x) -> struct(s.n + greatest(0, x.b - greatest(s.up, x.a)) AS n, greatest(s.up, x.b) AS up), s -> s.n)"
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None) -> DataFrame:
-    """The ``carry`` columns of ``docs`` (default: all but the text), then n_words, n_hit, items (sorted), spans, contaminated.
+def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None, name: str = "contamination") -> DataFrame:
+    """The ``carry`` columns of ``docs`` (default: all but the text), then a struct of n_words, n_hit, items (sorted), spans, contaminated.
 
     spans are the word intervals that occurrences cover, merged where they meet in order. A null text has no words; a
     null item id marks words as hit but is in no list of items; repeated item ids count once. The benchmark is the
@@ -188,19 +188,15 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
             state = state.withColumn("_spans", F.concat("_had", "_spans")).withColumn("_items", F.array_union("_had_items", "_items"))
         if k < blocks - 1:
             state = state.withColumn("_had", F.col("_spans")).withColumn("_had_items", F.col("_items")).drop("_spans", "_items", "_n")
-    hit = state.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(carry)), F.col("_n").alias("n_words"), F.expr(f"CASE WHEN size(_spans) = 0 THEN 0L ELSE {_hit_words('_spans')} END").alias("n_hit"), F.array_sort("_items").alias("items"), F.col("_spans").alias("spans"))
-    return hit.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
-
-
-def items_digest(ids: list[str]) -> str:
-    """Lowercase hex SHA-256 of the comma-joined ids."""
-    return hashlib.sha256(",".join(ids).encode()).hexdigest()
+    n_hit = F.expr(f"CASE WHEN size(_spans) = 0 THEN 0L ELSE {_hit_words('_spans')} END")
+    told = let(n_hit, lambda h: F.struct(F.col("_n").alias("n_words"), h.alias("n_hit"), F.array_sort("_items").alias("items"), F.col("_spans").alias("spans"), ((h > 0) & (20 * h >= F.col("_n"))).alias("contaminated")))
+    return state.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(carry)), told.alias(name))
 
 
 def op5_benchmark_decontamination(spark, sf_dir: str) -> DataFrame:
     """Contamination of every document by the whole benchmark."""
     docs, bench = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "benchmark"))
-    found = contamination(docs, bench, carry=["doc_id"])
+    found = contamination(docs, bench, carry=["doc_id"]).select("doc_id", "contamination.*")
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), "contaminated")
 
 

@@ -205,7 +205,7 @@ def without_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: s
     found = near_duplicates(docs, id_col, text_col, radius)
     keep = found.groupBy("root").agg(F.min(F.struct(F.col("doc").isNull().alias("late"), "doc", "key")).alias("_k")).select(F.col("_k.doc").alias("_keep_doc"), F.col("_k.key").alias("_keep_key"))
     keep = materialise(keep, "simhash-keep")
-    rows = docs.join(keep, docs[id_col].cast("long").eqNullSafe(F.col("_keep_doc")) & (text_key(docs[text_col].cast("string")) == F.col("_keep_key")), "left_semi")
+    rows = docs.join(keep, docs[id_col].cast("long").eqNullSafe(keep["_keep_doc"]) & (text_key(docs[text_col].cast("string")) == keep["_keep_key"]), "left_semi")
     # Only where the kept rows themselves are repeated has anything to be compared.
     repeated = found.groupBy("doc", "key").agg(F.count("*").alias("n")).where("n > 1").join(keep, F.col("doc").eqNullSafe(F.col("_keep_doc")) & (F.col("key") == F.col("_keep_key")), "left_semi")
     return rows.dropDuplicates([id_col, text_col]) if repeated.take(1) else rows

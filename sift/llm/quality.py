@@ -15,7 +15,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sift.llm.expr import let
+from sift.llm.expr import fresh, let
 
 SPACE = r"[\x20\x09-\x0D]+"
 WINDOW = 8
@@ -218,19 +218,20 @@ def verdicts(text: Column, rules: list[Rule]) -> Column:
     return let(statistics(text), of)
 
 
-def judged(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
-    """``docs`` with a struct column _quality: the statistics, base_failed, rule (0: none holds) and kept.
+def judged(docs: DataFrame, rules: list[Rule], text_col: str = "text", name: str = "_quality") -> DataFrame:
+    """``docs`` with a struct column: the statistics, base_failed, rule (0: none holds) and kept.
 
-    A null or empty text has no words and fails the base. Other columns are carried along untouched, so none of them
-    may be called _quality. To filter on it use ``kept``: a plain filter would sink below and evaluate all of it again.
+    A null or empty text has no words and fails the base. Other columns are carried along untouched; none may be called
+    ``name``. To filter on it use ``kept``: a plain filter would sink below and evaluate all of it again.
     """
-    return docs.withColumn("_quality", verdicts(F.col(f"`{text_col}`").cast("string"), rules))
+    return docs.withColumn(name, verdicts(F.col(f"`{text_col}`").cast("string"), rules))
 
 
 def kept(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that pass. The verdict is exploded from an array of one or none, so it is evaluated once."""
     passed = F.filter(F.array(verdicts(F.col(f"`{text_col}`").cast("string"), rules)), lambda q: q["kept"])
-    return docs.select("*", F.explode(F.transform(passed, lambda q: F.lit(1))).alias("_kept")).drop("_kept")
+    mark = fresh(docs, "_kept")
+    return docs.select("*", F.explode(F.transform(passed, lambda q: F.lit(1))).alias(mark)).drop(mark)
 
 
 def op1_quality_rules(spark, sf_dir: str) -> DataFrame:

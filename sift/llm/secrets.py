@@ -15,7 +15,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sift.llm.expr import let
+from sift.llm.expr import fresh, let
 
 #: Fixed patterns: kind, pattern, number of the group that has to be long, its least length.
 BASE = (
@@ -97,13 +97,13 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> li
     return ratio
 
 
-def random_spans(text: Column) -> Column:
-    """Spans of candidate runs whose log-likelihood ratio, by the column _ratio, passes the margin."""
+def random_spans(text: Column, ratio: Column) -> Column:
+    """Spans of candidate runs whose log-likelihood ratio, by the table ``ratio``, passes the margin."""
     width = len(ALPHABET)
 
     def likely(x: Column) -> Column:
         codes = F.transform(F.split(x["value"], ""), lambda c: F.instr(F.lit(ALPHABET), c) - 1)
-        total = let(codes, lambda k: F.aggregate(F.transform(k, lambda c, i: F.when(F.get(k, i + 1).isNull(), F.lit(0.0)).otherwise(F.get(F.col("_ratio"), c * width + F.get(k, i + 1)))), F.lit(0.0), lambda a, v: a + v))
+        total = let(codes, lambda k: F.aggregate(F.transform(k, lambda c, i: F.when(F.get(k, i + 1).isNull(), F.lit(0.0)).otherwise(F.get(ratio, c * width + F.get(k, i + 1)))), F.lit(0.0), lambda a, v: a + v))
         n = F.length(x["value"]) - 1
         return x["value"].rlike("[0-9]") & x["value"].rlike("[A-Za-z]") & (total >= F.greatest(F.lit(MARGIN), MARGIN_EACH * n))
 
@@ -114,17 +114,18 @@ def _overlaps(a: Column, b: Column) -> Column:
     return (a["start"] < b["end"]) & (b["start"] < a["end"])
 
 
-def scanned(docs: DataFrame, ratio: list[float], text_col: str = "text") -> DataFrame:
-    """``docs`` with _secrets: struct of base and added (arrays of start, rank, end, value), in code points.
+def scanned(docs: DataFrame, ratio: list[float], text_col: str = "text", name: str = "_secrets") -> DataFrame:
+    """``docs`` with a struct column of base and added (arrays of start, rank, end, value), in code points.
 
     rank 0 assign, 1 access, 2 hex, 3 random; an added span overlaps no base span. A null text is empty. Other columns
-    are carried along untouched, so none of them may be called _secrets, _base or _ratio.
+    are carried along untouched; none may be called ``name``.
     """
     text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
+    held, base = fresh(docs, "_ratio"), fresh(docs, "_base")
     table = F.split(F.lit(",".join(repr(x) for x in ratio)), ",").cast("array<double>")  # one literal, folded once
-    marked = docs.withColumn("_ratio", table).withColumn("_base", base_spans(text))
-    added = F.filter(random_spans(text), lambda x: ~F.exists(F.col("_base"), lambda b: _overlaps(x, b)))
-    return marked.withColumn("_secrets", F.struct(F.col("_base").alias("base"), added.alias("added"))).drop("_base", "_ratio")
+    marked = docs.withColumn(held, table).withColumn(base, base_spans(text))
+    added = F.filter(random_spans(text, F.col(held)), lambda x: ~F.exists(F.col(base), lambda b: _overlaps(x, b)))
+    return marked.withColumn(name, F.struct(F.col(base).alias("base"), added.alias("added"))).drop(base, held)
 
 
 def spelled(spans: Column) -> Column:
