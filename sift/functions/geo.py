@@ -83,12 +83,13 @@ class Region:
             near = f"{b}.x0 <= {self.x1!r}D AND {b}.x1 >= {self.x0!r}D AND {b}.y0 <= {self.y1!r}D AND {b}.y1 >= {self.y0!r}D"
             if self.circle:
                 cx, cy, r = self.circle
-                dx, dy = (f"greatest({b}.{a}0 - {c!r}D, 0D, {c!r}D - {b}.{a}1)" for a, c in (("x", cx), ("y", cy)))
+                # An upper bound of NaN hides the numbers below it: nothing is known on that side.
+                dx, dy = (f"greatest({b}.{a}0 - {c!r}D, 0D, nanvl({c!r}D - {b}.{a}1, 0D))" for a, c in (("x", cx), ("y", cy)))
                 near += f" AND {dx} * {dx} + {dy} * {dy} <= {r * r * (1 + 1e-9)!r}D"
             return near
         corners = [f"({b}.x{i} - {px!r}D) * {qy - py!r}D - ({b}.y{j} - {py!r}D) * {qx - px!r}D" for i in "01" for j in "01" for (px, py), (qx, qy) in zip(self.ring, self.ring[1:] + self.ring[:1], strict=True)]
         # Strictly on the inner side of every edge, for either direction of the ring: then the whole box is inside.
-        return f"NOT (greatest({', '.join(corners)}) < 0 OR least({', '.join(corners)}) > 0)"
+        return f"(isnan({b}.x1) OR isnan({b}.y1) OR NOT (greatest({', '.join(corners)}) < 0 OR least({', '.join(corners)}) > 0))"
 
 
 def region_of(node: Node, x: str, y: str) -> Region | None:

@@ -86,6 +86,7 @@ def bind(kinds: Iterable[SummaryKind], source: LakeSource, spark: SparkSession)
 def build_summaries(spark: SparkSession, source: LakeSource, kinds: list[SummaryKind], store: SummaryStore, *, mode: str = "replace", only: DataFrame | None = None) -> BuildReport:
     """Build all ``kinds`` of a data set together and commit them to ``store``; ``only`` (path) limits it to some objects."""
     began = time.time()
+    kinds = list({k.index: k for k in kinds}.values())  # kinds that differ in what they match share a summary
     df, listed = source.read(spark), source.listing(spark)
     if only is not None:
         df = df.where(F.col("_metadata.file_path").isin([r.path for r in only.select("path").collect()]))
