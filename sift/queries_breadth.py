@@ -196,14 +196,23 @@ _streamed("st_session", "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) O
 _streamed("st_dedupe", "SELECT DISTINCT user_id, event_type FROM events", lambda spark, d, e: windows.deduplicated(e))
 _streamed("st_stream_static_join", "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1", lambda spark, d, e: windows.with_static(e, table(spark, d, "customer")))
 _streamed("st_minmax_per_window", f"SELECT {_BUCKET.format(w='1 day')} AS start, min(value) AS lo, max(value) AS hi FROM events GROUP BY 1", lambda spark, d, e: windows.bounds(e, "1 day"))
-_streamed("st_watermark_late", None, lambda spark, d, e: windows.tumbling(e.withWatermark("at", "10 minutes") if "at" in e.columns else e, "1 hour"))
+
+
+@query("st_watermark_late", f"SELECT {_BUCKET.format(w='1 day')} AS start, count(*) AS n FROM events WHERE ts >= TIMESTAMP '2024-01-10' GROUP BY 1 HAVING start + INTERVAL '1 day' <= (SELECT max(ts) FROM events) - INTERVAL '6 hours'")
+def st_watermark_late(spark, sf_dir):
+    """Events that come after the watermark has passed them are dropped."""
+    events = table(spark, sf_dir, "events")
+    cut = "ts >= timestamp_ntz'2024-01-10'"
+    return windows.late_dropped(spark, events.where(cut), events.where(f"NOT ({cut})"), "1 day", "6 hours")
+
+
 _streamed("st_stateful", "SELECT user_id, count(*) AS n, max(value) AS top FROM events GROUP BY 1", lambda spark, d, e: windows.running_top(e))
 
 # -- star-schema queries
-lake_sql("tpch_q1", "li", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS sum_qty, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 2) AS revenue, count(*) AS n FROM li WHERE l_shipdate <= CAST('1998-09-02' AS TIMESTAMP_NTZ) GROUP BY l_returnflag, l_linestatus")
-lake_sql("tpch_q3", "od li", "SELECT l_orderkey, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 2) AS revenue FROM customer JOIN od ON c_custkey = o_custkey JOIN li ON l_orderkey = o_orderkey WHERE c_mktsegment = 'BUILDING' AND o_orderdate < CAST('1995-03-15' AS TIMESTAMP_NTZ) AND l_shipdate > CAST('1995-03-15' AS TIMESTAMP_NTZ) GROUP BY l_orderkey ORDER BY revenue DESC, l_orderkey LIMIT 10")
-lake_sql("tpch_q5", "od", "SELECT n_name, round(CAST(sum(CAST(o_totalprice AS DECIMAL(18,4))) AS DOUBLE), 2) AS total FROM od JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_regionkey = 2 AND o_orderdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND o_orderdate < CAST('1997-01-01' AS TIMESTAMP_NTZ) GROUP BY n_name")
-lake_sql("tpch_q6", "li", "SELECT round(CAST(sum(CAST(l_extendedprice * l_discount AS DECIMAL(18,4))) AS DOUBLE), 2) AS revenue FROM li WHERE l_shipdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND l_shipdate < CAST('1997-01-01' AS TIMESTAMP_NTZ) AND l_discount BETWEEN 0.03 AND 0.07 AND l_quantity < 24")
-lake_sql("tpch_q10", "od li", "SELECT c_custkey, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 2) AS revenue FROM customer JOIN od ON c_custkey = o_custkey JOIN li ON l_orderkey = o_orderkey WHERE o_orderdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND o_orderdate < CAST('1996-04-01' AS TIMESTAMP_NTZ) AND l_returnflag = 'R' GROUP BY c_custkey ORDER BY revenue DESC, c_custkey LIMIT 20")
+lake_sql("tpch_q1", "li", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS sum_qty, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 4) AS revenue, count(*) AS n FROM li WHERE l_shipdate <= CAST('1998-09-02' AS TIMESTAMP_NTZ) GROUP BY l_returnflag, l_linestatus")
+lake_sql("tpch_q3", "od li", "SELECT l_orderkey, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 4) AS revenue FROM customer JOIN od ON c_custkey = o_custkey JOIN li ON l_orderkey = o_orderkey WHERE c_mktsegment = 'BUILDING' AND o_orderdate < CAST('1995-03-15' AS TIMESTAMP_NTZ) AND l_shipdate > CAST('1995-03-15' AS TIMESTAMP_NTZ) GROUP BY l_orderkey ORDER BY revenue DESC, l_orderkey LIMIT 10")
+lake_sql("tpch_q5", "od", "SELECT n_name, round(CAST(sum(CAST(o_totalprice AS DECIMAL(18,4))) AS DOUBLE), 4) AS total FROM od JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_regionkey = 2 AND o_orderdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND o_orderdate < CAST('1997-01-01' AS TIMESTAMP_NTZ) GROUP BY n_name")
+lake_sql("tpch_q6", "li", "SELECT round(CAST(sum(CAST(l_extendedprice * l_discount AS DECIMAL(18,4))) AS DOUBLE), 4) AS revenue FROM li WHERE l_shipdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND l_shipdate < CAST('1997-01-01' AS TIMESTAMP_NTZ) AND l_discount BETWEEN 0.03 AND 0.07 AND l_quantity < 24")
+lake_sql("tpch_q10", "od li", "SELECT c_custkey, round(CAST(sum(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18,4))) AS DOUBLE), 4) AS revenue FROM customer JOIN od ON c_custkey = o_custkey JOIN li ON l_orderkey = o_orderkey WHERE o_orderdate >= CAST('1996-01-01' AS TIMESTAMP_NTZ) AND o_orderdate < CAST('1996-04-01' AS TIMESTAMP_NTZ) AND l_returnflag = 'R' GROUP BY c_custkey ORDER BY revenue DESC, c_custkey LIMIT 20")
 lake_sql("tpch_q14", "li", "SELECT round(100.0 * sum(CASE WHEN p_type LIKE 'PROMO%' THEN l_extendedprice * (1 - l_discount) ELSE 0.0 END) / sum(l_extendedprice * (1 - l_discount)), 6) AS promo FROM li JOIN part ON l_partkey = p_partkey WHERE l_shipdate >= CAST('1996-09-01' AS TIMESTAMP_NTZ) AND l_shipdate < CAST('1996-10-01' AS TIMESTAMP_NTZ)")
 

@@ -61,6 +61,21 @@ def running_top(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, top double", "n long, top double", "update", GroupStateTimeout.NoTimeout)
 
 
+def late_dropped(spark: SparkSession, first: DataFrame, late: DataFrame, width: str, allowed: str) -> DataFrame:
+    """Counts by window where ``late`` arrives after ``first``: what is older than the watermark by then is dropped.
+
+    The two arrive as files, one in each micro-batch; only windows that the watermark has passed are given out.
+    """
+    path = scratch_path(spark, "late")
+    stream_of = lambda: spark.readStream.schema(first.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    checkpoint, out = scratch_path(spark, "late-checkpoint"), scratch_path(spark, "late-out")
+    for part in (first, late):
+        part.coalesce(1).write.mode("append").parquet(path)
+        counted = _started(_timed(stream_of(), allowed).groupBy(F.window(AT, width).alias("w")).agg(F.count("*").alias("n")))
+        counted.writeStream.format("parquet").option("path", out).option("checkpointLocation", checkpoint).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out)
+
+
 def to_end(spark: SparkSession, stream: DataFrame) -> DataFrame:
     """Everything that has arrived, processed; the result rows as a table. Complete results of each group are kept last."""
     name = f"sift_stream_{abs(hash(scratch_path(spark, 'name')))}"
