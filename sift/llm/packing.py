@@ -30,8 +30,10 @@ FAN_IN = 8
 #: Bins with the widest residuals that accompany each group's half-empty ones.
 HOSTS = 16
 #: Words, and runs of letters or signs, whose ids a worker keeps at most; beyond, it starts over.
-CACHE_WORDS = 400_000
-CACHE_RUNS = 800_000
+CACHE_WORDS = 300_000
+CACHE_RUNS = 600_000
+#: Bytes of text that are encoded at once.
+ENCODE_BYTES = 2 << 20
 #: A word that the pre-tokenizer breaks into just these two: letters that composing leaves alone, and ASCII signs.
 _TWO = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*)([!-&(-/:-@\\[-`{-~]*)")
 
@@ -90,10 +92,10 @@ class WordEncoder:
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Each text's ids as little-endian unsigned 32-bit integers."""
         words = [(t or "").encode().split() for t in texts]
-        fresh = set().union(*words)
-        if len(self.known) > CACHE_WORDS:
-            self.known.clear()
-        self._learn([w for w in fresh if w not in self.known])
+        seen = set().union(*words)
+        if len(self.known) > CACHE_WORDS:  # what is in use now is likely to come again
+            self.known = {w: self.known[w] for w in seen if w in self.known}
+        self._learn([w for w in seen if w not in self.known])
         get = self.known.__getitem__
         return [b"".join(map(get, ws)) for ws in words]
 
@@ -112,7 +114,7 @@ def _cut(path: str, capacity: int, end_id: int, with_ids: bool):
         coder, at = encoder(path), TaskContext.get().partitionId() << 33
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", ENCODE_BYTES):
                 out: list[tuple] = []
                 for doc, ids in zip(part.column("doc").to_pylist(), coder.encode(part.column("text").to_pylist()), strict=True):
                     ids += end
