@@ -100,7 +100,8 @@ def url_verdicts(pages: DataFrame, outcomes: DataFrame, id_col: str = "page_id",
     """
     rows = pages.select(F.col(id_col).alias("id"), host_of(F.col(url_col).cast("string")).alias("host"), path_of(F.col(url_col).cast("string")).alias("path"))
     seen = rows.select("id", "host").join(outcomes.where("bad is not null").select("id", "bad"), "id").select("host", "bad")
-    known = reputations(rows.select("host").distinct(), seen)
+    # Stored, so that the join below has two plain exchanges, whose skewed partitions (a host with a third of all pages) can be split.
+    known = materialise(reputations(rows.select("host").distinct(), seen), "reputations")
     judged = rows.join(known, "host", "left")
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     own = F.when(F.col("bound") > limit, "block").otherwise("allow")
