@@ -123,8 +123,35 @@ def region_of(node: Node, x: str, y: str) -> Region | None:
     return None
 
 
+def _cross(p, q, r) -> float:
+    return (q[0] - p[0]) * (r[1] - p[1]) - (q[1] - p[1]) * (r[0] - p[0])
+
+
+def rings_intersect(a: Ring, b: Ring) -> bool:
+    """Whether two polygons share a point: edges cross, or one holds a corner of the other."""
+    edges = lambda r: zip(r, r[1:] + r[:1], strict=True)
+    for p, q in edges(a):
+        for r, s in edges(b):
+            if _cross(p, q, r) * _cross(p, q, s) <= 0 and _cross(r, s, p) * _cross(r, s, q) <= 0 and max(min(p[0], q[0]), min(r[0], s[0])) <= min(max(p[0], q[0]), max(r[0], s[0])) and max(min(p[1], q[1]), min(r[1], s[1])) <= min(max(p[1], q[1]), max(r[1], s[1])):
+                return True
+    one = lambda r, p: bool(contains_numpy(r, np.array([p[0]]), np.array([p[1]]))[0])
+    return one(a, b[0]) or one(b, a[0])
+
+
 def register(spark: SparkSession) -> None:
-    """st_contains(wkt, lat, lng), st_intersects(wkt, lat, lng), st_distance(lat, lng, lat', lng'): opaque vectorised functions."""
+    """st_contains(wkt, lat, lng), st_intersects(wkt, lat, lng), st_distance(lat, lng, lat', lng'), and for columns of shapes
+    st_shape_contains(shape, lat, lng), st_shape_intersects(wkt, shape): opaque vectorised functions."""
+
+    def corners(shape) -> Ring:
+        return tuple((p["x"], p["y"]) for p in shape)
+
+    @F.udf("boolean", useArrow=True)
+    def st_shape_contains(shape, lat, lng):
+        return None if shape is None else bool(contains_numpy(corners(shape), np.array([lng]), np.array([lat]))[0])
+
+    @F.udf("boolean", useArrow=True)
+    def st_shape_intersects(wkt, shape):
+        return None if shape is None else rings_intersect(ring_of(wkt), corners(shape))
 
     def inside(wkt: pd.Series, lat: pd.Series, lng: pd.Series) -> pd.Series:
         found = pd.Series(contains_numpy(ring_of(wkt.iloc[0]), lng.to_numpy(float), lat.to_numpy(float)), dtype=object)
@@ -146,3 +173,5 @@ def register(spark: SparkSession) -> None:
 
     for f in (st_contains, st_intersects, st_distance):
         spark.udf.register(f.__name__, f)
+    spark.udf.register("st_shape_contains", st_shape_contains)
+    spark.udf.register("st_shape_intersects", st_shape_intersects)

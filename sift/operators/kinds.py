@@ -10,8 +10,11 @@ import math
 import re
 from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import _parse_datatype_string
 
 from sift.functions import distance, geo
 from sift.plans.keep import KeepTest, SummaryTest
@@ -502,6 +505,59 @@ class RangeBits(SummaryKind):
             yield self.test(f"exists({{s}}.vs, x -> x BETWEEN {low} AND {high})")
 
 
+class ShapeBoxes(SummaryKind):
+    """The rectangle around all shapes of a polygon column (array of x, y structs)."""
+
+    kind = "shapebox"
+
+    def inputs(self):
+        return [F.expr(f"array_{end}(transform({self.columns[0]}, p -> p.{axis}))") for axis in "xy" for end in ("min", "max")]
+
+    def aggregates(self, x0, x1, y0, y1):
+        return {"x0": F.min(x0), "x1": F.max(x1), "y0": F.min(y0), "y1": F.max(y1)}
+
+    def formula_bytes(self, b, v):
+        return 4 * b
+
+    def match(self, node: Node) -> Iterator[KeepTest]:
+        t = node.term
+        if node.kind != "call" or node.negated or not isinstance(t, Call) or [a.path for a in t.args if isinstance(a, Ref)] != [self.columns[0]]:
+            return
+        lits = [a.value for a in t.args if isinstance(a, Lit)]
+        if t.name == "st_shape_contains" and len(lits) == 2 and None not in lits:
+            y, x = map(float, lits)
+            yield self.test(f"{{s}}.x0 <= {x!r}D AND {{s}}.x1 >= {x!r}D AND {{s}}.y0 <= {y!r}D AND {{s}}.y1 >= {y!r}D")
+        elif t.name == "st_shape_intersects" and len(lits) == 1 and lits[0]:
+            ring = geo.ring_of(lits[0])
+            xs, ys = [p[0] for p in ring], [p[1] for p in ring]
+            yield self.test(f"{{s}}.x0 <= {max(xs)!r}D AND {{s}}.x1 >= {min(xs)!r}D AND {{s}}.y0 <= {max(ys)!r}D AND {{s}}.y1 >= {min(ys)!r}D")
+
+
+class ArrowSummaryKind(SummaryKind):
+    """Escape hatch: ``collect`` sees one object's rows as Arrow batches and gives the fields of its summary.
+
+    Subclasses set ``fields`` (SQL types, n_nonnull excluded). The columns are exchanged by object, so use it only where
+    no aggregate expresses the summary.
+    """
+
+    fields = ""
+
+    def collect(self, batches: Iterator) -> dict:
+        raise NotImplementedError
+
+    def second_pass(self, rows, first):
+        names = [f.split()[0] for f in self.fields.split(",")]
+        schema = f"{OBJECT} string, {self.fields}"
+        collect, types = self.collect, to_arrow_schema(_parse_datatype_string(schema))
+
+        def run(key: tuple, table: pa.Table) -> pa.Table:
+            got = collect(iter(table.to_batches()))
+            return pa.Table.from_pylist([{OBJECT: key[0].as_py(), **got}], schema=types)
+
+        held = rows.groupBy(OBJECT).applyInArrow(run, schema)
+        return first.join(held, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", *names).alias(self.index))
+
+
 def default_kinds(schema) -> list[SummaryKind]:
     """The policy of indexing everything at a fixed number of bytes: min/max for ordered columns, sized Bloom filters for strings."""
     out: list[SummaryKind] = []

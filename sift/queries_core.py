@@ -10,7 +10,7 @@ from sift.cases import lake_sql, query
 from sift.functions.geo import contains_sql, ring_of
 from sift.operators import build, joins, report, selection
 from sift.operators.baselines import inverted_index, rewrite_with_bounds, without_skipping
-from sift.operators.kinds import Bloom, BoxSet, GeoMinMax, Hybrid, MetricRing, MinMax, PrefixList, RangeBits, SuffixList, Template, ValueList
+from sift.operators.kinds import ArrowSummaryKind, Bloom, BoxSet, GeoMinMax, Hybrid, MetricRing, MinMax, PrefixList, RangeBits, ShapeBoxes, SuffixList, Template, ValueList
 from sift.runtime import scratch_path, table
 from sift.session import SiftSession
 from sift.sources.lake import LakeSource
@@ -607,3 +607,97 @@ def layout_random_vs_kdtree(spark, sf_dir):
         n = s.sql(f"SELECT count(*) AS n FROM {name} WHERE st_contains('{TRIANGLE}', lat, lng)").first().n
         rows.append((name, n, len(s.history[-1].kept), s.history[-1].objects))
     return spark.createDataFrame(rows, "layout string, n long, kept int, objects int")
+
+
+# -- shapes, user-collected summaries
+@query("geo_shape_contains", "SELECT l_orderkey, l_linenumber FROM grid WHERE 12.0 >= lat - 1 AND (12.0 - (lat - 1)) <= 2 * (1 - abs(22.0 - lng)) AND abs(22.0 - lng) < 1", "grid")
+def geo_shape_contains(spark, sf_dir):
+    """A column of triangles: which hold a given point."""
+    path = scratch_path(spark, "shapes")
+    W.tables(spark, sf_dir)
+    spark.sql(W.READINGS).createOrReplaceTempView("raw_readings")
+    shapes = spark.sql("SELECT l_orderkey, l_linenumber, array(named_struct('x', lng - 1, 'y', lat - 1), named_struct('x', lng + 1, 'y', lat - 1), named_struct('x', lng, 'y', lat + 1)) AS shape, concat_ws('-', cast(floor((lat+90)/30) as string), cast(floor((lng+180)/30) as string)) AS cell FROM raw_readings")
+    write_by(shapes, path, F.col("cell"))
+    source, store, kinds = LakeSource(path), ParquetSummaryStore(spark, scratch_path(spark, "shapes-store")), [ShapeBoxes("shape")]
+    build.build_summaries(spark, source, kinds, store)
+    s = SiftSession(spark)
+    s.add("shapes", source, store, kinds)
+    return s.sql("SELECT l_orderkey, l_linenumber FROM shapes WHERE st_shape_contains(shape, 12.0D, 22.0D)")
+
+
+class Median(ArrowSummaryKind):
+    """An example of a summary that is collected by a user's function: median and range of one object's values."""
+
+    kind = "median"
+    fields = "median double, lo double, hi double"
+
+    def collect(self, batches):
+        import statistics
+
+        v = [x for b in batches for x in b.column("c0").to_pylist() if x is not None]
+        return {"median": statistics.median(v), "lo": min(v), "hi": max(v)} if v else {"median": None, "lo": None, "hi": None}
+
+    match = MinMax.match
+
+
+@query("user_collected_content", "SELECT strftime(ts, '%Y-%m-%d') AS obj, round(median(value), 6) AS median FROM ev GROUP BY 1", "ev")
+def user_collected_content(spark, sf_dir):
+    source, _, _ = W.lake(spark, sf_dir, "ev")
+    store = ParquetSummaryStore(spark, scratch_path(spark, "median"))
+    build.build_summaries(spark, source, [Median("value")], store)
+    ids = source.tagged(source.read(spark), F.col("obj").cast("string").alias("obj")).groupBy("path").agg(F.first("obj").alias("obj"))
+    return store.rows(["median__value"]).join(ids, "path").select("obj", F.round("median__value.median", 6).alias("median"))
+
+
+@query("user_collected_query", EV + "value > 400", "ev")
+def user_collected_query(spark, sf_dir):
+    source, _, _ = W.lake(spark, sf_dir, "ev")
+    store, kinds = ParquetSummaryStore(spark, scratch_path(spark, "median")), [Median("value")]
+    build.build_summaries(spark, source, kinds, store)
+    s = SiftSession(spark)
+    s.add("med", source, store, kinds)
+    return s.sql(EV.replace("FROM ev", "FROM med") + "value > 400")
+
+
+@query("exp_format_embedded")
+def exp_format_embedded(spark, sf_dir):
+    """Files opened and rows read for point queries: summaries, the format's own statistics and Bloom filters, neither."""
+    W.tables(spark, sf_dir)
+    path = scratch_path(spark, "embedded")
+    log = spark.sql(W.ACCESS_LOG).withColumn("obj", F.expr(f"concat_ws('-', {W.DAY}, cast(user_id % 4 as string))"))
+    log.repartition("obj").write.option("parquet.bloom.filter.enabled#db_name", "true").option("parquet.bloom.filter.expected.ndv#db_name", "200").partitionBy("obj").parquet(path)
+    one = log.agg(F.min("db_name")).first()[0]
+    rows, name = [], "spark.sql.parquet.filterPushdown"
+    was = spark.conf.get(name)
+    try:
+        for how, on in (("format", "true"), ("none", "false")):
+            spark.conf.set(name, on)
+            df = spark.read.parquet(path).where(F.col("db_name") == one)
+            df.collect()
+            r = report.scans(df)[0]
+            rows.append((how, r.files, r.rows))
+    finally:
+        spark.conf.set(name, was)
+    df = W.session(spark, sf_dir, "access_log").sql(f"SELECT * FROM access_log WHERE db_name = '{one}'")
+    df.collect()
+    r = report.scans(df)[0]
+    return spark.createDataFrame([*rows, ("summaries", r.files, r.rows)], "how string, files int, rows int")
+
+
+@query("exp_partition_pruning")
+def exp_partition_pruning(spark, sf_dir):
+    """Files read for one day: by directory names, and by summaries of the day column inside the files."""
+    s = W.session(spark, sf_dir, "access_log")
+    a = s.sql("SELECT count(*) FROM access_log WHERE day = DATE'2024-01-05'")
+    a.collect()
+    b = s.lakes["access_log"].source.read(spark).where("obj LIKE '2024-01-05-%'").agg(F.count("*"))
+    b.collect()
+    return spark.createDataFrame([("summaries", report.scans(a)[0].files), ("directories", report.scans(b)[0].files)], "how string, files int")
+
+
+@query("session_history")
+def session_history(spark, sf_dir):
+    """The decisions of a session as a table."""
+    s = W.session(spark, sf_dir, "ev", "od")
+    s.sql("SELECT count(*) FROM ev JOIN od ON user_id = o_custkey WHERE value > 400 AND o_orderkey < 100").collect()
+    return s.history_frame()

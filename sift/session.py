@@ -127,6 +127,11 @@ class SiftSession:
         decisions = self.decide(df)
         return use(self.prune(source.read(self.spark), decisions[name])) if name in decisions else df
 
+    def history_frame(self) -> DataFrame:
+        """One row for each decision so far."""
+        rows = [(d.lake, d.test.sql(), d.objects, len(d.skipped), d.bytes, d.bytes - d.bytes_kept, d.seconds) for d in self.history]
+        return self.spark.createDataFrame(rows, "lake string, test string, objects int, skipped int, bytes long, bytes_skipped long, seconds double")
+
     def explain(self, text: str) -> str:
         """Labels, folded test and outcome for every lake of a query, and indexes hidden for want of a key."""
         found = self.decide(self.spark.sql(text))

@@ -141,3 +141,26 @@ def test_reregistered_function_loses_its_matcher(spark, events):
     s.register_function("is_high", F.udf(lambda v: v > 0, "boolean"))
     assert s.sql("SELECT count(*) FROM e WHERE is_high(value)").first()[0] == events.read(spark).where("value > 0").count()
     assert not s.history[-1].skipped
+
+
+def test_registry_rebuilds_kinds_from_a_manifest(spark, events):
+    from sift import registry
+
+    store = ParquetSummaryStore(spark, scratch_path(spark, "registry"))
+    kinds = [MinMax("event_id"), Bloom("user_id", fpp=0.02), ValueList("event_type")]
+    build_summaries(spark, events, kinds, store)
+    again = [registry.kind_of(d) for d in store.indexes().values()]
+    assert sorted(k.index for k in again) == sorted(k.index for k in kinds)
+    s = SiftSession(spark)
+    s.add("e", events, store, again)
+    assert s.sql("SELECT count(*) FROM e WHERE event_id < 10").first()[0] == 10 and len(s.history[-1].kept) == 1
+    assert registry.kind_of({"kind": "from-the-future", "columns": ["a"], "params": {}, "key_id": None}) is None
+    assert s.history_frame().count() == 1
+
+
+def test_shapes_intersect():
+    a = geo.ring_of("POLYGON((0 0, 4 0, 4 4, 0 4))")
+    assert geo.rings_intersect(a, geo.ring_of("POLYGON((3 3, 9 3, 9 9))"))
+    assert geo.rings_intersect(a, geo.ring_of("POLYGON((1 1, 2 1, 2 2))")) and geo.rings_intersect(geo.ring_of("POLYGON((1 1, 2 1, 2 2))"), a)
+    assert not geo.rings_intersect(a, geo.ring_of("POLYGON((5 5, 9 5, 9 9))"))
+    assert geo.rings_intersect(geo.ring_of("POLYGON((-1 1, 5 1, 5 2, -1 2))"), geo.ring_of("POLYGON((1 -1, 2 -1, 2 5, 1 5))"))
