@@ -94,7 +94,7 @@ def build_summaries(spark: SparkSession, source: LakeSource, kinds: list[Summary
     rows = summary_rows(df, source, bind(kinds, source, spark))
     whole = listed.join(rows, ["path", "mtime", "size"], "left").withColumn("n_rows", F.coalesce("n_rows", F.lit(0)).cast("long"))
     store.write(whole, kinds, mode=mode)
-    return BuildReport([k.index for k in kinds], store.rows([]).count(), time.time() - began, store.bytes())
+    return BuildReport([k.index for k in kinds], store.objects(), time.time() - began, store.bytes())
 
 
 def build_separately(spark: SparkSession, source: LakeSource, kinds: list[SummaryKind], store: SummaryStore) -> BuildReport:
@@ -108,7 +108,7 @@ def build_separately(spark: SparkSession, source: LakeSource, kinds: list[Summar
         whole = whole.join(rows.drop("n_rows"), ["path", "mtime", "size"], "left")
     whole = whole.join(counted, "path", "left").withColumn("n_rows", F.coalesce("n_rows", F.lit(0)).cast("long"))
     store.write(whole, kinds)
-    return BuildReport([k.index for k in kinds], store.rows([]).count(), time.time() - began, store.bytes())
+    return BuildReport([k.index for k in kinds], store.objects(), time.time() - began, store.bytes())
 
 
 #: Parquet footers tell exact bounds of these types; floating and string bounds may be inexact or cut.
@@ -133,7 +133,7 @@ def build_from_footers(spark: SparkSession, source: LakeSource, columns: list[st
     kinds = [MinMax(c) for c in columns]
     rows = read.select("path", "mtime", "size", "n_rows", *(F.struct(F.col(f"n{i}").alias("n_nonnull"), value(f"lo{i}", types[c]).alias("lo"), value(f"hi{i}", types[c]).alias("hi")).alias(k.index) for i, (c, k) in enumerate(zip(columns, kinds, strict=True))))
     store.write(rows, kinds)
-    return BuildReport([k.index for k in kinds], store.rows([]).count(), time.time() - began, store.bytes())
+    return BuildReport([k.index for k in kinds], store.objects(), time.time() - began, store.bytes())
 
 
 def _footers(columns: list[str]):

@@ -67,7 +67,7 @@ def skip_report(session: SiftSession, text: str) -> SkipReport:
     plain.lakes = session.lakes
     at = time.time()
     plain.sql(text).collect()
-    return SkipReport(sum(d.objects for d in made), sum(len(d.skipped) for d in made), sum(d.bytes for d in made), sum(d.bytes - d.bytes_kept for d in made), planned - began, ran - planned, time.time() - at)
+    return SkipReport(sum(d.objects for d in made), sum(d.objects - d.n_kept for d in made), sum(d.bytes for d in made), sum(d.bytes - d.bytes_kept for d in made), planned - began, ran - planned, time.time() - at)
 
 
 def kind_line_counts() -> dict[str, int]:

@@ -605,7 +605,7 @@ def layout_random_vs_kdtree(spark, sf_dir):
     rows = []
     for name in ("readings", "flat_readings"):
         n = s.sql(f"SELECT count(*) AS n FROM {name} WHERE st_contains('{TRIANGLE}', lat, lng)").first().n
-        rows.append((name, n, len(s.history[-1].kept), s.history[-1].objects))
+        rows.append((name, n, s.history[-1].n_kept, s.history[-1].objects))
     return spark.createDataFrame(rows, "layout string, n long, kept int, objects int")
 
 

@@ -317,7 +317,7 @@ def exp_boxes(spark, sf_dir):
         s = W.session(spark, sf_dir, "grid")
         s.add("grid", source, store, kinds)
         s.sql(f"SELECT count(*) FROM grid WHERE st_contains('{NOTCHED}', lat, lng)").collect()
-        rows.append((name, len(s.history[-1].kept), s.history[-1].objects, r.bytes))
+        rows.append((name, s.history[-1].n_kept, s.history[-1].objects, r.bytes))
     return spark.createDataFrame(rows, "kind string, kept int, objects int, bytes long")
 
 

@@ -6,7 +6,7 @@ import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sift.functions import distance, geo
@@ -20,6 +20,8 @@ from sift.sources.stores import SummaryStore
 
 #: Up to so many keys go into an IN list; more are packed into one string literal.
 IN_LIST = 5_000
+#: Up to so many objects come to the driver with their verdicts; of more only the skipped or the kept ones, whichever are fewer.
+COLLECT = 20_000
 
 
 @dataclass
@@ -30,14 +32,17 @@ class Decision:
     test: KeepTest
     trees: list[Labelled]
     objects: int
-    skipped: list[str]
-    kept: list[str]
+    n_kept: int
     bytes: int
     bytes_kept: int
-    seconds: float
+    newest: int
+    #: Object keys; one of the two is None where it wasn't fetched.
+    skipped: list[str] | None
+    kept: list[str] | None
+    seconds: float = 0.0
 
     def explain(self) -> str:
-        return f"{self.lake}: keep {len(self.kept)} of {self.objects} objects where {self.test.sql()}\n" + "\n".join(t.explain() for t in self.trees)
+        return f"{self.lake}: keep {self.n_kept} of {self.objects} objects where {self.test.sql()}\n" + "\n".join(t.explain() for t in self.trees)
 
 
 @dataclass
@@ -80,20 +85,39 @@ class SiftSession:
         matchers = [k for k in lake.kinds if k.index in present] + lake.matchers
         trees = [label(p, matchers) for p in predicates]
         test = any_of([fold(t) for t in trees])
-        rows = lake.store.evaluate(test, lake.source.listing(self.spark), self.cached).collect()  # a row for each object
-        key = lambda r: f"{r.path}@{r.mtime}@{r.size}"
-        made = Decision(name, test, trees, len(rows), [key(r) for r in rows if not r.keep], [key(r) for r in rows if r.keep], sum(r.size for r in rows), sum(r.size for r in rows if r.keep), time.time() - began)
+        verdicts = lake.store.evaluate(test, lake.source.listing(self.spark), self.cached)
+        key = F.concat_ws("@", "path", F.col("mtime").cast("string"), F.col("size").cast("string"))
+        if lake.store.objects() <= COLLECT:
+            rows = verdicts.select(key.alias("key"), "size", "mtime", "keep").collect()
+            made = Decision(name, test, trees, len(rows), sum(r.keep for r in rows), sum(r["size"] for r in rows), sum(r["size"] for r in rows if r.keep), max((r.mtime for r in rows), default=0), [r.key for r in rows if not r.keep], [r.key for r in rows if r.keep])
+        else:
+            verdicts = verdicts.persist()
+            kept = F.col("keep")
+            t = verdicts.agg(F.count("*").alias("n"), F.count_if(kept).alias("k"), F.coalesce(F.sum("size"), F.lit(0)).alias("b"), F.coalesce(F.sum(F.when(kept, F.col("size"))), F.lit(0)).alias("bk"), F.coalesce(F.max("mtime"), F.lit(0)).alias("newest")).first()
+            fewer_kept = 2 * t.k < t.n
+            keys = [r.key for r in verdicts.where(kept if fewer_kept else ~kept).select(key.alias("key")).collect()]
+            verdicts.unpersist()
+            made = Decision(name, test, trees, t.n, t.k, t.b, t.bk, t.newest, None if fewer_kept else keys, keys if fewer_kept else None)
+        made.seconds = time.time() - began
         self.history.append(made)
         return made
 
     def prune(self, df: DataFrame, decision: Decision) -> DataFrame:
-        """``df`` of the lake without the skipped objects. A file that is unknown, or changes meanwhile, is read."""
-        if not decision.skipped:
+        """``df`` of the lake without the skipped objects. A file that is unknown, or changes meanwhile, is read.
+
+        With the skipped keys at hand they are excluded. With the kept ones, these are read and also every file not
+        older than the newest one listed, for it may have come or changed since.
+        """
+        if decision.skipped == []:
             return df
-        if len(decision.skipped) <= IN_LIST:
-            return df.where(~F.expr(OBJECT_KEY).isin(decision.skipped))
-        packed = F.split(F.lit("\n".join(decision.skipped)), "\n")
-        return df.where(~F.array_contains(packed, F.expr(OBJECT_KEY)))
+
+        def among(keys: list[str]) -> Column:
+            this = F.expr(OBJECT_KEY)
+            return this.isin(keys) if len(keys) <= IN_LIST else F.array_contains(F.split(F.lit("\n".join(keys)), "\n"), this)
+
+        if decision.skipped is not None:
+            return df.where(~among(decision.skipped))
+        return df.where(among(decision.kept) | (F.expr("unix_micros(_metadata.file_modification_time)") >= decision.newest))
 
     def decide(self, df: DataFrame) -> dict[str, Decision]:
         """Decisions for the lakes that ``df`` reads."""
@@ -129,7 +153,7 @@ class SiftSession:
 
     def history_frame(self) -> DataFrame:
         """One row for each decision so far."""
-        rows = [(d.lake, d.test.sql(), d.objects, len(d.skipped), d.bytes, d.bytes - d.bytes_kept, d.seconds) for d in self.history]
+        rows = [(d.lake, d.test.sql(), d.objects, d.objects - d.n_kept, d.bytes, d.bytes - d.bytes_kept, d.seconds) for d in self.history]
         return self.spark.createDataFrame(rows, "lake string, test string, objects int, skipped int, bytes long, bytes_skipped long, seconds double")
 
     def explain(self, text: str) -> str:

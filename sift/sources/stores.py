@@ -69,9 +69,14 @@ class SummaryStore:
                 sealed = F.base64(F.aes_encrypt(F.to_json(F.col(k.index), {"ignoreNullFields": "false"}), F.lit(bytearray(key)), F.lit("GCM")))
                 out = out.withColumn(k.index, sealed)
         self._append(out, batch)
-        manifest["batches"].append({"name": batch, "indexes": [k.index for k in kinds]})
+        identity = T.StructType([T.StructField("path", T.StringType())])
+        manifest["batches"].append({"name": batch, "indexes": [k.index for k in kinds], "objects": self._load(batch, identity, []).count()})
         self._commit(manifest)
 
+    def objects(self) -> int:
+        """Summary rows in all batches: at least the number of indexed objects."""
+        return sum(b["objects"] for b in self.manifest()["batches"])
+
     # -- reading
     def indexes(self) -> dict[str, dict]:
         """Indexes that this user can read."""

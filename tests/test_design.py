@@ -114,6 +114,23 @@ def test_many_keys_are_packed(spark, events, monkeypatch):
     assert len(df.collect()) == 10 and scans(df)[0].files == 1
 
 
+def test_large_lakes_fetch_the_shorter_list(spark, events, monkeypatch):
+    import sift.session as session_module
+
+    store = ParquetSummaryStore(spark, scratch_path(spark, "large"))
+    build_summaries(spark, events, [MinMax("event_id")], store)
+    monkeypatch.setattr(session_module, "COLLECT", 2)
+    s = SiftSession(spark)
+    s.add("e", events, store, [MinMax("event_id")])
+    df = s.sql("SELECT event_id FROM e WHERE event_id < 10")
+    assert len(df.collect()) == 10 and s.history[-1].skipped is None and len(s.history[-1].kept) == 1 and scans(df)[0].files <= 2
+    decision = s.history[-1]
+    spark.range(3).selectExpr("id AS event_id", "timestamp_ntz'2024-01-01' AS ts", "0L AS user_id", "'new' AS event_type", "0D AS value", "'' AS props").coalesce(1).write.mode("append").parquet(events.path)
+    assert s.prune(events.read(spark), decision).where("event_type = 'new'").count() == 3  # came after the listing
+    df = s.sql("SELECT event_id FROM e WHERE event_id >= 0 AND event_id <> 7")
+    assert len(df.collect()) == events.read(spark).where("event_id <> 7").count() and s.history[-1].kept is None
+
+
 def test_only_ciphertext_is_stored(spark, events):
     path = scratch_path(spark, "sealed")
     build_summaries(spark, events, [ValueList("event_type", key_id="k")], ParquetSummaryStore(spark, path, {"k": b"0123456789abcdef"}))
