@@ -51,6 +51,7 @@ class Lake:
     store: SummaryStore
     kinds: list[SummaryKind]
     matchers: list[Matcher] = field(default_factory=list)
+    roots: frozenset[str] = frozenset()
 
 
 class SiftSession:
@@ -65,8 +66,10 @@ class SiftSession:
 
     def add(self, name: str, source: LakeSource, store: SummaryStore, kinds: list[SummaryKind], matchers: list[Matcher] = ()) -> None:
         """Register a lake whose summaries of ``kinds`` are in ``store``, with matchers beyond the kinds' own."""
-        self.lakes[name] = Lake(source, store, bind(kinds, source, self.spark), list(matchers))
-        source.read(self.spark).createOrReplaceTempView(name)
+        df = source.read(self.spark)
+        found = bridge.relations(df)
+        self.lakes[name] = Lake(source, store, bind(kinds, source, self.spark), list(matchers), frozenset(found[0].roots) if found else frozenset())
+        df.createOrReplaceTempView(name)
 
     def register_function(self, name: str, function, matcher: Matcher | None = None, lake: str | None = None) -> None:
         """Register a UDF; what its old body was matched by no longer counts."""
@@ -122,10 +125,9 @@ class SiftSession:
     def decide(self, df: DataFrame) -> dict[str, Decision]:
         """Decisions for the lakes that ``df`` reads."""
         uses: dict[str, list] = {}
-        roots = {name: set(bridge_roots(x.source, self.spark)) for name, x in self.lakes.items()}
         for use in bridge.relations(df):
-            for name, r in roots.items():
-                if r == set(use.roots):
+            for name, x in self.lakes.items():
+                if x.roots == set(use.roots):
                     uses.setdefault(name, []).append(use.predicate)
         return {name: self._decide(name, p) for name, p in uses.items()}
 
@@ -161,9 +163,3 @@ class SiftSession:
         found = self.decide(self.spark.sql(text))
         hidden = [f"{n}: no key for {', '.join(x.store.hidden())}" for n, x in self.lakes.items() if x.store.hidden()]
         return "\n".join([d.explain() for d in found.values()] + hidden)
-
-
-def bridge_roots(source: LakeSource, spark: SparkSession) -> tuple[str, ...]:
-    """Root paths of a source as its relation spells them."""
-    found = bridge.relations(source.read(spark))
-    return found[0].roots if found else ()

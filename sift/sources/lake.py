@@ -7,11 +7,15 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Identity of an object's content, as one string of constant metadata columns; Spark prunes files on it when planning.
 OBJECT_KEY = "concat_ws('@', _metadata.file_path, cast(unix_micros(_metadata.file_modification_time) as string), cast(_metadata.file_size as string))"
 
 
+_schemas: dict["LakeSource", T.StructType] = {}
+
+
 @dataclass(frozen=True)
 class LakeSource:
     """A data set at ``path`` in any file format that Spark reads; ``derive`` adds columns to what is read."""
@@ -23,12 +27,22 @@ class LakeSource:
     derive: Callable[[DataFrame], DataFrame] | None = field(default=None, compare=False)
 
     def read(self, spark: SparkSession) -> DataFrame:
+        """The data set as it is now. Its schema is inferred once; ``forget`` after columns were added."""
         reader = spark.read.format(self.fmt).options(**dict(self.options))
-        if self.schema:
-            reader = reader.schema(self.schema)
+        known = self.schema or _schemas.get(self)
+        if known:
+            reader = reader.schema(known)
         df = reader.load(self.path)
+        if not known:
+            # Values in directory names are left to be inferred: new ones may need another type.
+            named = set(df._jdf.queryExecution().analyzed().relation().partitionSchema().fieldNames())
+            _schemas[self] = T.StructType([f for f in df.schema if f.name not in named])
         return self.derive(df) if self.derive else df
 
+    def forget(self) -> None:
+        """Infer the schema anew at the next read."""
+        _schemas.pop(self, None)
+
     def stream(self, spark: SparkSession) -> DataFrame:
         schema = self.schema or spark.read.format(self.fmt).options(**dict(self.options)).load(self.path).schema
         df = spark.readStream.format(self.fmt).options(**dict(self.options)).schema(schema).load(self.path)

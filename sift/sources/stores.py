@@ -40,10 +40,14 @@ class SummaryStore:
         return jvm, p, p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
 
     def manifest(self) -> dict:
-        _, p, fs = self._fs()
+        jvm, p, fs = self._fs()
         if not fs.exists(p):
             return {"version": 1, "indexes": {}, "batches": []}
-        return json.loads(self.spark.read.text(str(p.toString()), wholetext=True).first()[0])
+        opened = fs.open(p)
+        try:
+            return json.loads(jvm.org.apache.commons.io.IOUtils.toString(opened, "UTF-8"))
+        finally:
+            opened.close()
 
     def _commit(self, manifest: dict) -> None:
         jvm, p, fs = self._fs()
