@@ -16,6 +16,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sift.llm.expr import let
 from sift.llm.textbatch import ASCII_LOWER, flat, slices, word_bounds, word_keys
@@ -175,12 +176,14 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     side = benchmark.select(F.col(item_col).cast("string").alias("i"), F.col(item_text_col).cast("string").alias("t")).where("t is not null")
     size = side.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
     blocks = max(1, -(-size // block_bytes))
-    state = docs.select(F.col(text_col).cast("string").alias("_text"), *(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(carry)), F.expr("array()").cast("array<struct<a:int,b:int>>").alias("_had"), F.expr("array()").cast("array<string>").alias("_had_items"))
-    names = [f"_c{i}" for i in range(len(carry))]
+    # The text itself is sent once, also where it is carried.
+    same = docs.schema[text_col].dataType == T.StringType()
+    names = ["_text" if same and c == text_col else f"_c{i}" for i, c in enumerate(carry)]
+    state = docs.select(F.col(text_col).cast("string").alias("_text"), *(F.col(f"`{c}`").alias(n) for n, c in zip(names, carry, strict=True) if n != "_text"), F.expr("array()").cast("array<struct<a:int,b:int>>").alias("_had"), F.expr("array()").cast("array<string>").alias("_had_items"))
     for k in range(blocks):
         of = side.where(F.pmod(F.xxhash64("i", "t"), F.lit(blocks)) == k) if blocks > 1 else side
         searchers = build_searchers([(r.i, r.t) for r in of.toLocalIterator()], window)
-        keep = [*names, *(["_text"] if k < blocks - 1 else []), *(["_had", "_had_items"] if k else [])]
+        keep = list(dict.fromkeys([*names, *(["_text"] if k < blocks - 1 else []), *(["_had", "_had_items"] if k else [])]))
         read = state.select(*dict.fromkeys([*keep, "_text"]))
         schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in state.select(*keep).schema) + f", {SPANS}" if keep else SPANS
         state = read.mapInArrow(_search(searchers, keep, "_text"), schema)
@@ -190,7 +193,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
             state = state.withColumn("_had", F.col("_spans")).withColumn("_had_items", F.col("_items")).drop("_spans", "_items", "_n")
     n_hit = F.expr(f"CASE WHEN size(_spans) = 0 THEN 0L ELSE {_hit_words('_spans')} END")
     told = let(n_hit, lambda h: F.struct(F.col("_n").alias("n_words"), h.alias("n_hit"), F.array_sort("_items").alias("items"), F.col("_spans").alias("spans"), ((h > 0) & (20 * h >= F.col("_n"))).alias("contaminated")))
-    return state.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(carry)), told.alias(name))
+    return state.select(*(F.col(n).alias(c) for n, c in zip(names, carry, strict=True)), told.alias(name))
 
 
 def op5_benchmark_decontamination(spark, sf_dir: str) -> DataFrame:
