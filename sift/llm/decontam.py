@@ -26,6 +26,8 @@ WINDOW = 13
 #: Bytes of benchmark text whose tables a task holds at once; a larger benchmark is searched in so many passes.
 BLOCK_BYTES = 32 << 20
 LANE_WORDS = 256
+#: Bytes of documents searched side by side.
+SEARCH_BYTES = 2 << 20
 _WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 _IS_WORD = np.ones(256, bool)
 for _a, _b in ((0x00, 0x2F), (0x3A, 0x60), (0x7B, 0x7F)):
@@ -148,7 +150,7 @@ def search_slice(part: pa.RecordBatch, text_col: str, searchers: list[Searcher])
 def _search(searchers: list[Searcher], names: list[str], text_col: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, text_col):
+            for part in slices(batch, text_col, SEARCH_BYTES):
                 spans, items, n = search_slice(part, text_col, searchers)
                 out = [[{"a": a, "b": b} for a, b in s or ()] for s in spans]
                 ids = [sorted(x for x in i or () if x is not None) for i in items]
