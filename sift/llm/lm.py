@@ -1,35 +1,38 @@
-"""Language-model scoring by a weighted backoff automaton over words.
+"""Language-model scoring by weighted backoff over words.
 
-Words have add-one unigram probabilities from counts over all training texts. N-grams of two words and more are kept
-where they make up at least ``share`` of the training tokens, so that no order can have more than 1 / share of them,
-whatever the corpus: this is what bounds the automaton that each task holds. Each kept context is a state, each kept
-n-gram an arc with its discounted log-probability, and a failure arc leads to the state of the context without its
-first word, weighted so that a state's probabilities add up to one. Scoring is one traversal from left to right that
-carries the state.
+Words have add-one unigram probabilities from counts over all training texts. Every n-gram of two words and more that
+was seen at least ``least`` times, once by default, is kept with its discounted probability, and every context with a
+failure weight by which its probabilities add up to one. Scoring goes from the longest context to the shorter ones:
+an n-gram that isn't kept costs the weight of its context, and a context that isn't kept costs nothing.
 
-Unigram counts are not bounded and never broadcast: texts are dealt into blocks, each block asks for the counts of its
-own words by a join, and is scored with them.
+Nothing that grows with the corpus is broadcast or collected: counts, n-grams and weights are stored tables. Texts are
+dealt into blocks, each block asks for the words, n-grams and contexts of its own texts by joins, and is scored with them.
+Words are compared by their bytes; n-grams by 64-bit digests of their two parts, the context and the n-gram without its
+first word.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from sift.llm.textbatch import slices
 from sift.runtime import materialise, ship_package
 
 ORDER = 3
-SHARE = 2e-5
+#: Times that an n-gram has to be seen, and its least share of the training tokens; by these two all are kept.
+LEAST = 1
+SHARE = 0.0
 DISCOUNT = 0.5
 #: Tokens of the texts that are scored together.
-BLOCK_TOKENS = 2_000_000
+BLOCK_TOKENS = 1_000_000
 END = b""
 
 
@@ -38,11 +41,63 @@ def tokens_of(text: str | None) -> list[bytes]:
     return [*(text or "").encode().lower().split(), END]
 
 
+def digest(word: bytes) -> int:
+    """64-bit digest of a word, as a signed number."""
+    return int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little", signed=True)
+
+
+class _Digests(dict):
+    def __missing__(self, word: bytes) -> int:
+        if len(self) > 1_000_000:
+            self.clear()
+        self[word] = got = digest(word)
+        return got
+
+
+_P1, _P2, _P3, _P4, _P5 = map(np.uint64, (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+
+
+def _rotated(x: np.ndarray, by: int) -> np.ndarray:
+    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
+
+
+def pair_digest(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """What Spark's xxhash64 gives for two long columns."""
+    h = np.full(len(a), 42, np.uint64)
+    for x in (a, b):
+        h = (h + _P5 + np.uint64(8)) ^ (_rotated(x.view(np.uint64) * _P2, 31) * _P1)
+        h = _rotated(h, 27) * _P1 + _P4
+        h = (h ^ (h >> np.uint64(33))) * _P2
+        h = (h ^ (h >> np.uint64(29))) * _P3
+        h ^= h >> np.uint64(32)
+    return h.view(np.int64)
+
+
+def _keys(texts: list[list[bytes]], digests: _Digests, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Of each place its distance from the text's start mark, and for m from 1 the digests of the m words that end there.
+
+    The m words are of one text where the distance is m - 1 at least.
+    """
+    flat: list[int] = []
+    for tokens in texts:
+        flat.append(digests[END])
+        flat += map(digests.__getitem__, tokens)
+    size = np.array([1 + len(tokens) for tokens in texts], np.int64)
+    word = np.array(flat, np.int64)
+    depth = np.arange(len(word)) - np.repeat(np.cumsum(size) - size, size)
+    keys = [word]
+    for _ in range(1, order):
+        key = np.zeros_like(word)
+        key[1:] = pair_digest(keys[-1][:-1], keys[-1][1:])
+        keys.append(key)
+    return depth, keys
+
+
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held: Counter = Counter()
 
     def out() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(list(held.values()), pa.int64())], ["word", "n"])
+        return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(map(digest, held), pa.int64()), pa.array(list(held.values()), pa.int64())], ["word", "key", "n"])
 
     for batch in batches:
         for part in slices(batch, "text"):
@@ -55,176 +110,136 @@ def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield out()
 
 
-def _merged(codes: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    code, n = np.concatenate(codes), np.concatenate(counts)
-    order = np.argsort(code, kind="stable")
-    code, n = code[order], n[order]
-    first = np.flatnonzero(np.r_[True, code[1:] != code[:-1]]) if code.size else np.zeros(0, np.int64)
-    return code[first], np.add.reduceat(n, first) if code.size else n
-
-
-def _count_ngrams(ids: dict[bytes, int], levels: list[np.ndarray]):
-    """Codes (index of the context, word id) of the n-grams one word longer than the last of ``levels``, with counts."""
-    width, end = len(ids), ids[END]
+def _count_ngrams(order: int):
+    """(m, ctx, low, n): n-grams of m words by the digests of their first and of their last m - 1 words, counted by slice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes: list[np.ndarray] = []
-        counts: list[np.ndarray] = []
-        held = 0
+        digests = _Digests()
         for batch in batches:
             for part in slices(batch, "text"):
-                flat: list[int] = []
-                for t in part.column("text").to_pylist():
-                    flat.append(-1)
-                    flat.append(end)
-                    flat += [ids.get(w, -1) for w in tokens_of(t)]
-                word = np.array(flat, np.int64)
-                context = word
-                for level in levels:
-                    code = np.where((context[:-1] >= 0) & (word[len(word) - len(context) + 1 :] >= 0), context[:-1] * width + word[len(word) - len(context) + 1 :], -1)
-                    at = np.minimum(np.searchsorted(level, code), max(0, len(level) - 1))
-                    context = np.where(level[at] == code, at, -1) if len(level) else np.full(len(code), -1, np.int64)
-                nxt = word[len(word) - len(context) + 1 :]
-                ok = (context[:-1] >= 0) & (nxt >= 0)
-                code, n = np.unique(context[:-1][ok] * width + nxt[ok], return_counts=True)
-                codes.append(code)
-                counts.append(n)
-                held += len(code)
-                if held > 3_000_000:
-                    code, n = _merged(codes, counts)
-                    yield pa.RecordBatch.from_arrays([pa.array(code), pa.array(n.astype(np.int64))], ["code", "n"])
-                    codes, counts, held = [], [], 0
-        if codes:
-            code, n = _merged(codes, counts)
-            for at in range(0, len(code), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(code[at : at + 100_000]), pa.array(n[at : at + 100_000].astype(np.int64))], ["code", "n"])
+                depth, keys = _keys(list(map(tokens_of, part.column("text").to_pylist())), digests, order)
+                for m in range(2, order + 1):
+                    at = np.flatnonzero(depth >= m - 1)
+                    ctx, low = keys[m - 2][at - 1], keys[m - 2][at]
+                    by = np.lexsort((low, ctx))
+                    ctx, low = ctx[by], low[by]
+                    first = np.flatnonzero(np.r_[True, (ctx[1:] != ctx[:-1]) | (low[1:] != low[:-1])]) if len(ctx) else np.zeros(0, np.int64)
+                    n = np.diff(np.r_[first, len(ctx)])
+                    ctx, low = ctx[first], low[first]
+                    for a in range(0, len(n), 100_000):
+                        cols = [x[a : a + 100_000] for x in (np.full(len(n), m, np.int8), ctx, low, n)]
+                        yield pa.RecordBatch.from_arrays([pa.array(x) for x in cols], ["m", "ctx", "low", "n"])
 
     return run
 
 
-class Automaton:
-    """States, arcs and failure arcs. arcs[s]: word to (log10 probability, next state); state 0 has none but ``entry``."""
-
-    def __init__(self, total: int, distinct: int, frequent: dict[bytes, int], levels: list[tuple[np.ndarray, np.ndarray]], discount: float = DISCOUNT):
-        self.total, self.unseen = total, -math.log10(total + distinct + 1)
-        self.unigram = {w: math.log10((c + 1) / (total + distinct + 1)) for w, c in frequent.items()}
-        words, width = list(frequent), max(1, len(frequent))
-        # A state for each kept word and n-gram: its suffix state, its count as a context.
-        fail, seen, base = [0] + [0] * len(words), [total, *frequent.values()], [1]
-        arcs: list[dict] = [{} for _ in range(1 + len(words))]
-        self.weight = [0.0] * len(arcs)
-        for depth, (codes, counts) in enumerate(levels):
-            base.append(len(arcs))
-            below = base[depth]
-            for code, n in zip(codes.tolist(), counts.tolist(), strict=True):
-                context, w = below + code // width, code % width
-                suffix = 1 + w if depth == 0 else arcs[fail[context]][words[w]][1]
-                arcs[context][words[w]] = (math.log10((n - discount) / seen[context]), len(fail))
-                fail.append(suffix)
-                seen.append(n)
-                arcs.append({})
-                self.weight.append(0.0)
-        for s in range(1, len(arcs)):
-            if arcs[s]:
-                left = 1 - math.fsum(10 ** p for p, _ in arcs[s].values())
-                lower = 1 - math.fsum(10 ** self._probability(arcs, fail, fail[s], w) for w in arcs[s])
-                self.weight[s] = math.log10(max(left, 1e-12) / max(lower, 1e-12))
-        # A state without arcs is passed through at no weight, so its arcs may as well lead to its suffix.
-        far = [0] * len(arcs)
-        for s in range(1, len(arcs)):
-            far[s] = s if arcs[s] else far[fail[s]]
-        self.fail = [far[s] for s in fail]
-        self.arcs = [{w: (p, far[t]) for w, (p, t) in a.items()} for a in arcs]
-        self.entry = {w: far[1 + k] for k, w in enumerate(words) if far[1 + k]}
-        self.start = self.entry.get(END, 0)
-
-    def _probability(self, arcs, fail, s: int, w: bytes) -> float:
-        got = 0.0
-        while s:
-            if w in arcs[s]:
-                return got + arcs[s][w][0]
-            got += self.weight[s]
-            s = fail[s]
-        return got + self.unigram.get(w, self.unseen)
-
-    def score(self, tokens: list[bytes], unigram: list[float]) -> float:
-        """The text's log10 probability; ``unigram`` has that of each token by itself."""
-        arcs, fail, weight, entry = self.arcs, self.fail, self.weight, self.entry
-        s, got = self.start, []
-        add = got.append
-        for w, p in zip(tokens, unigram, strict=True):
-            while s:
-                arc = arcs[s].get(w)
-                if arc is not None:
-                    add(arc[0])
-                    s = arc[1]
-                    break
-                add(weight[s])
-                s = fail[s]
-            else:
-                add(p)
-                s = entry.get(w, 0)
-        return math.fsum(got)
-
-
-def _block_words(frequent: frozenset[bytes]):
+def train(texts: DataFrame, share: float = SHARE, order: int = ORDER, least: int = LEAST) -> tuple[DataFrame, DataFrame, int, int]:
+    """Counts (word, key, c) of all training tokens, the model, and the numbers of tokens and of distinct tokens.
+
+    ``texts`` has one column, text. The model (kind, key, value) has log10 probabilities of n-grams (kind 1) and log10
+    failure weights of contexts (kind 2). Kept are n-grams seen ``least`` times that have ``share`` of all tokens.
+    """
+    ship_package(texts.sparkSession)
+    counts = materialise(texts.mapInArrow(_count_words, "word binary, key long, n long").groupBy("word", "key").agg(F.sum("n").alias("c")), "lm-words")
+    total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
+    counted = texts.mapInArrow(_count_ngrams(order), "m byte, ctx long, low long, n long").repartition("ctx").groupBy("m", "ctx", "low").agg(F.sum("n").alias("n"))
+    # Probabilities as fractions, so that what a context leaves is exact.
+    grams = counted.withColumn("den", F.sum("n").over(Window.partitionBy("m", "ctx")).cast("double")).where(F.col("n") >= max(least, share * total))
+    grams = materialise(grams.select("m", F.xxhash64("ctx", "low").alias("key"), "ctx", "low", (F.col("n") - DISCOUNT).cast("double").alias("num"), "den"), "lm-ngrams")
+    words = counts.select(F.lit(2).alias("m"), F.col("key").alias("low"), (F.col("c") + 1).cast("double").alias("num_low"), F.lit(float(total + distinct + 1)).alias("den_low"))
+    shorter = words.union(grams.where(F.col("m") < order).select(F.col("m") + 1, "key", "num", "den"))
+    weights = grams.join(shorter, ["m", "low"]).groupBy("m", "ctx").agg(*(F.sum(c).alias(c) for c in ("num", "num_low")), *(F.max(c).alias(c) for c in ("den", "den_low")))
+    left, lower = (F.col("den") - F.col("num")) / F.col("den"), (F.col("den_low") - F.col("num_low")) / F.col("den_low")
+    weights = weights.select(F.lit(2).cast("byte").alias("kind"), F.col("ctx").alias("key"), F.log10(F.greatest(left, F.lit(1e-12)) / F.greatest(lower, F.lit(1e-12))).alias("value"))
+    arcs = grams.select(F.lit(1).cast("byte").alias("kind"), "key", F.log10(F.col("num") / F.col("den")).alias("value"))
+    return counts, arcs.union(weights), total, distinct
+
+
+def _block_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held: dict[int, set[bytes]] = {}
+    for batch in batches:
+        for block, t in zip(batch.column("block").to_pylist(), batch.column("text").to_pylist(), strict=True):
+            held.setdefault(block, set()).update(tokens_of(t))
+    for block, words in held.items():
+        words = list(words)
+        for at in range(0, len(words), 50_000):
+            part = words[at : at + 50_000]
+            yield pa.RecordBatch.from_arrays([pa.array([block] * len(part), pa.int64()), pa.array(part, pa.binary())], ["block", "word"])
+
+
+def _block_keys(order: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, set[bytes]] = {}
+        digests = _Digests()
+        held: dict[int, list[np.ndarray]] = {}
         for batch in batches:
+            by: dict[int, list] = {}
             for block, t in zip(batch.column("block").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                held.setdefault(block, set()).update((t or "").encode().lower().split())
-        for block, words in held.items():
-            rare = list(words - frequent)
-            for at in range(0, len(rare), 50_000):
-                part = rare[at : at + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array([block] * len(part), pa.int64()), pa.array(part, pa.binary())], ["block", "word"])
+                by.setdefault(block, []).append(tokens_of(t))
+            for block, texts in by.items():
+                depth, keys = _keys(texts, digests, order)
+                held.setdefault(block, []).append(np.unique(np.concatenate([key[depth >= m] for m, key in enumerate(keys)])))
+        for block in list(held):
+            key = np.unique(np.concatenate(held.pop(block)))
+            for at in range(0, len(key), 100_000):
+                part = pa.array(key[at : at + 100_000])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block, np.int64)), part], ["block", "key"])
 
     return run
 
 
 SCORES = "doc long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+_SCORE_KINDS = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())
+_SCORE_NAMES = ("doc", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
-def _score_block(model: Automaton, distinct: int):
+def _looked_up(known: np.ndarray, value: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Whether each key is known, and its value, else nought."""
+    if not len(known):
+        return np.zeros(len(key), bool), np.zeros(len(key))
+    at = np.minimum(np.searchsorted(known, key), len(known) - 1)
+    found = known[at] == key
+    return found, np.where(found, value[at], 0.0)
+
+
+def _score_block(order: int, total: int, unseen: float):
     def run(texts: pa.Table, known: pa.Table) -> pa.Table:
-        unigram = dict(model.unigram)
-        c = known.column("c").to_numpy()
-        unigram.update(zip(known.column("word").to_pylist(), np.log10((c + 1) / (model.total + distinct + 1)).tolist(), strict=True))
-        out: list[tuple] = []
-        for doc, held, t in zip(texts.column("doc").to_pylist(), texts.column("held_out").to_pylist(), texts.column("text").to_pylist(), strict=True):
-            tokens = tokens_of(t)
-            each = [unigram.get(w, model.unseen) for w in tokens]
-            out.append((doc, held, len(tokens), sum(map(unigram.__contains__, tokens)), model.total, math.fsum(each), model.score(tokens, each)))
-        kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())
-        names = ("doc", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
-        cols = list(zip(*out, strict=True)) or [()] * len(names)
-        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], names)
+        kind = known.column("kind").to_numpy()
+        key, value = known.column("key").to_numpy(), known.column("value").to_numpy()
+        words = np.flatnonzero(kind == 0)
+        unigram = dict(zip(known.column("word").take(pa.array(words)).to_pylist(), value[words].tolist(), strict=True))
+        model = []
+        for k in (1, 2):
+            at = np.flatnonzero(kind == k)
+            at = at[np.argsort(key[at], kind="stable")]
+            model.append((key[at], value[at]))
+        digests = _Digests()
+        out: list[list] = [[] for _ in _SCORE_NAMES]
+        for batch in texts.to_batches():
+            for part in slices(batch, "text"):
+                tokens = list(map(tokens_of, part.column("text").to_pylist()))
+                size = np.array(list(map(len, tokens)), np.int64)
+                first = np.cumsum(size) - size
+                each = np.array([unigram.get(w, 1.0) for t in tokens for w in t])
+                is_known = each <= 0
+                each = np.where(is_known, each, unseen)
+                depth, keys = _keys(tokens, digests, order)
+                got, missing = np.zeros(len(depth)), depth >= 1
+                for m in range(order, 1, -1):
+                    at = np.flatnonzero(missing & (depth >= m - 1))
+                    found, p = _looked_up(*model[0], keys[m - 1][at])
+                    got[at] += np.where(found, p, _looked_up(*model[1], keys[m - 2][at - 1])[1])
+                    missing[at[found]] = False
+                got = got[depth >= 1] + np.where(missing[depth >= 1], each, 0.0)
+                columns = (part.column("doc").to_pylist(), part.column("held_out").to_pylist(), size.tolist(), np.add.reduceat(is_known.astype(np.int64), first).tolist(), [total] * len(size))
+                sums = ([math.fsum(x[a : a + n]) for a, n in zip(first.tolist(), size.tolist(), strict=True)] for x in (each, got))
+                for held, column in zip(out, (*columns, *sums), strict=True):
+                    held += column
+        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(out, _SCORE_KINDS, strict=True)], _SCORE_NAMES)
 
     return run
 
 
-def train(texts: DataFrame, share: float = SHARE, order: int = ORDER) -> tuple[DataFrame, Automaton, int]:
-    """Counts (word, c) of all training tokens as a stored table, the automaton, and the number of distinct tokens.
-
-    ``texts`` has one column, text. All n-grams are counted; kept are those with at least ``share`` of all tokens.
-    """
-    ship_package(texts.sparkSession)
-    counts = materialise(texts.mapInArrow(_count_words, "word binary, n long").groupBy("word").agg(F.sum("n").alias("c")), "lm-words")
-    total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    least = max(2.0, share * total)
-    kept = counts.where((F.col("c") >= least) | (F.col("word") == F.lit(bytearray(END)))).orderBy("word").collect()  # at most 1 / share and the end
-    frequent = {bytes(r.word): r.c for r in kept}
-    levels: list[tuple[np.ndarray, np.ndarray]] = []
-    if frequent:
-        ids = {w: k for k, w in enumerate(frequent)}
-        for _ in range(2, order + 1):
-            counted = texts.mapInArrow(_count_ngrams(ids, [x for x, _ in levels]), "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-            rows = sorted((r.code, r.n) for r in counted.collect())  # at most 1 / share
-            levels.append((np.array([c for c, _ in rows], np.int64), np.array([n for _, n in rows], np.int64)))
-    return counts, Automaton(total, distinct, frequent, levels), distinct
-
-
-def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", share: float = SHARE, order: int = ORDER, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
+def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", share: float = SHARE, order: int = ORDER, block_tokens: int = BLOCK_TOKENS, least: int = LEAST) -> DataFrame:
     """(doc, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row; held-out rows are not learnt from.
 
     A null text is empty: its only token is the end. A null ``held_out`` counts as false. Repeated rows are learnt from
@@ -233,13 +248,15 @@ def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_co
     """
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text"), F.coalesce(held_out, F.lit(False)).alias("held_out"))
-    counts, model, distinct = train(rows.where("not held_out").select("text"), share, order)
-    blocks = max(1, math.ceil(model.total / block_tokens))
+    counts, model, total, distinct = train(rows.where("not held_out").select("text"), share, order, least)
+    size = total + distinct + 1
+    blocks = max(1, math.ceil(total / block_tokens))
     parts = max(blocks, int(spark.conf.get("spark.sql.shuffle.partitions")))
     dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc", "text"), F.lit(blocks)).cast("long")).repartition(parts, "block")
-    asked = dealt.mapInArrow(_block_words(frozenset(model.unigram)), "block long, word binary")
-    known = asked.join(counts, "word").select("block", "word", "c")
-    return dealt.groupBy("block").cogroup(known.groupBy("block")).applyInArrow(_score_block(model, distinct), SCORES)
+    words = dealt.mapInArrow(_block_words, "block long, word binary").join(counts, "word").select("block", F.lit(0).cast("byte").alias("kind"), "word", F.lit(0).cast("long").alias("key"), F.log10((F.col("c") + 1) / F.lit(float(size))).alias("value"))
+    asked = dealt.mapInArrow(_block_keys(order), "block long, key long")
+    known = words.union(asked.join(model, "key").select("block", "kind", F.lit(None).cast("binary"), "key", "value"))
+    return dealt.groupBy("block").cogroup(known.groupBy("block")).applyInArrow(_score_block(order, total, -math.log10(size)), SCORES)
 
 
 def op9_lm_scoring(spark, sf_dir: str) -> DataFrame:

@@ -3,6 +3,7 @@ import random
 import zlib
 from collections import Counter
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from sift.llm import lm
@@ -79,3 +80,40 @@ def test_nothing_to_learn_from(spark):
     assert lm.lm_scores(df.limit(0), F.lit(False)).collect() == []
     got = lm.lm_scores(df, F.lit(True)).collect()
     assert sorted((r.doc, r.n_tokens, r.n_known, r.train_tokens, r.base_score, r.score) for r in got) == [(1, 3, 0, 0, 0.0, 0.0), (2, 1, 0, 0, 0.0, 0.0)]
+
+
+def test_pair_digest_is_that_of_spark(spark):
+    rnd = random.Random(4)
+    pairs = [(rnd.randrange(-(2**63), 2**63), rnd.randrange(-(2**63), 2**63)) for _ in range(200)] + [(0, 0), (-1, 1)]
+    want = [r.h for r in spark.createDataFrame(pairs, "a long, b long").coalesce(1).select(F.xxhash64("a", "b").alias("h")).collect()]
+    assert lm.pair_digest(*(np.array(x, np.int64) for x in zip(*pairs, strict=True))).tolist() == want
+
+
+def test_every_ngram_is_kept_however_rare(spark):
+    rnd = random.Random(5)
+    train = [" ".join(f"w{rnd.randrange(400)}" for _ in range(rnd.randrange(0, 60))) for _ in range(150)] + ["once upon time"]
+    test = ["once upon time", "once upon", "w1 once upon time w2", train[0], train[1] + " new " + train[2]]
+    grams = Counter()
+    for t in train:
+        seq = [lm.END, *lm.tokens_of(t)]
+        for m in (1, 2, 3):
+            grams.update(tuple(seq[i : i + m]) for i in range(m == 1, len(seq) - m + 1))
+    n, v = sum(x for g, x in grams.items() if len(g) == 1), sum(len(g) == 1 for g in grams)
+    after: dict = {}
+    for g in grams:
+        after.setdefault(g[:-1], []).append(g[-1])
+
+    def p(h, w):
+        if not h:
+            return (grams[(w,)] + 1) / (n + v + 1)
+        if h not in after:
+            return p(h[1:], w)
+        if (*h, w) in grams:
+            return (grams[(*h, w)] - 0.5) / grams[h]
+        return p(h[1:], w) * 0.5 * len(after[h]) / grams[h] / (1 - sum(p(h[1:], u) for u in after[h]))
+
+    rows = [(k, t) for k, t in enumerate(train)] + [(1000 + k, t) for k, t in enumerate(test)]
+    got = {r.doc: r.score for r in lm.lm_scores(spark.createDataFrame(rows, "doc_id long, text string"), F.col("doc_id") >= 1000, block_tokens=700).collect()}
+    for d, t in rows:
+        seq = [lm.END, *lm.tokens_of(t)]
+        assert math.isclose(got[d], sum(math.log10(p(tuple(seq[max(0, i - 2) : i]), seq[i])) for i in range(1, len(seq))), rel_tol=1e-9), d
