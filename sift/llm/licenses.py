@@ -2,13 +2,16 @@
 
 Templates are normalised to words; the hashes of their runs of a few words are winnowed, and the kept ones form an
 inverted index from hash to template and position. A document looks up all its runs, so that any shared passage of
-``guarantee`` words meets the index. Hits whose diagonals agree make a candidate region, which is aligned word by word
-with the template inside a band around the diagonal; matched words give coverage and span.
+``guarantee`` words meets the index. Edits may leave no such passage, so of each template single words are indexed too:
+one more than may be missing from a place that is reported, the longest ones, so that any such place holds one of them.
+Hits whose diagonals agree make a candidate region. Where it holds enough of the template's words in any order, it is
+aligned word by word with the template inside a band around the diagonal; matched words give coverage and span. Found is
+thus every place whose matched words lie on diagonals no farther apart than the band.
 """
 
 from __future__ import annotations
 
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -68,12 +71,11 @@ def winnow(hashes: np.ndarray, window: int) -> list[int]:
 
 
 class Index:
-    """Templates as words and keys, and the inverted index of their winnowed runs."""
+    """Templates as words, and the inverted indexes of their winnowed runs and of the words of which one is sure to be met."""
 
-    def __init__(self, templates, run: int = RUN, guarantee: int = GUARANTEE):
-        self.run = run
-        self.names, self.words, self.keys = [], [], []
-        at: dict[int, list[tuple[int, int]]] = defaultdict(list)
+    def __init__(self, templates, run: int = RUN, guarantee: int = GUARANTEE, min_coverage: int = MIN_COVERAGE):
+        self.names, self.words, self.bags = [], [], []
+        self.at: dict[int, dict[int, list[tuple[int, int]]]] = {run: defaultdict(list), 1: defaultdict(list)}
         for name, text in templates:
             words = words_of(text)
             if not words:
@@ -81,23 +83,26 @@ class Index:
             size = np.array(list(map(len, words)), np.int64)
             end = np.cumsum(size)
             keys = word_keys(np.frombuffer(b"".join(words), np.uint8), end - size, end)
-            hashes = run_hashes(keys, min(run, len(words)))
-            if len(words) >= run:
-                for p in winnow(hashes, guarantee - run + 1):
-                    at[int(hashes[p])].append((len(self.names), p))
+            hashes = run_hashes(keys, run)
+            for p in winnow(hashes, guarantee - run + 1):
+                self.at[run][int(hashes[p])].append((len(self.names), p))
+            may_miss = len(words) * (100 - min_coverage) // 100
+            single = run_hashes(keys, 1)
+            for p in sorted(range(len(words)), key=lambda p: -size[p])[: may_miss + 1]:
+                self.at[1][int(single[p])].append((len(self.names), p))
             self.names.append(name)
             self.words.append(words)
-            self.keys.append(keys)
-        self.at = dict(at)
-        self.hashes = np.array(sorted(self.at), np.uint64)
+            self.bags.append(Counter(words))
+        self.hashes = {r: np.array(sorted(at), np.uint64) for r, at in self.at.items()}
 
-    def hits(self, keys: np.ndarray) -> np.ndarray:
-        """Words at which an indexed run begins."""
-        h = run_hashes(keys, self.run)
-        if not len(h) or not len(self.hashes):
-            return np.zeros(0, np.int64)
-        where = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-        return np.flatnonzero(self.hashes[where] == h)
+    def hits(self, keys: np.ndarray) -> Iterator[tuple[int, int, list[tuple[int, int]]]]:
+        """(word at which an indexed run begins, its length, the templates and positions)."""
+        for run, known in self.hashes.items():
+            h = run_hashes(keys, run)
+            if len(h) and len(known):
+                where = np.minimum(np.searchsorted(known, h), len(known) - 1)
+                for w in np.flatnonzero(known[where] == h).tolist():
+                    yield w, run, self.at[run][int(h[w])]
 
 
 def align(template: list[bytes], text: list[bytes], shift: int, band: int) -> tuple[int, int, int]:
@@ -122,20 +127,36 @@ def align(template: list[bytes], text: list[bytes], shift: int, band: int) -> tu
 
 
 def scan_words(words: list[bytes], hits: list[tuple[int, int, int]], index: Index, band: int, min_coverage: int) -> list[tuple[str, int, int, int, int]]:
-    """(name, matched, template words, first word, last word + 1) of each template region; hits are (word, template, position)."""
-    regions: dict[tuple[int, int], list[int]] = defaultdict(list)
+    """(name, matched, template words, first word, last word + 1) of each template region; hits are (word, template, position).
+
+    Of overlapping regions of a template the best matched is kept, and the others are aligned again beside it.
+    """
+    regions: dict[tuple[int, int], set[int]] = defaultdict(set)
     for w, t, p in hits:
-        regions[t, w - p].append(w)
-    out, taken = [], defaultdict(list)
-    for t, diagonal in sorted(regions):
+        regions[t, w - p].add(w)
+
+    def aligned(t: int, diagonal: int, a: int, b: int) -> tuple[int, int, int] | None:
         n = len(index.words[t])
-        a, b = max(0, diagonal - band), min(len(words), diagonal + n + band)
-        if any(x <= diagonal < y for x, y in taken[t]):
-            continue
+        a, b = max(a, diagonal - band), min(b, diagonal + n + band)
+        held = Counter(words[a:b])
+        if 100 * sum(min(c, held[w]) for w, c in index.bags[t].items()) < min_coverage * n:
+            return None
         matched, first, last = align(index.words[t], words[a:b], diagonal - a, band)
-        if 100 * matched >= min_coverage * n:
-            out.append((index.names[t], matched, n, a + first, a + last))
-            taken[t].append((a + first, a + last))
+        return (matched, a + first, a + last) if matched and 100 * matched >= min_coverage * n else None
+
+    found = [(t, diagonal, got) for t, diagonal in sorted(regions) if (got := aligned(t, diagonal, 0, len(words)))]
+    out, taken = [], defaultdict(list)
+    for t, diagonal, (matched, first, last) in sorted(found, key=lambda x: (x[0], -x[2][0], x[2][2] - x[2][1], x[1])):
+        if any(first < y and x < last for x, y in taken[t]):
+            free = [w for w in regions[t, diagonal] if not any(x <= w < y for x, y in taken[t])]
+            if not free:
+                continue
+            got = aligned(t, diagonal, max((y for _, y in taken[t] if y <= free[0]), default=0), min((x for x, _ in taken[t] if x > free[0]), default=len(words)))
+            if not got:
+                continue
+            matched, first, last = got
+        out.append((index.names[t], matched, len(index.words[t]), first, last))
+        taken[t].append((first, last))
     return out
 
 
@@ -149,15 +170,13 @@ def _scan(index: Index, band: int, min_coverage: int):
                 buf, offsets = flat(part.column("text"))
                 buf = ASCII_LOWER[buf]
                 starts, ends, first = word_bounds(buf, offsets, _IS_WORD)
-                at = index.hits(word_keys(buf, starts, ends))
-                owner = np.searchsorted(first, at, side="right") - 1
                 raw = buf.tobytes()
                 by_doc: dict[int, list] = defaultdict(list)
-                # The hash that was met, once more: positions may be those of several templates.
-                hashes = run_hashes(word_keys(buf, starts, ends), index.run)
-                for w, d in zip(at.tolist(), owner.tolist(), strict=True):
-                    if w + index.run <= first[d + 1]:
-                        by_doc[d] += [(w - int(first[d]), t, p) for t, p in index.at[int(hashes[w])]]
+                met = list(index.hits(word_keys(buf, starts, ends)))
+                owner = np.searchsorted(first, np.array([w for w, _, _ in met], np.int64), side="right") - 1
+                for (w, run_words, places), d in zip(met, owner.tolist(), strict=True):
+                    if w + run_words <= first[d + 1]:
+                        by_doc[d] += [(w - int(first[d]), t, p) for t, p in places]
                 docs, rows = [], []
                 for d, hits in by_doc.items():
                     a, b = int(first[d]), int(first[d + 1])
@@ -179,7 +198,7 @@ def license_spans(docs: DataFrame, templates=TEMPLATES, id_col: str = "doc_id",
     """
     ship_package(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_scan(Index(templates), band, min_coverage), "doc long, license string, matched int, words int, start int, end int")
+    return rows.mapInArrow(_scan(Index(templates, min_coverage=min_coverage), band, min_coverage), "doc long, license string, matched int, words int, start int, end int")
 
 
 def op4_license_scans(spark, sf_dir: str) -> DataFrame:

@@ -66,3 +66,23 @@ def test_whole_table(spark, small):
     for d, t in docs.items():
         for name, line in licenses.TEMPLATES[:4]:
             assert not line.lower() in t.lower() or (d, name) in got
+
+
+def test_edits_that_leave_no_run_of_words(spark):
+    """Every choice of words that the least coverage lets be other ones, the words standing apart, and notices side by side."""
+    import itertools
+
+    rows = []
+    for name, text in licenses.TEMPLATES[:6]:
+        words = text.split()
+        n = len(words_of(text))
+        if n == len(words):
+            rows += [(name, n - gone, " ".join("other" if k in at else w for k, w in enumerate(words))) for gone in range(n // 5 + 1) for at in itertools.combinations(range(n), gone)]
+    rows += [("MIT", 5, "Released it under it the it MIT it License"), ("MIT", 4, "Released under an MIT License"), ("pair", 2, "a short one"), ("one", 1, "the single here")]
+    df = spark.createDataFrame([(k, t) for k, (_, _, t) in enumerate(rows)], "doc_id long, text string").coalesce(2)
+    got = {(r.doc, r.license, r.matched) for r in licenses.license_spans(df, (*licenses.TEMPLATES, ("pair", "short one"), ("one", "single"))).collect()}
+    for k, (name, matched, t) in enumerate(rows):
+        assert (k, name, matched) in got, t
+    line = licenses.TEMPLATES[1][1] + "\n"
+    twice = licenses.license_spans(spark.createDataFrame([(1, line * 3)], "doc_id long, text string")).collect()
+    assert sorted((r.start, r.matched) for r in twice if r.license == "MIT") == [(k * len(line), 5) for k in range(3)]
