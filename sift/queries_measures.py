@@ -13,19 +13,21 @@ from sift.runtime import scratch_path
 from sift.sources.stores import ParquetSummaryStore
 
 _OBJ = "strftime(ts, '%Y-%m-%d') || '-' || CAST(user_id % 4 AS VARCHAR)"
+#: Order in which rows are drawn: by a seeded hash that Spark and DuckDB share.
+_DRAWN = "md5('5:' || CAST(event_id AS STRING)), event_id"
 
 
 def _queries(spark, column: str, n: int, suffix: bool, cap: int = 200) -> list[tuple[str, str]]:
-    """(name, piece): heads or tails of the values at every 97th row, of a length that depends on the row."""
+    """(name, piece): heads or tails of the values at ``n`` rows drawn from the whole table, of a length that depends on the row."""
     cut = "right" if suffix else "left"
-    rows = spark.sql(f"SELECT event_id, {cut}({column}, cast(1 + (event_id * 7) % least(length({column}), {cap}) AS int)) AS piece FROM access_log WHERE event_id % 97 = 3 ORDER BY event_id LIMIT {n}").collect()
-    return [(f"q{r.event_id:06d}", r.piece) for r in rows]
+    rows = spark.sql(f"SELECT event_id, {cut}({column}, cast(1 + (event_id * 7) % least(length({column}), {cap}) AS int)) AS piece FROM access_log ORDER BY {_DRAWN} LIMIT {n}").collect()
+    return [(f"q{r.event_id}", r.piece) for r in rows]
 
 
 def _factors(column: str, n: int, suffix: bool, length: int) -> str:
     """The four factors in SQL, on the objects' logical ids and the kind's definition."""
     cut, fits = ("right", "ends_with") if suffix else ("left", "starts_with")
-    return f""", q AS (SELECT 'q' || lpad(CAST(event_id AS VARCHAR), 6, '0') AS query, {cut}({column}, CAST(1 + (event_id * 7) % least(length({column}), 200) AS INTEGER)) AS piece FROM access_log WHERE event_id % 97 = 3 ORDER BY event_id LIMIT {n}),
+    return f""", q AS (SELECT 'q' || CAST(event_id AS VARCHAR) AS query, {cut}({column}, CAST(1 + (event_id * 7) % least(length({column}), 200) AS INTEGER)) AS piece FROM access_log ORDER BY {_DRAWN} LIMIT {n}),
 r AS (SELECT {_OBJ} AS obj, {column} AS v, count(*) AS n FROM access_log GROUP BY 1, 2),
 o AS (SELECT query, obj, sum(n) AS n_rows, sum(CASE WHEN {fits}(v, piece) THEN n ELSE 0 END) AS n_relevant,
       bool_or({fits}({cut}(v, {length}), {cut}(piece, {length}))) AS keep FROM r, q GROUP BY 1, 2),

@@ -24,3 +24,14 @@ def test_sessions_words_and_ranges_cover_the_tables(spark, tiny, run):
     texts = [r.text for r in spark.read.parquet(f"{tiny}/documents.parquet").collect()]
     assert sum(r.n for r in run("arr_explode").collect()) == sum(len(t.split(" ")) for t in texts)
     assert sorted(r.event_id for r in run("join_range").collect()) == sorted(e for e in events if e % 700 <= 50)
+
+
+def test_workload_values_are_drawn_from_the_whole_table(spark, tiny):
+    from sift import queries_measures
+    from sift import workloads as W
+
+    W.session(spark, tiny, "access_log")
+    top = spark.read.parquet(f"{tiny}/events.parquet").count()
+    for n in (20, 50):
+        ids = sorted(int(name[1:]) for name, _ in queries_measures._queries(spark, "db_name", n, False))
+        assert len(set(ids)) == n and ids[0] < top / 4 and ids[-1] > 3 * top / 4 and len({k % 97 for k in ids}) > 10
