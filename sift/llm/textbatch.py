@@ -37,6 +37,11 @@ def flat(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return buf[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
+#: Bytes that are not ASCII white space.
+IS_SOLID = np.ones(256, bool)
+IS_SOLID[[9, 10, 11, 12, 13, 32]] = False
+
+
 def word_bounds(buf: np.ndarray, offsets: np.ndarray, is_word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Byte starts and ends of maximal runs of word bytes, and for each text the index of its first word (len+1)."""
     if not buf.size:
@@ -75,3 +80,46 @@ def word_keys(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarr
     key ^= key >> np.uint64(29)
     key *= _C2
     return key ^ (key >> np.uint64(32))
+
+
+def _stirred(h: np.ndarray) -> np.ndarray:
+    """One-to-one scrambling of 64-bit values, in place."""
+    h ^= h >> np.uint64(32)
+    h *= _C1
+    h ^= h >> np.uint64(29)
+    h *= _C2
+    h ^= h >> np.uint64(32)
+    return h
+
+
+#: Words of more bytes are hashed one by one.
+_GIANT = 4096
+
+
+def word_digests(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int = 0) -> np.ndarray:
+    """A 64-bit digest of all bytes of each word; digests by other seeds are independent."""
+    size = ends - starts
+    h = size.astype(np.uint64) * _C3
+    h += np.uint64((seed * 0xA0761D6478BD642F + 0x2545F4914F6CDD1D) & (2**64 - 1))
+    if not len(starts):
+        return h
+    padded = np.zeros(buf.size + 16, np.uint8)
+    padded[8 : 8 + buf.size] = buf
+    eight = np.ndarray((buf.size + 9,), "<u8", padded, strides=(1,))
+    h ^= eight[starts + 8] & _MASK[np.minimum(size, 8)]
+    h = _stirred(h)
+    some = np.flatnonzero(size > 8)
+    if some.size:
+        h[some] = _stirred(h[some] ^ eight[ends[some]])
+        some = some[size[some] <= _GIANT]
+        for k in range(8, _GIANT, 8):  # what lies between the first and the last eight bytes
+            some = some[size[some] - 8 > k]
+            if not some.size:
+                break
+            h[some] = _stirred(h[some] ^ eight[starts[some] + 8 + k])
+        giant = np.flatnonzero(size > _GIANT)
+        if giant.size:
+            import xxhash
+
+            h[giant] ^= np.array([xxhash.xxh3_64_intdigest(buf[starts[i] : ends[i]].tobytes(), seed) for i in giant], np.uint64)
+    return h

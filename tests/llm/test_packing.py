@@ -61,8 +61,31 @@ def test_tree_levels(spark, tiny):
 
 def test_sequences_hold_the_ids(spark, tiny):
     docs = spark.read.parquet(f"{tiny}/documents.parquet")
-    total = 0
+    total, held = 0, {}
     for r in packing.sequences(docs, PATH).collect():
-        assert len(r.ids_hex) == 8 * sum(d.length for d in r.docs)
-        total += len(r.ids_hex) // 8
+        whole = np.array(r.ids, "<u4")
+        for d in r.docs:
+            held[d.doc] = held.get(d.doc, []) + [(d.piece, whole[d.place : d.place + d.length].tolist())]
+        assert len(r.ids) == sum(d.length for d in r.docs)
+        total += len(r.ids)
     assert total == packing.cut_pieces(docs, PATH).groupBy().sum("length").first()[0]
+    tk = Tokenizer.from_file(PATH)
+    for r in docs.collect():
+        assert sum((ids for _, ids in sorted(held[r.doc_id])), []) == tk.encode(r.text or "", add_special_tokens=False).ids + [0]
+
+
+def test_odd_words():
+    """Words of every class, alone and in texts, have the ids of the plain tokenizer; so they have from a nearly full cache."""
+    import random
+
+    import pyarrow as pa
+
+    rng = random.Random(5)
+    letters = ["a", "Z", "the", "É", "ß", "Ö", "÷", "×", "ÿ", "ñ", "'", "'s", "'ll", "I", "1", "23", "²", "<", "|", "<|endoftext|>", "<|ENDOFTEXT|>", "=", "--", "_", "İ", "Σ", "e\u0301", "A\u030a", "中", "🙂", "\x1c", "\u00a0", "\u2003", "\x85", "\x00", "fi", "ǅ", "x" * 40]
+    texts = [None, "", " \n"] + ["".join(rng.choice(letters + [" "] * 8) for _ in range(rng.randrange(1, 40))) for _ in range(3000)]
+    tk, coder = Tokenizer.from_file(PATH), packing.WordEncoder(PATH)
+    for lot in range(0, len(texts), 300):
+        some = texts[lot : lot + 300]
+        ids, first = coder.encode(pa.array(some, pa.string()))
+        for k, t in enumerate(some):
+            assert ids[first[k] : first[k + 1]].tolist() == tk.encode(t or "", add_special_tokens=False).ids, t
