@@ -3,13 +3,17 @@
 The test strings are the 13-word windows of the benchmark items (an item of fewer words is one window). For each window
 length there is a table of shifts indexed by hashed two-word blocks: standing on a possible last word of a window, the
 block there tells how far the next possible end lies. Where the shift is zero the hash of the whole window selects a
-bucket, and the words themselves are compared. All texts of a slice are searched side by side, a lane for each stretch
+bucket, and the words themselves are compared. The tables are arrays in files that the workers map. All texts of a slice are searched side by side, a lane for each stretch
 of words, so that every step is one vector operation.
 """
 
 from __future__ import annotations
 
+import json
+import os
 import re
+import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,13 +22,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from sift.llm.expr import let
-from sift.llm.textbatch import ASCII_LOWER, flat, slices, word_bounds, word_keys
+from sift.llm.textbatch import ASCII_LOWER, flat, slices, spread, word_bounds, word_digests, word_keys
 from sift.runtime import ship_package
 
 WINDOW = 13
-#: Bytes of benchmark text whose tables a task holds at once; a larger benchmark is searched in so many passes.
-BLOCK_BYTES = 32 << 20
+#: Characters of benchmark text whose tables are built at once, in some ten times as many bytes.
+BLOCK_BYTES = 16 << 20
 LANE_WORDS = 256
 #: Bytes of documents searched side by side.
 SEARCH_BYTES = 2 << 20
@@ -59,23 +62,33 @@ def _window_hash(keys: np.ndarray, last: np.ndarray, m: int) -> np.ndarray:
 
 
 class Searcher:
-    """The tables for windows of one length."""
-
-    def __init__(self, m: int, windows: list[tuple[bytes, ...]], items: list[tuple]):
-        self.m = m
-        joined = [b" ".join(w) for w in windows]
-        self.items = dict(zip(joined, items, strict=True))
-        sizes = np.array([len(w) for ws in windows for w in ws], np.int64)
-        buf = np.frombuffer(b"".join(w for ws in windows for w in ws), np.uint8)
-        ends = np.cumsum(sizes)
-        keys = word_keys(buf, ends - sizes, ends).reshape(len(windows), m)
+    """The tables for windows of one length, as arrays.
+
+    shift: by block. hashes: of the distinct windows, sorted; equal ones, if any, in a row. at: first word of each in the
+    block's benchmark text. item_at, item: the items of each window, as indices.
+    """
+
+    FIELDS = ("shift", "hashes", "at", "item_at", "item")
+
+    def __init__(self, m: int, shift: np.ndarray, hashes: np.ndarray, at: np.ndarray, item_at: np.ndarray, item: np.ndarray):
+        self.m, self.shift, self.hashes, self.at, self.item_at, self.item = m, shift, hashes, at, item_at, item
+
+    @classmethod
+    def build(cls, m: int, keys: np.ndarray, digests: np.ndarray, at: np.ndarray, item: np.ndarray) -> Searcher:
+        """From the words' keys and full digests, the first word of each window and its item; windows may be repeated."""
         block = min(2, m)
-        self.shift = np.full(1 << _TABLE_BITS, m - block + 1, np.int64)
+        blocks = _blocks(keys, m)
+        shift = np.full(1 << _TABLE_BITS, m - block + 1, np.uint8)
         for j in range(block - 1, m):
-            pair = keys[:, j - 1 : j + 1] if m > 1 else keys[:, j : j + 1]
-            at = _blocks(pair.reshape(-1), m)[pair.shape[1] - 1 :: pair.shape[1]]
-            np.minimum.at(self.shift, at, m - 1 - j)
-        self.hashes = np.unique(_window_hash(keys.reshape(-1), np.arange(len(windows)) * m + m - 1, m))
+            np.minimum.at(shift, blocks[at + j], m - 1 - j)
+        search, proof = (_window_hash(x, at + m - 1, m) for x in (keys, digests))
+        order = np.lexsort((item, proof, search))
+        search, proof, at, item = search[order], proof[order], at[order], item[order]
+        new = np.ones(len(at), bool)
+        new[1:] = (search[1:] != search[:-1]) | (proof[1:] != proof[:-1])
+        own = new.copy()
+        own[1:] |= item[1:] != item[:-1]
+        return cls(m, shift, search[new], at[new], np.r_[np.flatnonzero(new[own]), own.sum()], item[own].astype(np.int32))
 
     def search(self, keys: np.ndarray, first_word: np.ndarray) -> np.ndarray:
         """Last words of the windows that may be test strings: hash equal, words still to be compared."""
@@ -102,99 +115,199 @@ class Searcher:
         where = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
         return last[self.hashes[where] == h]
 
-
-def build_searchers(benchmark: list[tuple[str | None, str | None]], window: int = WINDOW) -> list[Searcher]:
-    """One searcher for each window length that occurs. Items without words have no windows."""
-    by_length: dict[int, dict[tuple[bytes, ...], set]] = {}
-    for item, text in benchmark:
-        words = words_of(text)
-        if words:
-            m = min(window, len(words))
-            held = by_length.setdefault(m, {})
-            for i in range(len(words) - m + 1):
-                held.setdefault(tuple(words[i : i + m]), set()).add(item)
-    return [Searcher(m, list(held), [tuple(x) for x in held.values()]) for m, held in sorted(by_length.items())]
-
-
-SPANS = "_spans array<struct<a:int,b:int>>, _items array<string>, _n long"
-_SPANS_TYPE = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
-
-
-def search_slice(part: pa.RecordBatch, text_col: str, searchers: list[Searcher]) -> tuple[list, list, np.ndarray]:
-    """For each text: confirmed occurrences as word intervals [a, b), the items that have one, and the number of words."""
-    buf, offsets = flat(part.column(text_col))
+    def candidates(self, keys: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(last word, window) of all windows in the bucket of each place."""
+        h = _window_hash(keys, last, self.m)
+        low, high = (np.searchsorted(self.hashes, h, side) for side in ("left", "right"))
+        return np.repeat(last, high - low), spread(low, high - low)
+
+
+#: Places compared word by word at once.
+_COMPARED = 8192
+
+
+class Block:
+    """The benchmark text of one block, its words, and a searcher for each window length that occurs."""
+
+    def __init__(self, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, items: list[str | None], searchers: list[Searcher]):
+        self.buf, self.starts, self.ends, self.items, self.searchers = buf, starts, ends, items, searchers
+
+    @classmethod
+    def build(cls, benchmark: list[tuple[str | None, str]], window: int = WINDOW) -> Block:
+        """Of (item, text); items without words have no windows."""
+        buf, offsets = flat(pa.array([t for _, t in benchmark], pa.string()))
+        buf = ASCII_LOWER[buf]
+        starts, ends, first = word_bounds(buf, offsets, _IS_WORD)
+        keys, digests = word_keys(buf, starts, ends), word_digests(buf, starts, ends)
+        size = np.diff(first)
+        length = np.minimum(size, window)
+        searchers = []
+        for m in np.unique(length[size > 0]).tolist():
+            of = np.flatnonzero(length == m)
+            n = size[of] - m + 1
+            searchers.append(Searcher.build(m, keys, digests, spread(first[of], n), np.repeat(of, n)))
+        return cls(buf, starts, ends, [i for i, _ in benchmark], searchers)
+
+    def save(self, path: str) -> None:
+        """One file: a line that tells names, types and lengths, then the arrays."""
+        arrays = {"buf": self.buf, "starts": self.starts, "ends": self.ends}
+        for s in self.searchers:
+            arrays |= {f"{s.m}.{f}": getattr(s, f) for f in Searcher.FIELDS}
+        held = [(n, x.dtype.str, len(x)) for n, x in arrays.items()]
+        with open(path, "wb") as f:
+            f.write(json.dumps({"arrays": held, "items": self.items}).encode() + b"\n")
+            for x in arrays.values():
+                f.write(bytes(-f.tell() % 8))
+                f.write(np.ascontiguousarray(x).data)
+
+    @classmethod
+    def load(cls, path: str) -> Block:
+        """The arrays stay in the file, mapped: they take up no worker's memory beyond what is being read."""
+        with open(path, "rb") as f:
+            head = json.loads(f.readline())
+            at = f.tell()
+        raw = np.memmap(path, np.uint8, "r")
+        arrays = {}
+        for name, kind, n in head["arrays"]:
+            at += -at % 8
+            size = n * np.dtype(kind).itemsize
+            arrays[name] = raw[at : at + size].view(kind)
+            at += size
+        lengths = sorted({int(n.split(".")[0]) for n in arrays if "." in n})
+        return cls(arrays["buf"], arrays["starts"], arrays["ends"], head["items"], [Searcher(m, *(arrays[f"{m}.{f}"] for f in Searcher.FIELDS)) for m in lengths])
+
+    def _equal(self, m: int, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, first: np.ndarray, other: np.ndarray) -> np.ndarray:
+        """Whether the m words from each of ``first`` are those of the benchmark from ``other``."""
+        out = np.zeros(len(first), bool)
+        for k in range(0, len(first), _COMPARED):
+            words = first[k : k + _COMPARED, None] + np.arange(m), other[k : k + _COMPARED, None] + np.arange(m)
+            size = ends[words[0]] - starts[words[0]]
+            same = (size == self.ends[words[1]] - self.starts[words[1]]).all(axis=1)
+            left, right = (x[w[same]].ravel() for x, w in ((starts, words[0]), (self.starts, words[1])))
+            n = size[same].ravel()
+            differs = buf[spread(left, n)] != self.buf[spread(right, n)]
+            if n.size:
+                bounds = (np.cumsum(n) - n)[::m]
+                same[same] = np.add.reduceat(differs, bounds, dtype=np.int64) == 0
+            out[k : k + _COMPARED] = same
+        return out
+
+    def occurrences(self, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, first: np.ndarray, keys: np.ndarray) -> Iterator[tuple[np.ndarray, int, np.ndarray, np.ndarray]]:
+        """(first words, window length, windows' item bounds) of confirmed occurrences."""
+        for s in self.searchers:
+            last, window = s.candidates(keys, s.search(keys, first))
+            sure = self._equal(s.m, buf, starts, ends, last - s.m + 1, s.at[window])
+            begin, window = last[sure] - s.m + 1, window[sure]
+            n = s.item_at[window + 1] - s.item_at[window]
+            yield begin, s.m, np.repeat(begin, n), s.item[spread(s.item_at[window], n)]
+
+
+def search_slice(text: pa.Array, blocks: list[Block]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[list[str]]]:
+    """(span offsets by text, a, b, words by text, items by text): what occurrences cover, as word intervals [a, b) merged where they meet."""
+    buf, offsets = flat(text)
     buf = ASCII_LOWER[buf]
     starts, ends, first = word_bounds(buf, offsets, _IS_WORD)
     keys = word_keys(buf, starts, ends)
-    raw = buf.tobytes()
-    spans: list = [None] * part.num_rows
-    items: list = [None] * part.num_rows
-    for s in searchers:
-        last = s.search(keys, first)
-        text = np.searchsorted(first, last, side="right") - 1
-        for w, d in zip(last.tolist(), text.tolist(), strict=True):
-            at = slice(w - s.m + 1, w + 1)
-            got = s.items.get(b" ".join(raw[a:b] for a, b in zip(starts[at].tolist(), ends[at].tolist(), strict=True)))
-            if got is not None:
-                if spans[d] is None:
-                    spans[d], items[d] = [], set()
-                a = w - s.m + 1 - int(first[d])
-                if spans[d] and spans[d][-1][0] <= a <= spans[d][-1][1]:
-                    spans[d][-1] = (spans[d][-1][0], max(spans[d][-1][1], a + s.m))
-                else:
-                    spans[d].append((a, a + s.m))
-                items[d].update(got)
-    return spans, items, np.diff(first)
-
-
-def _search(searchers: list[Searcher], names: list[str], text_col: str):
+    begins, stops = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    items: list[set | None] = [None] * len(text)
+    for block in blocks:
+        for begin, m, at, item in block.occurrences(buf, starts, ends, first, keys):
+            begins.append(begin)
+            stops.append(begin + m)
+            text_of = np.searchsorted(first, at, side="right") - 1
+            pairs = np.unique(text_of * np.int64(len(block.items)) + item)
+            for p in pairs.tolist():
+                d, i = divmod(p, len(block.items))
+                if items[d] is None:
+                    items[d] = set()
+                items[d].add(block.items[i])
+    a, b = np.concatenate(begins), np.concatenate(stops)
+    order = np.argsort(a, kind="stable")
+    a, b = a[order], np.maximum.accumulate(b[order]) if len(a) else b
+    # No interval leaves its text; those that meet across a border of texts are of two texts.
+    text_of = np.searchsorted(first, a, side="right") - 1
+    new = np.ones(len(a), bool)
+    new[1:] = (a[1:] > b[:-1]) | (text_of[1:] != text_of[:-1])
+    at = np.flatnonzero(new)
+    a, b, text_of = a[at], b[np.r_[at[1:], len(new)] - 1] if len(at) else b[:0], text_of[at]
+    bounds = np.searchsorted(text_of, np.arange(len(text) + 1))
+    return bounds, a - first[text_of], b - first[text_of], np.diff(first), [sorted(x for x in i or () if x is not None) for i in items]
+
+
+_blocks_read: dict[str, Block] = {}
+
+
+def _block(name: str) -> Block:
+    """This worker's view of a shipped block."""
+    from pyspark import SparkFiles
+
+    if name not in _blocks_read:
+        _blocks_read[name] = Block.load(SparkFiles.get(name))
+    return _blocks_read[name]
+
+
+FOUND = "_n long, _hit long, _items array<string>, _spans array<struct<a:int,b:int>>"
+
+
+def _search(shipped: list[str], names: list[str], text_col: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for gone in set(_blocks_read) - set(shipped):
+            del _blocks_read[gone]
+        blocks = [_block(name) for name in shipped]
         for batch in batches:
             for part in slices(batch, text_col, SEARCH_BYTES):
-                spans, items, n = search_slice(part, text_col, searchers)
-                out = [[{"a": a, "b": b} for a, b in s or ()] for s in spans]
-                ids = [sorted(x for x in i or () if x is not None) for i in items]
-                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array(out, _SPANS_TYPE), pa.array(ids, pa.list_(pa.string())), pa.array(n, pa.int64())], [*names, "_spans", "_items", "_n"])
+                bounds, a, b, n, items = search_slice(part.column(text_col), blocks)
+                hit = np.r_[0, np.cumsum(b - a)][bounds]
+                spans = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.StructArray.from_arrays([pa.array(x.astype(np.int32)) for x in (a, b)], ["a", "b"]))
+                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array(n, pa.int64()), pa.array(np.diff(hit), pa.int64()), pa.array(items, pa.list_(pa.string())), spans], [*names, "_n", "_hit", "_items", "_spans"])
 
     return run
 
 
-def _hit_words(spans: str) -> str:
-    """SQL for the number of words that an array of intervals covers."""
-    sorted_ = f"array_sort({spans})"
-    return f"aggregate({sorted_}, struct(0L AS n, 0 AS up), (s, x) -> struct(s.n + greatest(0, x.b - greatest(s.up, x.a)) AS n, greatest(s.up, x.b) AS up), s -> s.n)"
+def ship_blocks(benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> list[str]:
+    """Build the tables of (i, t) block by block and hand each to the executors as a file; the files' names."""
+    spark = benchmark.sparkSession
+    folder, names = tempfile.mkdtemp(prefix="sift-benchmark-"), []
+
+    def ship(rows: list[tuple[str | None, str]]) -> None:
+        block = Block.build(rows, window)
+        if block.searchers:
+            names.append(f"sift-benchmark-{uuid.uuid4().hex}")
+            block.save(os.path.join(folder, names[-1]))
+            spark.sparkContext.addFile(os.path.join(folder, names[-1]))
+
+    held, size = [], 0
+    for r in benchmark.toLocalIterator():
+        if held and size + len(r.t) > block_bytes:
+            ship(held)
+            held, size = [], 0
+        held.append((r.i, r.t))
+        size += len(r.t)
+    if held:
+        ship(held)
+    return names
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None, name: str = "contamination") -> DataFrame:
     """The ``carry`` columns of ``docs`` (default: all but the text), then a struct of n_words, n_hit, items (sorted), spans, contaminated.
 
-    spans are the word intervals that occurrences cover, merged where they meet in order. A null text has no words; a
-    null item id marks words as hit but is in no list of items; repeated item ids count once. The benchmark is the
-    bounded side: its size is summed first and it is searched in blocks of ``block_bytes``, each block in one pass over
-    the documents. An empty benchmark finds nothing.
+    spans are the word intervals that occurrences cover, merged where they meet. A null text has no words; a null item
+    id marks words as hit but is in no list of items; repeated items count once. The benchmark is the bounded side: its
+    tables are built for ``block_bytes`` of text at a time, and workers map them from files, so that neither the driver
+    nor a task holds more than one block and the documents are read once. An empty benchmark finds nothing.
     """
     ship_package(docs.sparkSession)
     carry = [c for c in docs.columns if c != text_col] if carry is None else carry
-    side = benchmark.select(F.col(item_col).cast("string").alias("i"), F.col(item_text_col).cast("string").alias("t")).where("t is not null")
-    size = side.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
-    blocks = max(1, -(-size // block_bytes))
+    shipped = ship_blocks(benchmark.select(F.col(item_col).cast("string").alias("i"), F.col(item_text_col).cast("string").alias("t")).where("t is not null"), window, block_bytes)
     # The text itself is sent once, also where it is carried.
     same = docs.schema[text_col].dataType == T.StringType()
     names = ["_text" if same and c == text_col else f"_c{i}" for i, c in enumerate(carry)]
-    state = docs.select(F.col(text_col).cast("string").alias("_text"), *(F.col(f"`{c}`").alias(n) for n, c in zip(names, carry, strict=True) if n != "_text"), F.expr("array()").cast("array<struct<a:int,b:int>>").alias("_had"), F.expr("array()").cast("array<string>").alias("_had_items"))
-    for k in range(blocks):
-        of = side.where(F.pmod(F.xxhash64("i", "t"), F.lit(blocks)) == k) if blocks > 1 else side
-        searchers = build_searchers([(r.i, r.t) for r in of.toLocalIterator()], window)
-        keep = list(dict.fromkeys([*names, *(["_text"] if k < blocks - 1 else []), *(["_had", "_had_items"] if k else [])]))
-        read = state.select(*dict.fromkeys([*keep, "_text"]))
-        schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in state.select(*keep).schema) + f", {SPANS}" if keep else SPANS
-        state = read.mapInArrow(_search(searchers, keep, "_text"), schema)
-        if k:
-            state = state.withColumn("_spans", F.concat("_had", "_spans")).withColumn("_items", F.array_union("_had_items", "_items"))
-        if k < blocks - 1:
-            state = state.withColumn("_had", F.col("_spans")).withColumn("_had_items", F.col("_items")).drop("_spans", "_items", "_n")
-    n_hit = F.expr(f"CASE WHEN size(_spans) = 0 THEN 0L ELSE {_hit_words('_spans')} END")
-    told = let(n_hit, lambda h: F.struct(F.col("_n").alias("n_words"), h.alias("n_hit"), F.array_sort("_items").alias("items"), F.col("_spans").alias("spans"), ((h > 0) & (20 * h >= F.col("_n"))).alias("contaminated")))
+    read = docs.select(F.col(text_col).cast("string").alias("_text"), *(F.col(f"`{c}`").alias(n) for n, c in zip(names, carry, strict=True) if n != "_text"))
+    kept = list(dict.fromkeys(names))
+    schema = ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in read.select(*kept).schema), FOUND])
+    state = read.mapInArrow(_search(shipped, kept, "_text"), schema)
+    hit = F.col("_hit")
+    told = F.struct(F.col("_n").alias("n_words"), hit.alias("n_hit"), F.col("_items").alias("items"), F.col("_spans").alias("spans"), ((hit > 0) & (20 * hit >= F.col("_n"))).alias("contaminated"))
     return state.select(*(F.col(n).alias(c) for n, c in zip(names, carry, strict=True)), told.alias(name))
 
 

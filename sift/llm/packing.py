@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sift.llm.textbatch import IS_SOLID, flat, slices, word_bounds, word_digests
+from sift.llm.textbatch import IS_SOLID, flat, slices, spread, word_bounds, word_digests
 from sift.runtime import materialise, ship_package
 
 CAPACITY = 2048
@@ -145,7 +145,7 @@ class WordEncoder:
         """All words' ids in a row, and how many each has."""
         size = ends - starts
         first = np.cumsum(size) - size
-        raw = buf[_spread(starts, size)]  # the words without gaps
+        raw = buf[spread(starts, size)]  # the words without gaps
         kind = _CLASS[raw]
         latin = np.flatnonzero(raw[:-1] == _LATIN)
         latin = latin[~np.isin(raw[latin + 1], (_TIMES, _DIVIDED))]
@@ -175,7 +175,7 @@ class WordEncoder:
             pool = np.concatenate([ids, *found])
             n[hard] = list(map(len, found))
             before[hard] = len(ids) + np.cumsum(n[hard]) - n[hard]
-            ids = pool[_spread(before, n)]
+            ids = pool[spread(before, n)]
         return ids, n
 
     def _know(self, key: np.ndarray, proof: np.ndarray, ids: np.ndarray, n: np.ndarray) -> None:
@@ -190,7 +190,7 @@ class WordEncoder:
         """Keep what was met last, and its ids only."""
         keep = np.flatnonzero(self.met >= max(np.partition(self.met, -(CACHE_WORDS // 2))[-(CACHE_WORDS // 2)], self.met.min() + 1))
         self.key, self.proof, self.n, self.met = (x[keep] for x in (self.key, self.proof, self.n, self.met))
-        self.pool = self.pool[_spread(self.at[keep], self.n)]
+        self.pool = self.pool[spread(self.at[keep], self.n)]
         self.at = np.cumsum(self.n) - self.n
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -218,7 +218,7 @@ class WordEncoder:
             self._know(key[fresh], proof[fresh], *self._learn(buf, starts[one[fresh]], ends[one[fresh]]))
             place = np.searchsorted(self.key, key)
         n = self.n[place][which]
-        ids = self.pool[_spread(self.at[place][which], n)]
+        ids = self.pool[spread(self.at[place][which], n)]
         if len(self.key) > CACHE_WORDS:
             self._forget()
         return ids, np.r_[0, np.cumsum(n)][first]
@@ -228,11 +228,6 @@ class WordEncoder:
         return np.concatenate([np.zeros(0, "<u4"), *found]), np.r_[0, np.cumsum(list(map(len, found)), dtype=np.int64)]
 
 
-def _spread(at: np.ndarray, n: np.ndarray) -> np.ndarray:
-    """Indices at[0], at[0] + 1, ... (n[0] of them), at[1], ..."""
-    return np.repeat(at - (np.cumsum(n) - n), n) + np.arange(n.sum())
-
-
 def encoder(path: str) -> WordEncoder:
     """This worker's encoder for a tokenizer file."""
     if path not in _encoders:

@@ -62,6 +62,11 @@ def word_bounds(buf: np.ndarray, offsets: np.ndarray, is_word: np.ndarray) -> tu
     return starts, ends, np.searchsorted(starts, offsets)
 
 
+def spread(at: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Indices at[0], at[0] + 1, ... (n[0] of them), at[1], ..."""
+    return np.repeat(at - (np.cumsum(n) - n), n) + np.arange(n.sum())
+
+
 _MASK = np.array([(1 << (8 * n)) - 1 for n in range(8)] + [2**64 - 1], dtype=np.uint64)
 _C1, _C2, _C3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 
