@@ -1,262 +1,344 @@
-"""Language-model scoring by weighted backoff over words.
-
-Words have add-one unigram probabilities from counts over all training texts. Every n-gram of two words and more that
-was seen at least ``least`` times, once by default, is kept with its discounted probability, and every context with a
-failure weight by which its probabilities add up to one. Scoring goes from the longest context to the shorter ones:
-an n-gram that isn't kept costs the weight of its context, and a context that isn't kept costs nothing.
-
-Nothing that grows with the corpus is broadcast or collected: counts, n-grams and weights are stored tables. Texts are
-dealt into blocks, each block asks for the words, n-grams and contexts of its own texts by joins, and is scored with them.
-Words are compared by their bytes; n-grams by 64-bit digests of their two parts, the context and the n-gram without its
-first word.
+"""Language-model scoring by a weighted backoff automaton over words.
+
+The model is an n-gram model of three words with Dirichlet smoothing: the probability of a word after a context is
+(c + strength * lower) / (n + strength), where c counts the n-gram, n the context, and lower is the probability after the
+context without its first word; below stand add-one unigrams. As an automaton: states are the seen contexts, an arc for
+each n-gram ever seen carries that probability, and a failure arc to the shorter context carries strength / (n + strength).
+A traversal from left to right keeps the longest seen context as its state. As that state depends on the last words only,
+the places of a block of texts are traversed side by side. Every n-gram is kept, however rare.
+
+Nothing that grows with the corpus is broadcast or collected. Texts are packed into blocks. Each block asks for the counts
+of its own distinct n-grams: sorted digests, as gaps of a few bytes, dealt by ranges of digests to tasks that add up the
+blocks' counts and answer each block in the order of its question. A block is then scored with what it got back. N-grams
+are told apart by digests of 60 bits.
 """
 
 from __future__ import annotations
 
-import hashlib
 import math
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sift.llm.textbatch import slices
-from sift.runtime import materialise, ship_package
+from sift.llm.textbatch import ASCII_LOWER, IS_SOLID, flat, slices, spread, word_bounds, word_digests
+from sift.runtime import ship_package
 
 ORDER = 3
-#: Times that an n-gram has to be seen, and its least share of the training tokens; by these two all are kept.
-LEAST = 1
-SHARE = 0.0
-DISCOUNT = 0.5
-#: Tokens of the texts that are scored together.
-BLOCK_TOKENS = 1_000_000
-END = b""
+#: Weight of the shorter context, in counts.
+STRENGTH = 4.0
+#: Bytes of text in a block, and tokens in the corpus for each range of digests.
+BLOCK_BYTES = 8 << 20
+RANGE_TOKENS = 1_000_000
+DIGEST_BITS = 60
+_SHIFT = np.uint64(64 - DIGEST_BITS)
+#: Digest of the end, before it is cut to its bits; the mark before a text's first word is the same.
+_END = np.uint64(0x5851F42D4C957F2D)
+_P1, _P2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
 def tokens_of(text: str | None) -> list[bytes]:
     """The contract's tokens: words between ASCII white space, A-Z lower-cased, and one end."""
-    return [*(text or "").encode().lower().split(), END]
+    return [*(text or "").encode().lower().split(), b""]
+
+
+def place_digests(buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Digests of the tokens of all texts, a mark before each text's first, and each place's distance from its mark."""
+    buf = ASCII_LOWER[buf]
+    starts, ends, first = word_bounds(buf, offsets, IS_SOLID)
+    words = np.diff(first)
+    out = np.full(len(starts) + 2 * len(words), _END)
+    out[np.arange(len(starts)) + np.repeat(2 * np.arange(len(words)) + 1, words)] = word_digests(buf, starts, ends)
+    size = words + 2
+    return out, np.arange(len(out)) - np.repeat(np.cumsum(size) - size, size)
+
+
+def longer(keys: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """Digests of one word more: of the n-gram that ends at the place before and the word here (none at the first place)."""
+    out = np.zeros_like(keys)
+    h = (keys[:-1] ^ (keys[:-1] >> np.uint64(31))) * _P1
+    h ^= words[1:] * _P2
+    h ^= h >> np.uint64(29)
+    h *= _P1
+    out[1:] = h ^ (h >> np.uint64(32))
+    return out
+
+
+def ngram_keys(words: np.ndarray, order: int) -> list[np.ndarray]:
+    """For m from 1 the keys of the m-grams that end at each place; of one text where its distance is m - 1 at least."""
+    raw = [words]
+    for _ in range(1, order):
+        raw.append(longer(raw[-1], words))
+    return [k >> _SHIFT for k in raw]
 
 
-def digest(word: bytes) -> int:
-    """64-bit digest of a word, as a signed number."""
-    return int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little", signed=True)
+def as_question(keys: np.ndarray, counts: np.ndarray, ranges: int) -> tuple[np.ndarray, int, np.ndarray, np.ndarray, np.ndarray]:
+    """(asked keys, bytes a gap, gaps, counts of one byte, the ranges+1 bounds) for sorted distinct keys with their counts.
 
+    A count beyond 255 repeats its key; a gap too wide for the chosen bytes is bridged by keys that count nothing. Each
+    range's first gap is from the range's own beginning.
+    """
+    width_of = (1 << DIGEST_BITS) // ranges + 1
+    times = np.maximum(1, -(-counts // 255))
+    if len(times) and times.max() > 1:
+        each = np.repeat(keys, times)
+        last = np.cumsum(times) - 1
+        c = np.full(len(each), 255, np.int64)
+        c[last] = counts - 255 * (times - 1)
+        keys, counts = each, c
+    of = (keys // np.uint64(width_of)).astype(np.int64)
+    begin = (of * width_of).astype(np.uint64)
+    gaps = keys - begin
+    if len(keys) > 1:
+        same = of[1:] == of[:-1]
+        gaps[1:][same] = (keys[1:] - keys[:-1])[same]
+    size = [w * (len(keys) + int((gaps >> np.uint64(8 * w)).sum())) for w in range(4, 8)] + [8 * len(keys)]
+    w = 4 + int(np.argmin(size))
+    if w < 8:
+        over = (gaps >> np.uint64(8 * w)).astype(np.int64)  # so many bridges before the key, each of the widest gap
+        if over.any():
+            most = np.uint64((1 << (8 * w)) - 1)
+            over = (gaps // most).astype(np.int64)
+            n = over + 1
+            last = np.cumsum(n) - 1
+            wide = np.full(n.sum(), most)
+            wide[last] = gaps - over.astype(np.uint64) * most
+            base = np.repeat(keys - gaps, n)
+            step = np.arange(len(wide)) - np.repeat(last - over, n) + 1
+            whole = base + step.astype(np.uint64) * most
+            whole[last] = keys
+            c = np.zeros(len(wide), np.int64)
+            c[last] = counts
+            gaps, keys, counts, of = wide, whole, c, np.repeat(of, n)
+    return keys, w, gaps.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :w].ravel(), counts.astype(np.uint8), np.searchsorted(of, np.arange(ranges + 1))
+
+
+def asked_keys(begin: np.ndarray, gaps: np.ndarray, sizes: np.ndarray, width: int) -> np.ndarray:
+    """The keys of several questions in a row; ``begin`` is where the range of each begins, ``sizes`` their numbers of keys."""
+    wide = np.zeros((len(gaps) // width, 8), np.uint8)
+    wide[:, :width] = gaps.reshape(-1, width)
+    step = wide.ravel().view("<u8").astype(np.uint64)
+    at = np.cumsum(sizes) - sizes
+    run = np.cumsum(step)  # modulo 2 ** 64, which the differences below don't mind
+    return run + np.repeat(begin - (run[at] - step[at]), sizes)
+
+
+def _binary(data: np.ndarray, bounds: np.ndarray) -> pa.Array:
+    """Stretches of a byte buffer."""
+    return pa.Array.from_buffers(pa.binary(), len(bounds) - 1, [None, pa.py_buffer(np.ascontiguousarray(bounds, np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
+
+
+def _bytes_of(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """All values of a binary column without gaps, and their sizes."""
+    if not len(column):
+        return np.zeros(0, np.uint8), np.zeros(0, np.int64)
+    parts = [flat(c.cast(pa.binary())) for c in column.chunks if len(c)]
+    return np.concatenate([x for x, _ in parts]), np.concatenate([np.diff(o) for _, o in parts])
+
+
+# -- words of the training texts
 
-class _Digests(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 1_000_000:
-            self.clear()
-        self[word] = got = digest(word)
-        return got
 
+def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, n, tokens): training tokens by key and slice; held-out slices tell their number of tokens only."""
+    for batch in batches:
+        for part in slices(batch, "text"):
+            words, depth = place_digests(*flat(part.column("text")))
+            held = np.asarray(part.column("held_out").to_numpy(zero_copy_only=False), bool)
+            text = np.cumsum(depth == 0) - 1
+            key = np.sort((words >> _SHIFT)[(depth > 0) & ~held[text]])
+            first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.zeros(0, np.int64)
+            n = np.diff(np.r_[first, len(key)])
+            for a in range(0, len(first), 100_000):
+                some = slice(a, a + 100_000)
+                yield pa.RecordBatch.from_arrays([pa.array(key[first[some]].view(np.int64)), pa.array(n[some])], ["key", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([int((depth > 0).sum())], pa.int64())], ["key", "n"])
 
-_P1, _P2, _P3, _P4, _P5 = map(np.uint64, (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 
+def vocabulary(rows: DataFrame) -> tuple[int, int, int]:
+    """Training tokens, distinct ones, and tokens of all texts, of (text, held_out)."""
+    ship_package(rows.sparkSession)
+    counts = rows.select("text", "held_out").mapInArrow(_count_words, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
+    zero = F.lit(0).cast("long")
+    found = counts.agg(*(F.coalesce(c, zero) for c in (F.sum(F.when(F.col("key").isNotNull(), F.col("n"))), F.count("key"), F.sum(F.when(F.col("key").isNull(), F.col("n")))))).first()
+    return found[0], found[1], found[2]
 
-def _rotated(x: np.ndarray, by: int) -> np.ndarray:
-    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
 
+# -- blocks
 
-def pair_digest(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """What Spark's xxhash64 gives for two long columns."""
-    h = np.full(len(a), 42, np.uint64)
-    for x in (a, b):
-        h = (h + _P5 + np.uint64(8)) ^ (_rotated(x.view(np.uint64) * _P2, 31) * _P1)
-        h = _rotated(h, 27) * _P1 + _P4
-        h = (h ^ (h >> np.uint64(33))) * _P2
-        h = (h ^ (h >> np.uint64(29))) * _P3
-        h ^= h >> np.uint64(32)
-    return h.view(np.int64)
 
+BLOCKS = "block long, docs array<long>, held array<boolean>, sizes array<int>, texts binary"
 
-def _keys(texts: list[list[bytes]], digests: _Digests, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
-    """Of each place its distance from the text's start mark, and for m from 1 the digests of the m words that end there.
 
-    The m words are of one text where the distance is m - 1 at least.
-    """
-    flat: list[int] = []
-    for tokens in texts:
-        flat.append(digests[END])
-        flat += map(digests.__getitem__, tokens)
-    size = np.array([1 + len(tokens) for tokens in texts], np.int64)
-    word = np.array(flat, np.int64)
-    depth = np.arange(len(word)) - np.repeat(np.cumsum(size) - size, size)
-    keys = [word]
-    for _ in range(1, order):
-        key = np.zeros_like(word)
-        key[1:] = pair_digest(keys[-1][:-1], keys[-1][1:])
-        keys.append(key)
-    return depth, keys
+def _pack(block_bytes: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
 
+        at, held, size = TaskContext.get().partitionId() << 33, [], 0
+        for batch in batches:
+            for part in slices(batch, "text", block_bytes):
+                nbytes = int(flat(part.column("text"))[1][-1])
+                if held and size + nbytes > block_bytes:
+                    yield packed(at, held)
+                    at, held, size = at + 1, [], 0
+                held.append(part)
+                size += nbytes
+        if held:
+            yield packed(at, held)
+
+    def packed(at: int, held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        t = pa.Table.from_batches(held).combine_chunks()
+        buf, offsets = flat(t.column("text").chunk(0))
+        whole = [t.column("doc").chunk(0), t.column("held_out").chunk(0), pa.array(np.diff(offsets).astype(np.int32))]
+        zipped = pa.compress(pa.py_buffer(np.ascontiguousarray(buf)), codec="zstd", asbytes=True) if buf.size else b""
+        return pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), *(pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x) for x in whole), pa.array([zipped], pa.binary())], ["block", "docs", "held", "sizes", "texts"])
 
-def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held: Counter = Counter()
+    return run
 
-    def out() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(map(digest, held), pa.int64()), pa.array(list(held.values()), pa.int64())], ["word", "key", "n"])
 
-    for batch in batches:
-        for part in slices(batch, "text"):
-            for t in part.column("text").to_pylist():
-                held.update(tokens_of(t))
-            if len(held) > 400_000:
-                yield out()
-                held.clear()
-    if held:
-        yield out()
+def _texts(sizes: np.ndarray, packed: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """The texts of a block as one buffer with offsets."""
+    offsets = np.r_[0, np.cumsum(sizes, dtype=np.int64)]
+    raw = pa.decompress(packed, int(offsets[-1]), codec="zstd", asbytes=True) if packed else b""
+    return np.frombuffer(raw, np.uint8), offsets
+
 
+def _question(sizes: np.ndarray, held: np.ndarray, packed: bytes, order: int, ranges: int):
+    """A block's places, and its question; the same whenever it is made."""
+    words, depth = place_digests(*_texts(sizes, packed))
+    keys = ngram_keys(words, order)
+    text = np.cumsum(depth == 0) - 1
+    taught = ~held[text]
+    # The mark before a text counts as no token.
+    of = [depth >= max(1, m) for m in range(order)]
+    every = np.concatenate([k[x] for k, x in zip(keys, of, strict=True)])
+    order_ = np.argsort(every)
+    ranked = every[order_]
+    counted = np.concatenate([taught[x] for x in of])[order_]
+    first = np.flatnonzero(np.r_[True, ranked[1:] != ranked[:-1]]) if len(ranked) else np.zeros(0, np.int64)
+    counts = np.add.reduceat(counted, first, dtype=np.int64) if len(first) else np.zeros(0, np.int64)
+    return depth, keys, as_question(ranked[first], counts, ranges)
 
-def _count_ngrams(order: int):
-    """(m, ctx, low, n): n-grams of m words by the digests of their first and of their last m - 1 words, counted by slice."""
 
+def _ask(order: int, ranges: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digests = _Digests()
         for batch in batches:
-            for part in slices(batch, "text"):
-                depth, keys = _keys(list(map(tokens_of, part.column("text").to_pylist())), digests, order)
-                for m in range(2, order + 1):
-                    at = np.flatnonzero(depth >= m - 1)
-                    ctx, low = keys[m - 2][at - 1], keys[m - 2][at]
-                    by = np.lexsort((low, ctx))
-                    ctx, low = ctx[by], low[by]
-                    first = np.flatnonzero(np.r_[True, (ctx[1:] != ctx[:-1]) | (low[1:] != low[:-1])]) if len(ctx) else np.zeros(0, np.int64)
-                    n = np.diff(np.r_[first, len(ctx)])
-                    ctx, low = ctx[first], low[first]
-                    for a in range(0, len(n), 100_000):
-                        cols = [x[a : a + 100_000] for x in (np.full(len(n), m, np.int8), ctx, low, n)]
-                        yield pa.RecordBatch.from_arrays([pa.array(x) for x in cols], ["m", "ctx", "low", "n"])
+            for row in range(batch.num_rows):
+                block, _, held, sizes, packed = (batch.column(n)[row] for n in ("block", "docs", "held", "sizes", "texts"))
+                _, _, (_, width, gaps, counts, bounds) = _question(sizes.values.to_numpy(), held.values.to_numpy(zero_copy_only=False).astype(bool), packed.as_py(), order, ranges)
+                asked = np.flatnonzero(np.diff(bounds))
+                for a in range(0, len(asked), 10_000):
+                    some = asked[a : a + 10_000]
+                    lo, hi = bounds[some[0]], bounds[some[-1] + 1]
+                    edge = np.r_[bounds[some], hi] - lo
+                    n = len(some)
+                    yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(np.full(n, block.as_py())), pa.array(np.full(n, width, np.int8)), _binary(gaps[lo * width : hi * width], edge * width), _binary(counts[lo:hi], edge)], ["range", "block", "width", "gaps", "counts"])
 
     return run
 
 
-def train(texts: DataFrame, share: float = SHARE, order: int = ORDER, least: int = LEAST) -> tuple[DataFrame, DataFrame, int, int]:
-    """Counts (word, key, c) of all training tokens, the model, and the numbers of tokens and of distinct tokens.
-
-    ``texts`` has one column, text. The model (kind, key, value) has log10 probabilities of n-grams (kind 1) and log10
-    failure weights of contexts (kind 2). Kept are n-grams seen ``least`` times that have ``share`` of all tokens.
-    """
-    ship_package(texts.sparkSession)
-    counts = materialise(texts.mapInArrow(_count_words, "word binary, key long, n long").groupBy("word", "key").agg(F.sum("n").alias("c")), "lm-words")
-    total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    counted = texts.mapInArrow(_count_ngrams(order), "m byte, ctx long, low long, n long").repartition("ctx").groupBy("m", "ctx", "low").agg(F.sum("n").alias("n"))
-    # Probabilities as fractions, so that what a context leaves is exact.
-    grams = counted.withColumn("den", F.sum("n").over(Window.partitionBy("m", "ctx")).cast("double")).where(F.col("n") >= max(least, share * total))
-    grams = materialise(grams.select("m", F.xxhash64("ctx", "low").alias("key"), "ctx", "low", (F.col("n") - DISCOUNT).cast("double").alias("num"), "den"), "lm-ngrams")
-    words = counts.select(F.lit(2).alias("m"), F.col("key").alias("low"), (F.col("c") + 1).cast("double").alias("num_low"), F.lit(float(total + distinct + 1)).alias("den_low"))
-    shorter = words.union(grams.where(F.col("m") < order).select(F.col("m") + 1, "key", "num", "den"))
-    weights = grams.join(shorter, ["m", "low"]).groupBy("m", "ctx").agg(*(F.sum(c).alias(c) for c in ("num", "num_low")), *(F.max(c).alias(c) for c in ("den", "den_low")))
-    left, lower = (F.col("den") - F.col("num")) / F.col("den"), (F.col("den_low") - F.col("num_low")) / F.col("den_low")
-    weights = weights.select(F.lit(2).cast("byte").alias("kind"), F.col("ctx").alias("key"), F.log10(F.greatest(left, F.lit(1e-12)) / F.greatest(lower, F.lit(1e-12))).alias("value"))
-    arcs = grams.select(F.lit(1).cast("byte").alias("kind"), "key", F.log10(F.col("num") / F.col("den")).alias("value"))
-    return counts, arcs.union(weights), total, distinct
-
-
-def _block_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held: dict[int, set[bytes]] = {}
-    for batch in batches:
-        for block, t in zip(batch.column("block").to_pylist(), batch.column("text").to_pylist(), strict=True):
-            held.setdefault(block, set()).update(tokens_of(t))
-    for block, words in held.items():
-        words = list(words)
-        for at in range(0, len(words), 50_000):
-            part = words[at : at + 50_000]
-            yield pa.RecordBatch.from_arrays([pa.array([block] * len(part), pa.int64()), pa.array(part, pa.binary())], ["block", "word"])
-
-
-def _block_keys(order: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digests = _Digests()
-        held: dict[int, list[np.ndarray]] = {}
-        for batch in batches:
-            by: dict[int, list] = {}
-            for block, t in zip(batch.column("block").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                by.setdefault(block, []).append(tokens_of(t))
-            for block, texts in by.items():
-                depth, keys = _keys(texts, digests, order)
-                held.setdefault(block, []).append(np.unique(np.concatenate([key[depth >= m] for m, key in enumerate(keys)])))
-        for block in list(held):
-            key = np.unique(np.concatenate(held.pop(block)))
-            for at in range(0, len(key), 100_000):
-                part = pa.array(key[at : at + 100_000])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block, np.int64)), part], ["block", "key"])
+ANSWERS = "block long, range long, low binary, at array<int>, high array<long>"
+
+
+def _answer(ranges: int):
+    """Counts of one byte in the order asked, and where and how many it is from 255 on."""
+    width_of = (1 << DIGEST_BITS) // ranges + 1
+
+    def run(asked: pa.Table) -> pa.Table:
+        width = asked.column("width").to_numpy()
+        parts, rows = [], []
+        for w in np.unique(width).tolist():
+            of = np.flatnonzero(width == w)
+            t = asked.take(pa.array(of))
+            gaps, size = _bytes_of(t.column("gaps"))
+            begin = t.column("range").to_numpy().astype(np.uint64) * np.uint64(width_of)
+            parts.append((asked_keys(begin, gaps, size // w, w), _bytes_of(t.column("counts"))[0], size // w))
+            rows.append(of)
+        keys, counts, size = (np.concatenate(x) for x in zip(*parts, strict=True))
+        rows = np.concatenate(rows)
+        order = np.argsort(keys)
+        ranked = keys[order]
+        new = np.r_[True, ranked[1:] != ranked[:-1]]
+        total = np.add.reduceat(counts[order].astype(np.int64), np.flatnonzero(new))
+        got = np.empty(len(keys), np.int64)
+        got[order] = total[np.cumsum(new) - 1]
+        bounds = np.r_[0, np.cumsum(size)]
+        many = np.flatnonzero(got >= 255)
+        edge = pa.array(np.searchsorted(many, bounds).astype(np.int32))
+        at = many - np.repeat(bounds[:-1], np.diff(np.searchsorted(many, bounds)))
+        t = asked.take(pa.array(rows))
+        return pa.Table.from_arrays([t.column("block"), t.column("range"), _binary(np.minimum(got, 255).astype(np.uint8), bounds), pa.ListArray.from_arrays(edge, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edge, pa.array(got[many]))], ["block", "range", "low", "at", "high"])
 
     return run
 
 
 SCORES = "doc long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-_SCORE_KINDS = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())
 _SCORE_NAMES = ("doc", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
-def _looked_up(known: np.ndarray, value: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Whether each key is known, and its value, else nought."""
-    if not len(known):
-        return np.zeros(len(key), bool), np.zeros(len(key))
-    at = np.minimum(np.searchsorted(known, key), len(known) - 1)
-    found = known[at] == key
-    return found, np.where(found, value[at], 0.0)
-
-
-def _score_block(order: int, total: int, unseen: float):
-    def run(texts: pa.Table, known: pa.Table) -> pa.Table:
-        kind = known.column("kind").to_numpy()
-        key, value = known.column("key").to_numpy(), known.column("value").to_numpy()
-        words = np.flatnonzero(kind == 0)
-        unigram = dict(zip(known.column("word").take(pa.array(words)).to_pylist(), value[words].tolist(), strict=True))
-        model = []
-        for k in (1, 2):
-            at = np.flatnonzero(kind == k)
-            at = at[np.argsort(key[at], kind="stable")]
-            model.append((key[at], value[at]))
-        digests = _Digests()
-        out: list[list] = [[] for _ in _SCORE_NAMES]
-        for batch in texts.to_batches():
-            for part in slices(batch, "text"):
-                tokens = list(map(tokens_of, part.column("text").to_pylist()))
-                size = np.array(list(map(len, tokens)), np.int64)
-                first = np.cumsum(size) - size
-                each = np.array([unigram.get(w, 1.0) for t in tokens for w in t])
-                is_known = each <= 0
-                each = np.where(is_known, each, unseen)
-                depth, keys = _keys(tokens, digests, order)
-                got, missing = np.zeros(len(depth)), depth >= 1
-                for m in range(order, 1, -1):
-                    at = np.flatnonzero(missing & (depth >= m - 1))
-                    found, p = _looked_up(*model[0], keys[m - 1][at])
-                    got[at] += np.where(found, p, _looked_up(*model[1], keys[m - 2][at - 1])[1])
-                    missing[at[found]] = False
-                got = got[depth >= 1] + np.where(missing[depth >= 1], each, 0.0)
-                columns = (part.column("doc").to_pylist(), part.column("held_out").to_pylist(), size.tolist(), np.add.reduceat(is_known.astype(np.int64), first).tolist(), [total] * len(size))
-                sums = ([math.fsum(x[a : a + n]) for a, n in zip(first.tolist(), size.tolist(), strict=True)] for x in (each, got))
-                for held, column in zip(out, (*columns, *sums), strict=True):
-                    held += column
-        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(out, _SCORE_KINDS, strict=True)], _SCORE_NAMES)
+def traverse(depth: np.ndarray, counts: list[np.ndarray], contexts: list[np.ndarray], size: float, strength: float) -> tuple[np.ndarray, np.ndarray]:
+    """log10 probabilities of every place by single words and by the automaton.
+
+    counts[m - 1] has the count of the m-gram that ends at a place, contexts[m - 2] that of its context.
+    """
+    base = (counts[0] + 1) / size
+    p = base.copy()
+    for m in range(2, len(counts) + 1):
+        at = np.flatnonzero(depth >= m - 1)
+        p[at] = (counts[m - 1][at] + strength * p[at]) / (contexts[m - 2][at] + strength)
+    return np.log10(base), np.log10(p)
+
+
+def _score(order: int, ranges: int, total: int, distinct: int, trained: int, strength: float):
+    def run(block: pa.Table, answers: pa.Table) -> pa.Table:
+        docs, held, sizes, packed = (block.column(n)[0] for n in ("docs", "held", "sizes", "texts"))
+        held = held.values.to_numpy(zero_copy_only=False).astype(bool)
+        depth, keys, (asked, _, _, _, bounds) = _question(sizes.values.to_numpy(), held, packed.as_py(), order, ranges)
+        answers = answers.sort_by("range")
+        low, n = _bytes_of(answers.column("low"))
+        if len(low) != len(asked):
+            raise ValueError("a block's answer doesn't fit its question")
+        got = low.astype(np.int64)
+        many = answers.column("at").combine_chunks()
+        at = np.repeat(np.cumsum(n) - n, np.diff(many.offsets.to_numpy()))
+        got[at + many.flatten().to_numpy()] = answers.column("high").combine_chunks().flatten().to_numpy()
+        counts = [got[np.minimum(np.searchsorted(asked, k), len(asked) - 1)] for k in keys]
+        # A text's first mark is no n-gram: as a context it was seen once in each training text, and more words from there on are asked for.
+        start = depth == 0
+        contexts = []
+        for m in range(2, order + 1):
+            c = np.zeros(len(depth), np.int64)
+            c[1:] = np.where(start[:-1], trained, counts[m - 2][:-1]) if m == 2 else counts[m - 2][:-1]
+            contexts.append(c)
+        base, score = traverse(depth, counts, contexts, float(total + distinct + 1), strength)
+        first = np.flatnonzero(start) + 1
+        size = np.diff(np.r_[first - 1, len(depth)]) - 1
+        known = np.add.reduceat((counts[0] > 0) & ~start, first - 1, dtype=np.int64)
+        sums = [np.add.reduceat(np.where(start, 0.0, x), first - 1) for x in (base, score)]
+        return pa.Table.from_arrays([docs.values, pa.array(held), pa.array(size), pa.array(known), pa.array(np.full(len(size), total)), *map(pa.array, sums)], _SCORE_NAMES)
 
     return run
 
 
-def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", share: float = SHARE, order: int = ORDER, block_tokens: int = BLOCK_TOKENS, least: int = LEAST) -> DataFrame:
+def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, strength: float = STRENGTH, block_bytes: int = BLOCK_BYTES, range_tokens: int = RANGE_TOKENS) -> DataFrame:
     """(doc, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row; held-out rows are not learnt from.
 
     A null text is empty: its only token is the end. A null ``held_out`` counts as false. Repeated rows are learnt from
     and scored each. With no training rows every token is unseen. An empty table gives no rows; other columns are not
     looked at.
     """
-    spark = docs.sparkSession
+    ship_package(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text"), F.coalesce(held_out, F.lit(False)).alias("held_out"))
-    counts, model, total, distinct = train(rows.where("not held_out").select("text"), share, order, least)
-    size = total + distinct + 1
-    blocks = max(1, math.ceil(total / block_tokens))
-    parts = max(blocks, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc", "text"), F.lit(blocks)).cast("long")).repartition(parts, "block")
-    words = dealt.mapInArrow(_block_words, "block long, word binary").join(counts, "word").select("block", F.lit(0).cast("byte").alias("kind"), "word", F.lit(0).cast("long").alias("key"), F.log10((F.col("c") + 1) / F.lit(float(size))).alias("value"))
-    asked = dealt.mapInArrow(_block_keys(order), "block long, key long")
-    known = words.union(asked.join(model, "key").select("block", "kind", F.lit(None).cast("binary"), "key", "value"))
-    return dealt.groupBy("block").cogroup(known.groupBy("block")).applyInArrow(_score_block(order, total, -math.log10(size)), SCORES)
+    total, distinct, every = vocabulary(rows)
+    trained = rows.where("not held_out").count()
+    ranges = max(1, math.ceil(every / range_tokens))
+    parts = max(ranges, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    blocks = rows.mapInArrow(_pack(block_bytes), BLOCKS).repartition(parts, "block")
+    asked = blocks.mapInArrow(_ask(order, ranges), "range long, block long, width byte, gaps binary, counts binary")
+    answers = asked.repartition(parts, "range").groupBy("range").applyInArrow(_answer(ranges), ANSWERS)
+    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(order, ranges, total, distinct, trained, strength), SCORES)
 
 
 def op9_lm_scoring(spark, sf_dir: str) -> DataFrame:

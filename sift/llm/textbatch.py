@@ -29,7 +29,8 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
 
 def flat(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """All texts in one uint8 buffer and the len+1 offsets into it; a null counts as empty."""
-    text = pc.fill_null(text, "")
+    if text.null_count:
+        text = pc.fill_null(text, b"" if pa.types.is_binary(text.type) else "")
     wide = pa.types.is_large_string(text.type)
     offsets = np.frombuffer(text.buffers()[1], np.int64 if wide else np.int32)[text.offset : text.offset + len(text) + 1].astype(np.int64)
     data = text.buffers()[2]

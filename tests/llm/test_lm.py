@@ -4,6 +4,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from sift.llm import lm
@@ -24,96 +25,82 @@ def test_whole_table(spark, small):
     assert sum(r.score for r in got if r.held_out) > sum(r.base_score for r in got if r.held_out)
 
 
-def plain_model(train, share, order, discount=0.5):
+def plain_model(train, order, strength=lm.STRENGTH):
     """Probabilities by the definition: counts of all n-grams, recursion over contexts."""
-    grams = Counter()
+    grams, after = Counter(), Counter()
     for t in train:
-        seq = [lm.END, *lm.tokens_of(t)]
+        seq = [b"", *lm.tokens_of(t)]
         for m in range(1, order + 1):
-            grams.update(tuple(seq[i : i + m]) for i in range(m == 1, len(seq) - m + 1))
+            for i in range(m == 1, len(seq) - m + 1):
+                grams[tuple(seq[i : i + m])] += 1
+                after[tuple(seq[i : i + m - 1])] += 1
     n, v = sum(x for g, x in grams.items() if len(g) == 1), sum(len(g) == 1 for g in grams)
-    least = max(2.0, share * n)
-    keep = {g: x for g, x in grams.items() if len(g) > 1 and x >= least and all(grams[(w,)] >= least or w == lm.END for w in g)}
 
     def p(h, w):
         if not h:
             return (grams[(w,)] + 1) / (n + v + 1)
-        arcs = {g[-1]: x for g, x in keep.items() if g[:-1] == h}
-        if not arcs:
-            return p(h[1:], w)
-        if w in arcs:
-            return (arcs[w] - discount) / grams[h]
-        left = 1 - sum((x - discount) / grams[h] for x in arcs.values())
-        return p(h[1:], w) * left / (1 - sum(p(h[1:], u) for u in arcs))
+        return (grams[(*h, w)] + strength * p(h[1:], w)) / (after[h] + strength)
 
     return p, [g[0] for g in grams if len(g) == 1]
 
 
-def test_brute_force(spark):
+@pytest.mark.parametrize("block_bytes, range_tokens", [(8 << 20, 1_000_000), (3000, 500)])
+def test_brute_force(spark, block_bytes, range_tokens):
     rnd = random.Random(2)
     texts = [(k, " ".join(rnd.choices("the The a of cat sat É x y".split(), weights=[9, 3, 5, 5, 4, 3, 2, 1, 1], k=rnd.randrange(1, 40)))) for k in range(60)]
-    texts += [(70, None), (71, ""), (71, ""), (None, "the cat sat of unseenword"), (72, "the cat " * 5000), (73, "  zzz\tqqq ")]
+    texts += [(70, None), (71, ""), (71, ""), (None, "the cat sat of unseenword"), (72, "the cat " * 5000), (73, "  zzz\tqqq "), (74, " ".join(f"w{rnd.randrange(900)}" for _ in range(700)))]
     df = spark.createDataFrame([(d, t, True, 5) for d, t in texts], "doc_id long, text string, held_out boolean, block int")
     held = F.col("doc_id") % 5 == 1
     train = [t for d, t in texts if d is None or d % 5 != 1]
     for order in (1, 2, 3, 4):
-        p, vocab = plain_model(train, 0.01, order)
-        got = lm.lm_scores(df, held, share=0.01, order=order, block_tokens=3000).collect()
-        assert len(got) == len(texts)
-        want = {}
+        p, vocab = plain_model(train, order)
+        got = lm.lm_scores(df, held, order=order, block_bytes=block_bytes, range_tokens=range_tokens).collect()
+        want = []
         for d, t in texts:
-            if len(t or "") < 1000:
-                seq, s = [lm.END, *lm.tokens_of(t)], 0.0
-                for i in range(1, len(seq)):
-                    s += math.log10(p(tuple(seq[max(0, i - order + 1) : i]), seq[i]))
-                want[d] = s
-        for r in got:
-            if r.doc in want:
-                assert math.isclose(r.score, want[r.doc], rel_tol=1e-9), (order, r, want[r.doc])
-        for h in ((), (b"the",), (b"the", b"cat"), (lm.END,)):
+            seq, s = [b"", *lm.tokens_of(t)], 0.0
+            for i in range(1, len(seq)):
+                s += math.log10(p(tuple(seq[max(0, i - order + 1) : i]), seq[i]))
+            want.append((str(d), len(seq) - 1, round(s, 6)))
+        assert sorted((str(r.doc), r.n_tokens, round(r.score, 6)) for r in got) == sorted(want)
+        for h in ((), (b"the",), (b"the", b"cat"), (b"",)):
             h = h[-(order - 1) :] if order > 1 else ()
             assert math.isclose(sum(p(h, w) for w in vocab) + p(h, b"never-seen"), 1, rel_tol=1e-9)
 
 
-def test_nothing_to_learn_from(spark):
-    df = spark.createDataFrame([(1, "a b"), (2, None)], "doc_id long, text string")
-    assert lm.lm_scores(df.limit(0), F.lit(False)).collect() == []
-    got = lm.lm_scores(df, F.lit(True)).collect()
-    assert sorted((r.doc, r.n_tokens, r.n_known, r.train_tokens, r.base_score, r.score) for r in got) == [(1, 3, 0, 0, 0.0, 0.0), (2, 1, 0, 0, 0.0, 0.0)]
+def test_questions():
+    """Keys survive the way there, with repeated and bridging ones; what is counted adds up."""
+    rng = np.random.default_rng(3)
+    for n, ranges, most in ((1, 1, 3), (5, 7, 1000), (3000, 3, 700), (400_000, 5, 2), (50, 1 << 20, 300)):
+        keys = np.unique(rng.integers(0, 1 << lm.DIGEST_BITS, n, dtype=np.uint64))
+        counts = rng.integers(0, most, len(keys))
+        asked, width, gaps, low, bounds = lm.as_question(keys, counts, ranges)
+        size = np.diff(bounds)
+        width_of = (1 << lm.DIGEST_BITS) // ranges + 1
+        some = np.flatnonzero(size)
+        back = lm.asked_keys((some * width_of).astype(np.uint64), gaps, size[some], width)
+        assert (back == asked).all() and (np.sort(asked) == asked).all() and (np.isin(keys, asked)).all()
+        at = np.searchsorted(keys, asked)
+        real = (at < len(keys)) & (keys[np.minimum(at, len(keys) - 1)] == asked)
+        assert low[~real].sum() == 0 and (np.bincount(at[real], low[real], len(keys)) == counts).all()
+        assert len(gaps) <= 1.2 * 8 * len(keys) + low.sum() // 200 * 8 + 8
 
 
-def test_pair_digest_is_that_of_spark(spark):
-    rnd = random.Random(4)
-    pairs = [(rnd.randrange(-(2**63), 2**63), rnd.randrange(-(2**63), 2**63)) for _ in range(200)] + [(0, 0), (-1, 1)]
-    want = [r.h for r in spark.createDataFrame(pairs, "a long, b long").coalesce(1).select(F.xxhash64("a", "b").alias("h")).collect()]
-    assert lm.pair_digest(*(np.array(x, np.int64) for x in zip(*pairs, strict=True))).tolist() == want
+def test_digests_tell_words_apart():
+    import pyarrow as pa
 
+    from sift.llm.textbatch import IS_SOLID, flat, word_bounds, word_digests
 
-def test_every_ngram_is_kept_however_rare(spark):
-    rnd = random.Random(5)
-    train = [" ".join(f"w{rnd.randrange(400)}" for _ in range(rnd.randrange(0, 60))) for _ in range(150)] + ["once upon time"]
-    test = ["once upon time", "once upon", "w1 once upon time w2", train[0], train[1] + " new " + train[2]]
-    grams = Counter()
-    for t in train:
-        seq = [lm.END, *lm.tokens_of(t)]
-        for m in (1, 2, 3):
-            grams.update(tuple(seq[i : i + m]) for i in range(m == 1, len(seq) - m + 1))
-    n, v = sum(x for g, x in grams.items() if len(g) == 1), sum(len(g) == 1 for g in grams)
-    after: dict = {}
-    for g in grams:
-        after.setdefault(g[:-1], []).append(g[-1])
+    rnd = random.Random(1)
+    words = list({"".join(rnd.choice("ab") for _ in range(rnd.choice([1, 5, 8, 9, 16, 17, 24, 40, 100]))) for _ in range(20_000)} | {"c" * 5000, "c" * 5001, "c" * 2500 + "d" + "c" * 2499, "a" * 20 + "b" + "a" * 20, "a" * 41})
+    buf, offsets = flat(pa.array([" ".join(words), " ".join(reversed(words))]))
+    starts, ends, first = word_bounds(buf, offsets, IS_SOLID)
+    for seed in (0, 1):
+        got = word_digests(buf, starts, ends, seed)
+        assert len(set(got.tolist())) == len(words) and (got[: first[1]] == got[first[1] :][::-1]).all()
 
-    def p(h, w):
-        if not h:
-            return (grams[(w,)] + 1) / (n + v + 1)
-        if h not in after:
-            return p(h[1:], w)
-        if (*h, w) in grams:
-            return (grams[(*h, w)] - 0.5) / grams[h]
-        return p(h[1:], w) * 0.5 * len(after[h]) / grams[h] / (1 - sum(p(h[1:], u) for u in after[h]))
-
-    rows = [(k, t) for k, t in enumerate(train)] + [(1000 + k, t) for k, t in enumerate(test)]
-    got = {r.doc: r.score for r in lm.lm_scores(spark.createDataFrame(rows, "doc_id long, text string"), F.col("doc_id") >= 1000, block_tokens=700).collect()}
-    for d, t in rows:
-        seq = [lm.END, *lm.tokens_of(t)]
-        assert math.isclose(got[d], sum(math.log10(p(tuple(seq[max(0, i - 2) : i]), seq[i])) for i in range(1, len(seq))), rel_tol=1e-9), d
+
+def test_nothing_to_learn_from(spark):
+    df = spark.createDataFrame([(1, "a b"), (2, None)], "doc_id long, text string")
+    assert lm.lm_scores(df.limit(0), F.lit(False)).collect() == []
+    got = lm.lm_scores(df, F.lit(True)).collect()
+    assert sorted((r.doc, r.n_tokens, r.n_known, r.train_tokens, r.base_score, r.score) for r in got) == [(1, 3, 0, 0, 0.0, 0.0), (2, 1, 0, 0, 0.0, 0.0)]
