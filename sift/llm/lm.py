@@ -10,7 +10,7 @@ the places of a block of texts are traversed side by side. Every n-gram is kept,
 Nothing that grows with the corpus is broadcast or collected. Texts are packed into blocks. Each block asks for the counts
 of its own distinct n-grams: sorted digests, as gaps of a few bytes, dealt by ranges of digests to tasks that add up the
 blocks' counts and answer each block in the order of its question. A block is then scored with what it got back. N-grams
-are told apart by digests of 60 bits.
+are told apart by digests of 58 bits.
 """
 
 from __future__ import annotations
@@ -27,12 +27,12 @@ from sift.llm.textbatch import ASCII_LOWER, IS_SOLID, flat, slices, spread, word
 from sift.runtime import ship_package
 
 ORDER = 3
-#: Weight of the shorter context, in counts.
-STRENGTH = 4.0
-#: Bytes of text in a block, and tokens in the corpus for each range of digests.
-BLOCK_BYTES = 8 << 20
-RANGE_TOKENS = 1_000_000
-DIGEST_BITS = 60
+#: Weight of the shorter context, in counts: after one word, after two and more.
+STRENGTHS = (4000.0, 8.0)
+#: Bytes of text in a block, and bytes of the corpus for each range of digests.
+BLOCK_BYTES = 4 << 20
+RANGE_BYTES = 6 << 20
+DIGEST_BITS = 58
 _SHIFT = np.uint64(64 - DIGEST_BITS)
 #: Digest of the end, before it is cut to its bits; the mark before a text's first word is the same.
 _END = np.uint64(0x5851F42D4C957F2D)
@@ -141,29 +141,68 @@ def _bytes_of(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
 # -- words of the training texts
 
 
-def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(key, n, tokens): training tokens by key and slice; held-out slices tell their number of tokens only."""
-    for batch in batches:
-        for part in slices(batch, "text"):
-            words, depth = place_digests(*flat(part.column("text")))
-            held = np.asarray(part.column("held_out").to_numpy(zero_copy_only=False), bool)
-            text = np.cumsum(depth == 0) - 1
-            key = np.sort((words >> _SHIFT)[(depth > 0) & ~held[text]])
-            first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.zeros(0, np.int64)
-            n = np.diff(np.r_[first, len(key)])
-            for a in range(0, len(first), 100_000):
-                some = slice(a, a + 100_000)
-                yield pa.RecordBatch.from_arrays([pa.array(key[first[some]].view(np.int64)), pa.array(n[some])], ["key", "n"])
-            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([int((depth > 0).sum())], pa.int64())], ["key", "n"])
+def _distinct(ranked: np.ndarray, flag: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of a sorted array, and how many flags each has."""
+    if not len(ranked):
+        return ranked, np.zeros(0, np.int64)
+    first = np.flatnonzero(np.r_[True, ranked[1:] != ranked[:-1]])
+    return ranked[first], np.add.reduceat(flag, first, dtype=np.int64)
 
 
-def vocabulary(rows: DataFrame) -> tuple[int, int, int]:
-    """Training tokens, distinct ones, and tokens of all texts, of (text, held_out)."""
-    ship_package(rows.sparkSession)
-    counts = rows.select("text", "held_out").mapInArrow(_count_words, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
-    zero = F.lit(0).cast("long")
-    found = counts.agg(*(F.coalesce(c, zero) for c in (F.sum(F.when(F.col("key").isNotNull(), F.col("n"))), F.count("key"), F.sum(F.when(F.col("key").isNull(), F.col("n")))))).first()
-    return found[0], found[1], found[2]
+def _question_rows(question, block: int) -> Iterator[pa.RecordBatch]:
+    _, width, gaps, counts, bounds = question
+    asked = np.flatnonzero(np.diff(bounds))
+    for a in range(0, len(asked), 10_000):
+        some = asked[a : a + 10_000]
+        lo, hi = bounds[some[0]], bounds[some[-1] + 1]
+        edge = np.r_[bounds[some], hi] - lo
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(np.full(len(some), block)), pa.array(np.full(len(some), width, np.int8)), _binary(gaps[lo * width : hi * width], edge * width), _binary(counts[lo:hi], edge)], ["range", "block", "width", "gaps", "counts"])
+
+
+ASKED = "range long, block long, width byte, gaps binary, counts binary"
+
+
+def _asked(table: pa.Table, ranges: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(keys, counts, number of keys by question, the questions' rows in ``table``) of one range."""
+    width_of = (1 << DIGEST_BITS) // ranges + 1
+    width = table.column("width").to_numpy()
+    parts = []
+    for w in np.unique(width).tolist():
+        of = np.flatnonzero(width == w)
+        t = table.take(pa.array(of))
+        gaps, size = _bytes_of(t.column("gaps"))
+        begin = t.column("range").to_numpy().astype(np.uint64) * np.uint64(width_of)
+        parts.append((asked_keys(begin, gaps, size // w, w), _bytes_of(t.column("counts"))[0], size // w, of))
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def _count_words(ranges: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, "text"):
+                words, depth = place_digests(*flat(part.column("text")))
+                keys = np.sort((words >> _SHIFT)[depth > 0])
+                yield from _question_rows(as_question(*_distinct(keys, np.ones(len(keys), bool)), ranges), 0)
+
+    return run
+
+
+def _add_up(ranges: int):
+    def run(asked: pa.Table) -> pa.Table:
+        keys, counts, _, _ = _asked(asked, ranges)
+        held = np.sort(keys[counts > 0])
+        return pa.table({"total": [int(counts.sum(dtype=np.int64))], "distinct": [len(_distinct(held, held)[0])]})
+
+    return run
+
+
+def vocabulary(texts: DataFrame, ranges: int) -> tuple[int, int]:
+    """Tokens of all texts, and distinct ones."""
+    ship_package(texts.sparkSession)
+    asked = texts.mapInArrow(_count_words(ranges), ASKED)
+    parts = max(ranges, int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    found = asked.repartition(parts, "range").groupBy("range").applyInArrow(_add_up(ranges), "total long, distinct long")
+    return tuple(found.agg(*(F.coalesce(F.sum(c), F.lit(0).cast("long")) for c in ("total", "distinct"))).first())
 
 
 # -- blocks
@@ -205,59 +244,43 @@ def _texts(sizes: np.ndarray, packed: bytes) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(raw, np.uint8), offsets
 
 
-def _question(sizes: np.ndarray, held: np.ndarray, packed: bytes, order: int, ranges: int):
-    """A block's places, and its question; the same whenever it is made."""
+def _places(sizes: np.ndarray, packed: bytes, order: int) -> tuple[np.ndarray, list[np.ndarray], list[np.ndarray]]:
+    """Of a block: each place's distance from its text's mark, the keys by length, and at which places they are asked for."""
     words, depth = place_digests(*_texts(sizes, packed))
-    keys = ngram_keys(words, order)
-    text = np.cumsum(depth == 0) - 1
-    taught = ~held[text]
     # The mark before a text counts as no token.
-    of = [depth >= max(1, m) for m in range(order)]
-    every = np.concatenate([k[x] for k, x in zip(keys, of, strict=True)])
-    order_ = np.argsort(every)
-    ranked = every[order_]
-    counted = np.concatenate([taught[x] for x in of])[order_]
-    first = np.flatnonzero(np.r_[True, ranked[1:] != ranked[:-1]]) if len(ranked) else np.zeros(0, np.int64)
-    counts = np.add.reduceat(counted, first, dtype=np.int64) if len(first) else np.zeros(0, np.int64)
-    return depth, keys, as_question(ranked[first], counts, ranges)
+    return depth, ngram_keys(words, order), [np.flatnonzero(depth >= max(1, m)) for m in range(order)]
+
+
+def _fields(block: pa.RecordBatch, row: int) -> tuple:
+    number, docs, held, sizes, packed = (block.column(n)[row] for n in ("block", "docs", "held", "sizes", "texts"))
+    return number.as_py(), docs.values, held.values.to_numpy(zero_copy_only=False).astype(bool), sizes.values.to_numpy(), packed.as_py()
 
 
 def _ask(order: int, ranges: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in range(batch.num_rows):
-                block, _, held, sizes, packed = (batch.column(n)[row] for n in ("block", "docs", "held", "sizes", "texts"))
-                _, _, (_, width, gaps, counts, bounds) = _question(sizes.values.to_numpy(), held.values.to_numpy(zero_copy_only=False).astype(bool), packed.as_py(), order, ranges)
-                asked = np.flatnonzero(np.diff(bounds))
-                for a in range(0, len(asked), 10_000):
-                    some = asked[a : a + 10_000]
-                    lo, hi = bounds[some[0]], bounds[some[-1] + 1]
-                    edge = np.r_[bounds[some], hi] - lo
-                    n = len(some)
-                    yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(np.full(n, block.as_py())), pa.array(np.full(n, width, np.int8)), _binary(gaps[lo * width : hi * width], edge * width), _binary(counts[lo:hi], edge)], ["range", "block", "width", "gaps", "counts"])
+                number, _, held, sizes, packed = _fields(batch, row)
+                depth, keys, of = _places(sizes, packed, order)
+                taught = (~held).astype(np.uint64)[np.cumsum(depth == 0) - 1]
+                both = np.concatenate([k[x] << np.uint64(1) | taught[x] for k, x in zip(keys, of, strict=True)])
+                del keys, of, depth, taught
+                both.sort()
+                yield from _question_rows(as_question(*_distinct(both >> np.uint64(1), (both & np.uint64(1)).astype(bool)), ranges), number)
 
     return run
 
 
-ANSWERS = "block long, range long, low binary, at array<int>, high array<long>"
+ANSWERS = "block long, range long, n int, low binary, at array<int>, high array<long>"
+#: Stretches of so many counts are compressed.
+_ZIPPED = 512
 
 
 def _answer(ranges: int):
-    """Counts of one byte in the order asked, and where and how many it is from 255 on."""
-    width_of = (1 << DIGEST_BITS) // ranges + 1
+    """Counts of one byte in the order asked, compressed where they are many, and where and how many it is from 255 on."""
 
     def run(asked: pa.Table) -> pa.Table:
-        width = asked.column("width").to_numpy()
-        parts, rows = [], []
-        for w in np.unique(width).tolist():
-            of = np.flatnonzero(width == w)
-            t = asked.take(pa.array(of))
-            gaps, size = _bytes_of(t.column("gaps"))
-            begin = t.column("range").to_numpy().astype(np.uint64) * np.uint64(width_of)
-            parts.append((asked_keys(begin, gaps, size // w, w), _bytes_of(t.column("counts"))[0], size // w))
-            rows.append(of)
-        keys, counts, size = (np.concatenate(x) for x in zip(*parts, strict=True))
-        rows = np.concatenate(rows)
+        keys, counts, size, rows = _asked(asked, ranges)
         order = np.argsort(keys)
         ranked = keys[order]
         new = np.r_[True, ranked[1:] != ranked[:-1]]
@@ -266,10 +289,17 @@ def _answer(ranges: int):
         got[order] = total[np.cumsum(new) - 1]
         bounds = np.r_[0, np.cumsum(size)]
         many = np.flatnonzero(got >= 255)
-        edge = pa.array(np.searchsorted(many, bounds).astype(np.int32))
-        at = many - np.repeat(bounds[:-1], np.diff(np.searchsorted(many, bounds)))
-        t = asked.take(pa.array(rows))
-        return pa.Table.from_arrays([t.column("block"), t.column("range"), _binary(np.minimum(got, 255).astype(np.uint8), bounds), pa.ListArray.from_arrays(edge, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edge, pa.array(got[many]))], ["block", "range", "low", "at", "high"])
+        edge = np.searchsorted(many, bounds)
+        at = many - np.repeat(bounds[:-1], np.diff(edge))
+        low = np.minimum(got, 255).astype(np.uint8)
+        if size.max() < _ZIPPED:
+            low = _binary(low, bounds)
+        else:
+            low = [low[a:b].tobytes() for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+            low = pa.array([min(x, pa.compress(x, codec="zstd", asbytes=True), key=len) if len(x) >= _ZIPPED else x for x in low], pa.binary())
+        t = asked.select(["block", "range"]).take(pa.array(rows))
+        edge = pa.array(edge.astype(np.int32))
+        return pa.Table.from_arrays([*t.columns, pa.array(size.astype(np.int32)), low, pa.ListArray.from_arrays(edge, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edge, pa.array(got[many]))], ["block", "range", "n", "low", "at", "high"])
 
     return run
 
@@ -278,7 +308,7 @@ SCORES = "doc long, held_out boolean, n_tokens long, n_known long, train_tokens
 _SCORE_NAMES = ("doc", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
-def traverse(depth: np.ndarray, counts: list[np.ndarray], contexts: list[np.ndarray], size: float, strength: float) -> tuple[np.ndarray, np.ndarray]:
+def traverse(depth: np.ndarray, counts: list[np.ndarray], contexts: list[np.ndarray], size: float, strengths: tuple[float, ...]) -> tuple[np.ndarray, np.ndarray]:
     """log10 probabilities of every place by single words and by the automaton.
 
     counts[m - 1] has the count of the m-gram that ends at a place, contexts[m - 2] that of its context.
@@ -286,43 +316,55 @@ def traverse(depth: np.ndarray, counts: list[np.ndarray], contexts: list[np.ndar
     base = (counts[0] + 1) / size
     p = base.copy()
     for m in range(2, len(counts) + 1):
-        at = np.flatnonzero(depth >= m - 1)
+        at, strength = np.flatnonzero(depth >= m - 1), strengths[min(m - 2, len(strengths) - 1)]
         p[at] = (counts[m - 1][at] + strength * p[at]) / (contexts[m - 2][at] + strength)
     return np.log10(base), np.log10(p)
 
 
-def _score(order: int, ranges: int, total: int, distinct: int, trained: int, strength: float):
+def _score(order: int, ranges: int, total: int, distinct: int, trained: int, strengths: tuple[float, ...]):
     def run(block: pa.Table, answers: pa.Table) -> pa.Table:
-        docs, held, sizes, packed = (block.column(n)[0] for n in ("docs", "held", "sizes", "texts"))
-        held = held.values.to_numpy(zero_copy_only=False).astype(bool)
-        depth, keys, (asked, _, _, _, bounds) = _question(sizes.values.to_numpy(), held, packed.as_py(), order, ranges)
+        _, docs, held, sizes, packed = _fields(block, 0)
+        depth, keys, of = _places(sizes, packed, order)
+        every = np.concatenate([k[x] for k, x in zip(keys, of, strict=True)])
+        by = np.argsort(every)
+        ranked = every[by]
+        new = np.r_[True, ranked[1:] != ranked[:-1]]
+        which = np.empty(len(by), np.int32)
+        which[by] = np.cumsum(new) - 1
+        taught = (~held)[np.cumsum(depth == 0) - 1]
+        mine, taught_times = _distinct(ranked, np.concatenate([taught[x] for x in of])[by])
+        del every, by, ranked, keys, new
+        asked = as_question(mine, taught_times, ranges)[0]
         answers = answers.sort_by("range")
-        low, n = _bytes_of(answers.column("low"))
+        n = answers.column("n").to_numpy()
+        low = np.concatenate([np.frombuffer(x if len(x) == k else pa.decompress(x, k, codec="zstd", asbytes=True), np.uint8) for x, k in zip(answers.column("low").to_pylist(), n.tolist(), strict=True)])
         if len(low) != len(asked):
             raise ValueError("a block's answer doesn't fit its question")
         got = low.astype(np.int64)
         many = answers.column("at").combine_chunks()
-        at = np.repeat(np.cumsum(n) - n, np.diff(many.offsets.to_numpy()))
+        at = np.repeat(np.cumsum(n, dtype=np.int64) - n, np.diff(many.offsets.to_numpy()))
         got[at + many.flatten().to_numpy()] = answers.column("high").combine_chunks().flatten().to_numpy()
-        counts = [got[np.minimum(np.searchsorted(asked, k), len(asked) - 1)] for k in keys]
-        # A text's first mark is no n-gram: as a context it was seen once in each training text, and more words from there on are asked for.
-        start = depth == 0
-        contexts = []
-        for m in range(2, order + 1):
+        got = got[np.searchsorted(asked, mine)][which]
+        counts, past = [], 0
+        for x in of:
             c = np.zeros(len(depth), np.int64)
-            c[1:] = np.where(start[:-1], trained, counts[m - 2][:-1]) if m == 2 else counts[m - 2][:-1]
-            contexts.append(c)
-        base, score = traverse(depth, counts, contexts, float(total + distinct + 1), strength)
-        first = np.flatnonzero(start) + 1
-        size = np.diff(np.r_[first - 1, len(depth)]) - 1
-        known = np.add.reduceat((counts[0] > 0) & ~start, first - 1, dtype=np.int64)
-        sums = [np.add.reduceat(np.where(start, 0.0, x), first - 1) for x in (base, score)]
-        return pa.Table.from_arrays([docs.values, pa.array(held), pa.array(size), pa.array(known), pa.array(np.full(len(size), total)), *map(pa.array, sums)], _SCORE_NAMES)
+            c[x] = got[past : past + len(x)]
+            past += len(x)
+            counts.append(c)
+        # A text's mark is no token: as a context it was seen once in each training text.
+        start = depth == 0
+        contexts = [np.r_[0, np.where(start, trained, c)[:-1] if m == 0 else c[:-1]] for m, c in enumerate(counts[:-1])]
+        base, score = traverse(depth, counts, contexts, float(total + distinct + 1), strengths)
+        first = np.flatnonzero(start)
+        size = np.diff(np.r_[first, len(depth)]) - 1
+        known = np.add.reduceat((counts[0] > 0) & ~start, first, dtype=np.int64)
+        sums = [np.add.reduceat(np.where(start, 0.0, x), first) for x in (base, score)]
+        return pa.Table.from_arrays([docs, pa.array(held), pa.array(size), pa.array(known), pa.array(np.full(len(size), total)), *map(pa.array, sums)], _SCORE_NAMES)
 
     return run
 
 
-def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, strength: float = STRENGTH, block_bytes: int = BLOCK_BYTES, range_tokens: int = RANGE_TOKENS) -> DataFrame:
+def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, strengths: tuple[float, ...] = STRENGTHS, block_bytes: int = BLOCK_BYTES, range_bytes: int = RANGE_BYTES) -> DataFrame:
     """(doc, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row; held-out rows are not learnt from.
 
     A null text is empty: its only token is the end. A null ``held_out`` counts as false. Repeated rows are learnt from
@@ -331,14 +373,14 @@ def lm_scores(docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_co
     """
     ship_package(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text"), F.coalesce(held_out, F.lit(False)).alias("held_out"))
-    total, distinct, every = vocabulary(rows)
-    trained = rows.where("not held_out").count()
-    ranges = max(1, math.ceil(every / range_tokens))
+    size, trained = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0).cast("long")), F.count_if(~F.col("held_out"))).first()
+    ranges = max(1, math.ceil(size / range_bytes))
+    total, distinct = vocabulary(rows.where("not held_out").select("text"), ranges)
     parts = max(ranges, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     blocks = rows.mapInArrow(_pack(block_bytes), BLOCKS).repartition(parts, "block")
-    asked = blocks.mapInArrow(_ask(order, ranges), "range long, block long, width byte, gaps binary, counts binary")
+    asked = blocks.mapInArrow(_ask(order, ranges), ASKED)
     answers = asked.repartition(parts, "range").groupBy("range").applyInArrow(_answer(ranges), ANSWERS)
-    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(order, ranges, total, distinct, trained, strength), SCORES)
+    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(order, ranges, total, distinct, trained, strengths), SCORES)
 
 
 def op9_lm_scoring(spark, sf_dir: str) -> DataFrame:

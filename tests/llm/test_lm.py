@@ -25,7 +25,7 @@ def test_whole_table(spark, small):
     assert sum(r.score for r in got if r.held_out) > sum(r.base_score for r in got if r.held_out)
 
 
-def plain_model(train, order, strength=lm.STRENGTH):
+def plain_model(train, order, strengths=lm.STRENGTHS):
     """Probabilities by the definition: counts of all n-grams, recursion over contexts."""
     grams, after = Counter(), Counter()
     for t in train:
@@ -39,13 +39,14 @@ def plain_model(train, order, strength=lm.STRENGTH):
     def p(h, w):
         if not h:
             return (grams[(w,)] + 1) / (n + v + 1)
-        return (grams[(*h, w)] + strength * p(h[1:], w)) / (after[h] + strength)
+        s = strengths[min(len(h), len(strengths)) - 1]
+        return (grams[(*h, w)] + s * p(h[1:], w)) / (after[h] + s)
 
     return p, [g[0] for g in grams if len(g) == 1]
 
 
-@pytest.mark.parametrize("block_bytes, range_tokens", [(8 << 20, 1_000_000), (3000, 500)])
-def test_brute_force(spark, block_bytes, range_tokens):
+@pytest.mark.parametrize("block_bytes, range_bytes", [(8 << 20, 8 << 20), (3000, 2000)])
+def test_brute_force(spark, block_bytes, range_bytes):
     rnd = random.Random(2)
     texts = [(k, " ".join(rnd.choices("the The a of cat sat É x y".split(), weights=[9, 3, 5, 5, 4, 3, 2, 1, 1], k=rnd.randrange(1, 40)))) for k in range(60)]
     texts += [(70, None), (71, ""), (71, ""), (None, "the cat sat of unseenword"), (72, "the cat " * 5000), (73, "  zzz\tqqq "), (74, " ".join(f"w{rnd.randrange(900)}" for _ in range(700)))]
@@ -54,7 +55,7 @@ def test_brute_force(spark, block_bytes, range_tokens):
     train = [t for d, t in texts if d is None or d % 5 != 1]
     for order in (1, 2, 3, 4):
         p, vocab = plain_model(train, order)
-        got = lm.lm_scores(df, held, order=order, block_bytes=block_bytes, range_tokens=range_tokens).collect()
+        got = lm.lm_scores(df, held, order=order, block_bytes=block_bytes, range_bytes=range_bytes).collect()
         want = []
         for d, t in texts:
             seq, s = [b"", *lm.tokens_of(t)], 0.0
