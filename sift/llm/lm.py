@@ -138,6 +138,28 @@ def _bytes_of(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([x for x, _ in parts]), np.concatenate([np.diff(o) for _, o in parts])
 
 
+#: Stretches of so many bytes are compressed.
+_ZIPPED = 512
+
+
+def _zip(data: np.ndarray, bounds: np.ndarray) -> pa.Array:
+    """Stretches of a byte buffer, compressed where that makes long ones shorter."""
+    if len(bounds) < 2 or np.diff(bounds).max() < _ZIPPED:
+        return _binary(data, bounds)
+    raw = [data[a:b].tobytes() for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+    return pa.array([min(x, pa.compress(x, codec="zstd", asbytes=True), key=len) if len(x) >= _ZIPPED else x for x in raw], pa.binary())
+
+
+def _unzip(column: pa.ChunkedArray, sizes: np.ndarray) -> np.ndarray:
+    """The bytes of all stretches in a row; ``sizes`` are what they were before."""
+    data, held = _bytes_of(column)
+    if (held == sizes).all():
+        return data
+    ends = np.cumsum(held)
+    parts = (data[e - h : e] if h == n else np.frombuffer(pa.decompress(data[e - h : e].tobytes(), n, codec="zstd", asbytes=True), np.uint8) for e, h, n in zip(ends.tolist(), held.tolist(), sizes.tolist(), strict=True))
+    return np.concatenate(list(parts))
+
+
 # -- words of the training texts
 
 
@@ -156,7 +178,7 @@ def _question_rows(question, block: int) -> Iterator[pa.RecordBatch]:
         some = asked[a : a + 10_000]
         lo, hi = bounds[some[0]], bounds[some[-1] + 1]
         edge = np.r_[bounds[some], hi] - lo
-        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(np.full(len(some), block)), pa.array(np.full(len(some), width, np.int8)), _binary(gaps[lo * width : hi * width], edge * width), _binary(counts[lo:hi], edge)], ["range", "block", "width", "gaps", "counts"])
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(np.full(len(some), block)), pa.array(np.full(len(some), width, np.int8)), _binary(gaps[lo * width : hi * width], edge * width), _zip(counts[lo:hi], edge)], ["range", "block", "width", "gaps", "counts"])
 
 
 ASKED = "range long, block long, width byte, gaps binary, counts binary"
@@ -172,7 +194,7 @@ def _asked(table: pa.Table, ranges: int) -> tuple[np.ndarray, np.ndarray, np.nda
         t = table.take(pa.array(of))
         gaps, size = _bytes_of(t.column("gaps"))
         begin = t.column("range").to_numpy().astype(np.uint64) * np.uint64(width_of)
-        parts.append((asked_keys(begin, gaps, size // w, w), _bytes_of(t.column("counts"))[0], size // w, of))
+        parts.append((asked_keys(begin, gaps, size // w, w), _unzip(t.column("counts"), size // w), size // w, of))
     return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
 
 
@@ -231,7 +253,7 @@ def _pack(block_bytes: int):
         t = pa.Table.from_batches(held).combine_chunks()
         buf, offsets = flat(t.column("text").chunk(0))
         whole = [t.column("doc").chunk(0), t.column("held_out").chunk(0), pa.array(np.diff(offsets).astype(np.int32))]
-        zipped = pa.compress(pa.py_buffer(np.ascontiguousarray(buf)), codec="zstd", asbytes=True) if buf.size else b""
+        zipped = pa.Codec("zstd", compression_level=3).compress(pa.py_buffer(np.ascontiguousarray(buf)), asbytes=True) if buf.size else b""
         return pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), *(pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x) for x in whole), pa.array([zipped], pa.binary())], ["block", "docs", "held", "sizes", "texts"])
 
     return run
@@ -272,12 +294,10 @@ def _ask(order: int, ranges: int):
 
 
 ANSWERS = "block long, range long, n int, low binary, at array<int>, high array<long>"
-#: Stretches of so many counts are compressed.
-_ZIPPED = 512
 
 
 def _answer(ranges: int):
-    """Counts of one byte in the order asked, compressed where they are many, and where and how many it is from 255 on."""
+    """Counts of two bytes in the order asked, first all low bytes, then all high ones; and where and how many it is from 65,535 on."""
 
     def run(asked: pa.Table) -> pa.Table:
         keys, counts, size, rows = _asked(asked, ranges)
@@ -288,15 +308,14 @@ def _answer(ranges: int):
         got = np.empty(len(keys), np.int64)
         got[order] = total[np.cumsum(new) - 1]
         bounds = np.r_[0, np.cumsum(size)]
-        many = np.flatnonzero(got >= 255)
+        many = np.flatnonzero(got >= 65_535)
         edge = np.searchsorted(many, bounds)
         at = many - np.repeat(bounds[:-1], np.diff(edge))
-        low = np.minimum(got, 255).astype(np.uint8)
-        if size.max() < _ZIPPED:
-            low = _binary(low, bounds)
-        else:
-            low = [low[a:b].tobytes() for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-            low = pa.array([min(x, pa.compress(x, codec="zstd", asbytes=True), key=len) if len(x) >= _ZIPPED else x for x in low], pa.binary())
+        low = np.minimum(got, 65_535).astype("<u2").view(np.uint8).reshape(-1, 2)
+        planes = np.empty(2 * len(got), np.uint8)
+        each = np.repeat(bounds[:-1], size) + np.arange(len(got))
+        planes[each], planes[each + np.repeat(size, size)] = low[:, 0], low[:, 1]
+        low = _zip(planes, 2 * bounds)
         t = asked.select(["block", "range"]).take(pa.array(rows))
         edge = pa.array(edge.astype(np.int32))
         return pa.Table.from_arrays([*t.columns, pa.array(size.astype(np.int32)), low, pa.ListArray.from_arrays(edge, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edge, pa.array(got[many]))], ["block", "range", "n", "low", "at", "high"])
@@ -337,10 +356,12 @@ def _score(order: int, ranges: int, total: int, distinct: int, trained: int, str
         asked = as_question(mine, taught_times, ranges)[0]
         answers = answers.sort_by("range")
         n = answers.column("n").to_numpy()
-        low = np.concatenate([np.frombuffer(x if len(x) == k else pa.decompress(x, k, codec="zstd", asbytes=True), np.uint8) for x, k in zip(answers.column("low").to_pylist(), n.tolist(), strict=True)])
+        planes = _unzip(answers.column("low"), 2 * n.astype(np.int64))
+        each = np.repeat(np.cumsum(n, dtype=np.int64) - n, n) + np.arange(n.sum())
+        low = planes[each].astype(np.int64) + 256 * planes[each + np.repeat(n, n)].astype(np.int64)
         if len(low) != len(asked):
             raise ValueError("a block's answer doesn't fit its question")
-        got = low.astype(np.int64)
+        got = low
         many = answers.column("at").combine_chunks()
         at = np.repeat(np.cumsum(n, dtype=np.int64) - n, np.diff(many.offsets.to_numpy()))
         got[at + many.flatten().to_numpy()] = answers.column("high").combine_chunks().flatten().to_numpy()
