@@ -1,9 +1,10 @@
 """Substring dedup by content-defined chunking with a gear rolling hash.
 
 A chunk ends where the gear hash of the last 16 bytes has its top bits zero, wherever in a text those bytes stand, once
-the chunk is long enough: an insertion moves the chunks after it but does not change them. Chunks are counted by a
-64-bit digest. A stretch of adjacent chunks that other texts hold too, long enough, is a repeated passage; as it takes
-several chunks in a row, one chance collision of digests makes none.
+the chunk is long enough, and never inside a character: an insertion moves the chunks after it but does not change them. Chunks are
+counted by a 64-bit digest. A long enough row of adjacent chunks that other texts hold too is a repeated passage; as it
+takes several chunks, one chance collision of digests makes none. The first occurrence of a digest, in the text of the
+smallest id, is its owner; all others may be cut, and each chunk survives once.
 """
 
 from __future__ import annotations
@@ -15,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from sift.llm.expr import fresh
 from sift.llm.textbatch import flat, slices
 from sift.runtime import materialise, ship_package
 
@@ -52,6 +54,7 @@ def cuts(buf: np.ndarray, offsets: np.ndarray, bits: int = BITS, min_chunk: int
     low = np.uint16(16 - bits)
     border = h >> low == 0
     border[at] = False
+    border[:-1] &= (buf[1:] & 0xC0) != 0x80
     out, last = [0], 0
     ends = set(offsets.tolist())
     for e in np.union1d(np.flatnonzero(border) + 1, offsets).tolist():
@@ -86,22 +89,49 @@ def chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bits
     return docs.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).cast("string").alias("text")).mapInArrow(_chunk_batches(bits, min_chunk), "doc long, a int, b int, digest long")
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bits: int = BITS, min_chunk: int = MIN_CHUNK, min_repeat: int = MIN_REPEAT) -> DataFrame:
-    """(doc, start, end, n_chunks, n_docs, other): stretches of at least ``min_repeat`` bytes whose chunks other texts hold.
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bits: int = BITS, min_chunk: int = MIN_CHUNK, min_repeat: int = MIN_REPEAT, within: bool = False) -> DataFrame:
+    """(doc, start, end, n_chunks, n_docs, other, first): stretches of chunks that other texts hold too, at least ``min_repeat`` bytes in a row.
 
-    start and end are byte offsets; ``n_docs`` is the largest number of chunk occurrences among its chunks; ``other``
-    the smallest id that shares its first chunk (the largest, in the text that has the smallest itself). ``first`` tells
-    whether the text has the smallest id, and so keeps the passage when the rest is cut. Rows without an id are left
-    out; rows that repeat an id are one document. Null and empty texts have no chunks; an empty table gives no rows.
+    start and end are byte offsets; ``first`` tells whether the stretch owns its chunks, and so stays when the rest is
+    cut; a row of repeated chunks is told in parts where that changes. ``n_docs`` is the largest number of occurrences
+    among its chunks; ``other`` the smallest id that shares its first chunk (in the text that has the smallest itself,
+    the largest). What is repeated inside one text only counts if ``within`` is set. Rows without an id are left out;
+    rows that repeat an id are one document. Null and empty texts have no chunks; an empty table gives no rows.
     """
     found = materialise(chunks(docs.where(F.col(id_col).isNotNull()), id_col, text_col, bits, min_chunk), "chunks")
-    shared = found.groupBy("digest").agg(F.min("doc").alias("lo"), F.max("doc").alias("hi"), F.count("*").alias("n")).where("lo <> hi")
-    seen = found.join(shared, "digest").select("doc", "a", "b", "n", F.when(F.col("doc") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("other"), (F.col("doc") == F.col("lo")).alias("first"))
+    # Stored, so that both sides of the join are plain exchanges, of which a frequent digest's can be split.
+    shared = found.groupBy("digest").agg(F.min("doc").alias("lo"), F.max("doc").alias("hi"), F.count("*").alias("n"))
+    shared = materialise(shared.where("n > 1" if within else "lo <> hi"), "chunks-shared")
+    seen = found.join(shared, "digest")
+    again = F.row_number().over(Window.partitionBy("doc", "digest").orderBy("a", "b"))
+    seen = seen.select("doc", "a", "b", "n", F.when(F.col("doc") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("other"), ((F.col("doc") == F.col("lo")) & (again == 1)).alias("first"))
     along = Window.partitionBy("doc").orderBy("a", "b")
-    fresh = F.coalesce(F.col("a") > F.lag("b").over(along), F.lit(True))
-    stretch = seen.withColumn("fresh", fresh.cast("int")).withColumn("k", F.sum("fresh").over(along.rowsBetween(Window.unboundedPreceding, 0)))
-    whole = stretch.groupBy("doc", "k").agg(F.min("a").alias("start"), F.max("b").alias("end"), F.count("*").alias("n_chunks"), F.max("n").alias("n_docs"), F.min(F.struct("a", "other", "first")).alias("at"))
-    return whole.where(F.col("end") - F.col("start") >= min_repeat).select("doc", "start", "end", "n_chunks", "n_docs", F.col("at.other").alias("other"), F.col("at.first").alias("first"))
+    begins = F.coalesce(F.col("a") > F.lag("b").over(along), F.lit(True))
+    turns = begins | (F.col("first") != F.lag("first").over(along))
+    upto = along.rowsBetween(Window.unboundedPreceding, 0)
+    rows = seen.select("*", begins.cast("int").alias("begins"), turns.cast("int").alias("turns")).select("*", F.sum("begins").over(upto).alias("row"), F.sum("turns").over(upto).alias("part"))
+    parts = rows.groupBy("doc", "row", "part").agg(F.min("a").alias("start"), F.max("b").alias("end"), F.count("*").alias("n_chunks"), F.max("n").alias("n_docs"), F.min_by("other", "a").alias("other"), F.first("first").alias("first"))
+    whole = Window.partitionBy("doc", "row")
+    parts = parts.withColumn("long", F.max("end").over(whole) - F.min("start").over(whole))
+    return parts.where(F.col("long") >= min_repeat).select("doc", "start", "end", "n_chunks", "n_docs", "other", "first")
+
+
+def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bits: int = BITS, min_chunk: int = MIN_CHUNK, min_repeat: int = MIN_REPEAT, within: bool = False) -> DataFrame:
+    """``docs`` with the repeated passages cut out of their texts, but for the one stretch that owns them.
+
+    Every row stays, its text maybe empty. Rows without an id, and rows that share an id, are left as they are. Other
+    columns are untouched.
+    """
+    mark = fresh(docs, "_cut")
+    cut = repeated_passages(docs, id_col, text_col, bits, min_chunk, min_repeat, within).where("not first")
+    alone = docs.groupBy(F.col(id_col).cast("long").alias("doc")).agg(F.count("*").alias("rows")).where("rows = 1").select("doc")
+    spans = cut.join(alone, "doc", "left_semi").groupBy("doc").agg(F.array_sort(F.collect_list(F.struct("start", "end"))).alias(mark)).withColumnRenamed("doc", f"{mark}_of")
+    raw = F.encode(F.col(f"`{text_col}`"), "UTF-8")
+    begins, ends = F.concat(F.array(F.lit(0)), F.col(f"{mark}.end")), F.concat(F.col(f"{mark}.start"), F.array(F.octet_length(F.col(f"`{text_col}`"))))
+    kept = F.transform(F.arrays_zip(begins.alias("a"), ends.alias("b")), lambda x: F.decode(F.substring(raw, x["a"] + 1, x["b"] - x["a"]), "UTF-8"))
+    joined = docs.join(spans, docs[id_col].cast("long") == F.col(f"{mark}_of"), "left")
+    text = F.when(F.col(mark).isNull(), F.col(f"`{text_col}`")).otherwise(F.array_join(kept, ""))
+    return joined.select(*(text.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
 
 
 def op7_substring_dedup(spark, sf_dir: str) -> DataFrame:
