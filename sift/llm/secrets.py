@@ -10,6 +10,7 @@ lengths of the matches and of what lies between them.
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -25,7 +26,7 @@ BASE = (
 )
 KIND = "random"
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
-CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
+CANDIDATE = r"[A-Za-z0-9+/_=-]{16,}"
 #: Texts whose words teach the model of ordinary writing at most, and random strings of each form.
 SAMPLE_TEXTS = 2000
 SAMPLE_RANDOM = 3000
@@ -35,29 +36,77 @@ MARGIN_EACH = 0.75
 MASK = "[SECRET]"
 
 
-_SPAN = "array<struct<start:int,rank:int,end:int,value:string>>"
+#: Spans in code points, with their text, and in bytes.
+_SPAN = "array<struct<start:int,rank:int,end:int,value:string,a:int,b:int>>"
+_BLOCK = 256
+
+
+def _gathered(items: Column, state: Column, kind: str, step: Callable[[Column, Column], tuple[Column, Column]]) -> Column:
+    """Goes through ``items`` with a state; ``step`` tells the next state and what to append (an array). All appended, as ``kind``.
+
+    Blocks of items are gathered by themselves, so that appending copies little even where items are many.
+    """
+    empty = F.expr("array()").cast(kind)
+
+    def one(s: Column, x: Column) -> Column:
+        after, more = step(s["state"], x)
+        return F.struct(after.alias("state"), F.concat(s["held"], more.cast(kind)).alias("held"))
+
+    def block(s: Column, part: Column) -> Column:
+        inner = F.aggregate(part, F.struct(s["state"].alias("state"), empty.alias("held")), one)
+        return let(inner, lambda r: F.struct(r["state"].alias("state"), F.concat(s["held"], r["held"]).alias("held")))
+
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(items) - 1) / _BLOCK).cast("int")), lambda i: F.slice(items, i * _BLOCK + 1, F.lit(_BLOCK)))
+    return F.when(F.size(items) == 0, empty).otherwise(F.aggregate(blocks, F.struct(state.alias("state"), empty.alias("held")), block, lambda s: s["held"]))
 
 
 def _spans(text: Column, pattern: str, rank: int, group: int, least: int) -> Column:
-    """Leftmost non-overlapping matches as (start, rank, end, value) in code points, those with too short a group dropped."""
+    """Leftmost non-overlapping matches as ``_SPAN``, those with too short a group dropped."""
     whole, inner = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.regexp_extract_all(text, F.lit(pattern), F.lit(group))
 
     def placed(m: Column) -> Column:
-        joined = F.arrays_zip(m["whole"].alias("w"), m["inner"].alias("g"), m["between"].alias("b"))
-        empty = F.struct(F.lit(0).alias("at"), F.expr("array()").cast(_SPAN).alias("found"))
+        joined = F.filter(F.arrays_zip(m["whole"].alias("w"), m["inner"].alias("g"), m["between"].alias("b")), lambda x: x["w"].isNotNull())
 
-        def step(s: Column, x: Column) -> Column:
-            start = s["at"] + F.length(x["b"])
-            end = start + F.length(x["w"])
-            one = F.array(F.struct(start.alias("start"), F.lit(rank).alias("rank"), end.alias("end"), x["w"].alias("value"))).cast(_SPAN)
-            return F.struct(end.alias("at"), F.when(F.length(x["g"]) >= least, F.concat(s["found"], one)).otherwise(s["found"]).alias("found"))
+        def step(s: Column, x: Column) -> tuple[Column, Column]:
+            start, a = s["at"] + F.length(x["b"]), s["byte"] + F.octet_length(x["b"])
+            end, b = start + F.length(x["w"]), a + F.octet_length(x["w"])
+            one = F.array(F.struct(start.alias("start"), F.lit(rank).alias("rank"), end.alias("end"), x["w"].alias("value"), a.alias("a"), b.alias("b"))).cast(_SPAN)
+            return F.struct(end.alias("at"), b.alias("byte")), F.when(F.length(x["g"]) >= least, one).otherwise(F.expr("array()").cast(_SPAN))
 
-        return F.aggregate(F.filter(joined, lambda x: x["w"].isNotNull()), empty, step, lambda s: s["found"])
+        return let(joined, lambda j: _gathered(j, F.struct(F.lit(0).alias("at"), F.lit(0).alias("byte")), _SPAN, step))
 
     parts = F.struct(whole.alias("whole"), inner.alias("inner"), F.split(text, pattern, -1).alias("between"))
     return F.when(text.rlike(pattern), let(parts, placed)).otherwise(F.expr("array()").cast(_SPAN))
 
 
+def _merged(spans: Column, size: Column) -> Column:
+    """Maximal stretches (a, b) of overlapping ``spans`` (sorted), in bytes; ``size`` is the text's."""
+    kind = "array<struct<a:int,b:int>>"
+    items = F.concat(F.transform(spans, lambda x: F.struct(x["a"].alias("a"), x["b"].alias("b"))), F.array(F.struct(size.alias("a"), size.alias("b"))))
+
+    def step(open_: Column, x: Column) -> tuple[Column, Column]:
+        inside = x["a"] < open_["b"]
+        after = F.struct(F.when(inside, open_["a"]).otherwise(x["a"]).alias("a"), F.when(inside, F.greatest(open_["b"], x["b"])).otherwise(x["b"]).alias("b"))
+        return after, F.when(inside | (open_["b"] < 0), F.expr("array()").cast(kind)).otherwise(F.array(open_))
+
+    return let(items, lambda i: _gathered(i, F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b")), kind, step))
+
+
+def _replaced(text: Column, spans: Column, by: Callable[[Column], Column]) -> Column:
+    """``text`` with every maximal stretch of overlapping ``spans`` (sorted) replaced by ``by`` of its size in bytes."""
+
+    def spelt(m: Column, raw: Column) -> Column:
+        def piece(x: Column, i: Column) -> Column:
+            up = F.when(i == 0, F.lit(0)).otherwise(F.get(m, i - 1)["b"])
+            return F.concat(F.decode(F.substring(raw, up + 1, x["a"] - up), "UTF-8"), by(x["b"] - x["a"]))
+
+        last = F.element_at(m, -1)["b"]
+        return F.concat(F.array_join(F.transform(m, piece), ""), F.decode(F.substring(raw, last + 1, F.octet_length(raw) - last), "UTF-8"))
+
+    replaced = let(F.encode(text, "UTF-8"), lambda raw: let(_merged(spans, F.octet_length(raw)), lambda m: spelt(m, raw)))
+    return F.when(F.size(spans) == 0, text).otherwise(replaced)
+
+
 def base_spans(text: Column) -> Column:
     """The fixed patterns' spans, by start, then kind."""
     return F.array_sort(F.concat(*(_spans(text, p, k, g, n) for k, (_, p, g, n) in enumerate(BASE))))
@@ -110,21 +159,19 @@ def random_spans(text: Column, ratio: Column) -> Column:
     return F.filter(_spans(text, CANDIDATE, len(BASE), 0, 0), likely)
 
 
-def _overlaps(a: Column, b: Column) -> Column:
-    return (a["start"] < b["end"]) & (b["start"] < a["end"])
-
-
 def scanned(docs: DataFrame, ratio: list[float], text_col: str = "text", name: str = "_secrets") -> DataFrame:
-    """``docs`` with a struct column of base and added (arrays of start, rank, end, value), in code points.
+    """``docs`` with a struct column of base and added (arrays of start, rank, end, value, a, b), in code points and in bytes.
 
-    rank 0 assign, 1 access, 2 hex, 3 random; an added span overlaps no base span. A null text is empty. Other columns
-    are carried along untouched; none may be called ``name``.
+    rank 0 assign, 1 access, 2 hex, 3 random; an added span overlaps no base span, for runs are looked for in what base
+    spans leave. A null text is empty. Other columns are carried along untouched; none may be called ``name``.
     """
     text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
     held, base = fresh(docs, "_ratio"), fresh(docs, "_base")
     table = F.split(F.lit(",".join(repr(x) for x in ratio)), ",").cast("array<double>")  # one literal, folded once
     marked = docs.withColumn(held, table).withColumn(base, base_spans(text))
-    added = F.filter(random_spans(text, F.col(held)), lambda x: ~F.exists(F.col(base), lambda b: _overlaps(x, b)))
+    # Base spans are of ASCII characters only, so blanks in their place keep all positions.
+    left = _replaced(text, F.col(base), lambda n: F.repeat(F.lit(" "), n))
+    added = let(left, lambda t: random_spans(t, F.col(held)))
     return marked.withColumn(name, F.struct(F.col(base).alias("base"), added.alias("added"))).drop(base, held)
 
 
@@ -136,14 +183,7 @@ def spelled(spans: Column) -> Column:
 
 def masked(text: Column, spans: Column, mask: str = MASK) -> Column:
     """``text`` with every maximal stretch of overlapping spans replaced by ``mask``."""
-
-    def step(s: Column, x: Column) -> Column:
-        fresh = x["start"] >= s["up"]
-        more = F.concat(s["out"], F.when(fresh, F.concat(F.substring(text, s["up"] + 1, x["start"] - s["up"]), F.lit(mask))).otherwise(F.lit("")))
-        return F.struct(more.alias("out"), F.greatest(s["up"], x["end"]).alias("up"))
-
-    start = F.struct(F.lit("").alias("out"), F.lit(0).alias("up"))
-    return F.when(F.size(spans) == 0, text).otherwise(F.aggregate(F.array_sort(spans), start, step, lambda s: F.concat(s["out"], F.substring(text, s["up"] + 1, F.length(text)))))
+    return let(F.array_sort(spans), lambda x: _replaced(text, x, lambda n: F.lit(mask)))
 
 
 def op6_secret_scans(spark, sf_dir: str) -> DataFrame:

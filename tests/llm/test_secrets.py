@@ -64,3 +64,40 @@ def test_held_out_accuracy(spark, small):
     got = {r.doc_id: len(r._secrets.added) + len(r._secrets.base) for r in secrets.scanned(df, ratio).collect()}
     assert sum(got[k] for k in range(200)) >= 190
     assert sum(got[k] for k in range(200, 400)) <= 4
+
+
+def test_many_spans_in_one_text(spark):
+    """Thousands of secrets in a text: right, and not much more than in proportion to their number."""
+    import random
+    import time
+
+    rnd = random.Random(6)
+    ratio = [0.0] * len(secrets.ALPHABET) ** 2
+
+    def run(n):
+        t = " é ".join(rnd.choice(["token=" + "%024x" % rnd.getrandbits(96), "%030x" % rnd.getrandbits(120), "plain words", "AKIA" + "A1" * 9]) for _ in range(n))
+        df = spark.createDataFrame([(1, t)], "doc_id long, text string")
+        began = time.time()
+        r = secrets.scanned(df, ratio).withColumn("clean", secrets.masked(F.col("text"), F.col("_secrets.base"))).collect()[0]
+        took = time.time() - began
+        assert [(x.start, x.rank, x.end) for x in r._secrets.base] == [x[:3] for x in plain(t)]
+        out, up = [], 0
+        for a, _, b, _ in plain(t):
+            if a >= up:
+                out += [t[up:a], "[SECRET]"]
+            up = max(up, b)
+        assert r.clean == "".join(out) + t[up:]
+        return took
+
+    run(500)
+    small, large = min(run(4000) for _ in range(2)), run(16000)
+    assert large < 8 * small + 3
+
+
+def test_what_base_spans_leave_is_looked_at(spark, small):
+    ratio = secrets.train(spark.read.parquet(f"{small}/documents.parquet"))
+    t = "a q7Zp0XkV9sLw3TtB8nRcY2mJ" + "0123456789abcdef01234567" + "Xq7Zp0XkV9sLw3TtB8nRc z"
+    df = spark.createDataFrame([(1, t)], "doc_id long, text string")
+    found = secrets.scanned(df, ratio).collect()[0]._secrets
+    assert [x.value for x in found.base] == ["0123456789abcdef01234567"]
+    assert [x.value for x in found.added] == ["q7Zp0XkV9sLw3TtB8nRcY2mJ", "Xq7Zp0XkV9sLw3TtB8nRc"]
