@@ -4,9 +4,13 @@ A 64-bit fingerprint is embedded as the bit counts of its 32 two-bit segments. T
 embeddings never exceeds the Hamming distance of the fingerprints, so fingerprints at 3 or fewer differing bits lie
 within Manhattan radius 3. The grid: coordinates are split into six groups; within radius 3 at most three groups can
 differ, hence two near points share the joint value of at least three groups. Each of the 20 triples of groups is a
-grid, each joint value a cell; points meet in cells and every pair in a cell is verified exactly on the fingerprints
-(on these a bit count of the XOR is cheaper than the bound itself). Only a spanning forest of the verified links
-leaves a cell, so a dense group of near copies yields a row per member, not a row per pair.
+grid, each joint value a cell. Points meet in cells, pairs beyond the radius by Manhattan distance are dropped, and the
+rest are verified exactly on the fingerprints. A large cell is divided again by quarters of the coordinates, one of which
+any two near points share. Only a spanning forest of the verified links leaves a cell, so a dense group of near copies
+yields a row per member, not a row per pair.
+
+A segment's count is written in unary (none, one, both bits set: 00, 01, 11); so the Manhattan distance of two embeddings
+is the number of bits by which their words differ.
 
 Copies meet in one fingerprint before any pairing. Components come from alternating star contractions on tables.
 """
@@ -75,27 +79,65 @@ def text_key(text: Column) -> Column:
     return F.xxhash64(text)
 
 
+_LOW = 0x5555555555555555
+
+
+def embedded(fp: np.ndarray) -> np.ndarray:
+    """The counts of all two-bit segments, in unary."""
+    low, high = fp & np.uint64(_LOW), (fp >> np.uint64(1)) & np.uint64(_LOW)
+    return (low | high) | ((low & high) << np.uint64(1))
+
+
+def _near(fp: np.ndarray, counts: np.ndarray, node: np.uint64, at: np.uint64, radius: int) -> np.ndarray:
+    """Which points are at ``radius`` bits or fewer from ``node``: first by the Manhattan bound, then exactly."""
+    near = np.bitwise_count(counts ^ at) <= radius
+    near[near] = np.bitwise_count(fp[near] ^ node) <= radius
+    return near
+
+
 def _pair_links(fp: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest of the graph on one cell's distinct fingerprints: each node linked to the one that reached it."""
     child, parent = [], []
-    rest = fp.copy()
+    rest, counts = fp.copy(), embedded(fp)
     while rest.size > 1:
-        front, rest = [rest[0]], rest[1:]
+        front, rest, counts = [(rest[0], counts[0])], rest[1:], counts[1:]
         while front and rest.size:
-            node = front.pop()
-            near = np.bitwise_count(rest ^ node) <= radius
+            node, at = front.pop()
+            near = _near(rest, counts, node, at, radius)
             if near.any():
                 got = rest[near]
                 child.append(got)
                 parent.append(np.full(got.size, node, np.uint64))
-                front.extend(got)
-                rest = rest[~near]
+                front.extend(zip(got, counts[near], strict=True))
+                rest, counts = rest[~near], counts[~near]
     if not child:
         none = np.zeros(0, np.uint64)
         return none, none
     return np.concatenate(child), np.concatenate(parent)
 
 
+#: Cells of more points are divided.
+LARGE_CELL = 2048
+
+
+def _cell_links(fp: np.ndarray, radius: int, large: int = LARGE_CELL) -> tuple[np.ndarray, np.ndarray]:
+    """Links that connect all near points of a cell. Within radius 3 three quarters of the coordinates can differ, not all."""
+    if fp.size <= large:
+        return _pair_links(fp, radius)
+    a, b, counts = [], [], embedded(fp)
+    for quarter in range(4):
+        value = (counts >> np.uint64(16 * quarter)) & np.uint64(0xFFFF)
+        order = np.argsort(value, kind="stable")
+        first = np.flatnonzero(np.r_[True, np.diff(value[order]) != 0])
+        for x, y in zip(first.tolist(), [*first[1:].tolist(), len(fp)], strict=True):
+            if y - x > 1:
+                c, d = _pair_links(fp[order[x:y]], radius)
+                a.append(c)
+                b.append(d)
+    none = np.zeros(0, np.uint64)
+    return np.concatenate([none, *a]), np.concatenate([none, *b])
+
+
 def _link_cells(radius: int):
     """Rows sorted by cell come in; verified links go out. Small cells are compared by shifted vectors, larger ones one by one."""
 
@@ -103,14 +145,15 @@ def _link_cells(radius: int):
         first = np.flatnonzero(np.r_[True, cell[1:] != cell[:-1]])
         size = np.diff(np.r_[first, cell.size])
         a, b = [], []
-        small = np.repeat(size <= 16, size)
+        small, counts = np.repeat(size <= 16, size), embedded(fp)
         for shift in range(1, int(min(16, size.max()))):
             hit = np.flatnonzero((cell[shift:] == cell[:-shift]) & small[shift:])
+            hit = hit[np.bitwise_count(counts[hit] ^ counts[hit + shift]) <= radius]
             hit = hit[np.bitwise_count(fp[hit] ^ fp[hit + shift]) <= radius]
             a.append(fp[hit + shift])
             b.append(fp[hit])
         for s, n in zip(first[size > 16].tolist(), size[size > 16].tolist(), strict=True):
-            x, y = _pair_links(np.unique(fp[s : s + n]), radius)
+            x, y = _cell_links(np.unique(fp[s : s + n]), radius)
             a.append(x)
             b.append(y)
         if a:
@@ -143,6 +186,17 @@ def _link_cells(radius: int):
     return run
 
 
+def pair_counts(fp: np.ndarray, radius: int = RADIUS) -> tuple[int, int, int]:
+    """Of a sample of distinct fingerprints: all pairs, those within the Manhattan bound, and those that link."""
+    counts = embedded(fp)
+    by_bound = by_bits = 0
+    for k in range(len(fp) - 1):
+        near = np.bitwise_count(counts[k + 1 :] ^ counts[k]) <= radius
+        by_bound += int(near.sum())
+        by_bits += int((np.bitwise_count(fp[k + 1 :][near] ^ fp[k]) <= radius).sum())
+    return len(fp) * (len(fp) - 1) // 2, by_bound, by_bits
+
+
 def near_links(points: DataFrame, radius: int = RADIUS) -> DataFrame:
     """Links (a, b) among the distinct fingerprints of ``points.fp``: a spanning forest of each cell's exact links.
 
@@ -152,10 +206,9 @@ def near_links(points: DataFrame, radius: int = RADIUS) -> DataFrame:
     if radius > RADIUS:
         raise ValueError("the grid is laid out for a radius of 3 or less")
     ship_package(points.sparkSession)
-    low = 0x5555555555555555
-    even, odd = F.col("fp").bitwiseAND(low), F.shiftrightunsigned("fp", 1).bitwiseAND(low)
-    # The sum of the two bits of every segment; no carry leaves a segment.
-    point = points.select("fp").distinct().withColumn("embedded", even.bitwiseXOR(odd).bitwiseOR(F.shiftleft(even.bitwiseAND(odd), 1)))
+    low, high = F.col("fp").bitwiseAND(_LOW), F.shiftrightunsigned("fp", 1).bitwiseAND(_LOW)
+    unary = low.bitwiseOR(high).bitwiseOR(F.shiftleft(low.bitwiseAND(high), 1))
+    point = points.select("fp").distinct().withColumn("embedded", unary)
     cells = []
     for k, three in enumerate(combinations(GROUPS, 3)):
         mask = sum((1 << b) - (1 << a) for a, b in three)
@@ -164,12 +217,16 @@ def near_links(points: DataFrame, radius: int = RADIUS) -> DataFrame:
     return dealt.mapInArrow(_link_cells(radius), "a long, b long").distinct()
 
 
+#: Rounds of star contraction at most; a path of n nodes needs about log2(n) of them.
+ROUNDS = 200
+
+
 def components(links: DataFrame, label: str = "cc") -> DataFrame:
     """(node, root): each linked node with the smallest node reachable; by alternating large- and small-star steps."""
     both = F.array(F.struct(F.col("a").alias("u"), F.col("b").alias("v")), F.struct(F.col("b").alias("u"), F.col("a").alias("v")))
     edges = materialise(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), f"{label}-0")
     seen = None
-    for k in range(1, 200):
+    for k in range(1, ROUNDS + 1):
         state = edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if state == seen or not state[0]:
             break
@@ -181,6 +238,8 @@ def components(links: DataFrame, label: str = "cc") -> DataFrame:
         small = edges.join(down, "a")
         edges = small.select(F.col("b").alias("a"), F.col("m").alias("b")).union(small.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
         edges = materialise(edges, f"{label}-{k}")
+    else:
+        raise RuntimeError(f"components are not stable after {ROUNDS} rounds")
     return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).union(edges.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 

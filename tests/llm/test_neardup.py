@@ -69,3 +69,47 @@ def test_dense_cell_links_are_a_forest():
     fp = np.unique(base ^ (np.uint64(1) << rnd.integers(0, 64, 500).astype(np.uint64)) ^ (np.uint64(1) << rnd.integers(0, 64, 500).astype(np.uint64)))
     a, b = neardup._pair_links(fp, 3)
     assert len(a) < len(fp) and all((int(x) ^ int(y)).bit_count() <= 3 for x, y in zip(a, b, strict=True))
+
+
+def test_manhattan_bound():
+    """The unary embedding's distance is the Manhattan distance of the counts, never above the number of differing bits."""
+    rnd = np.random.default_rng(7)
+    fp = rnd.integers(0, 1 << 63, 300, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    counts = np.array([[(int(f) >> (2 * k) & 3).bit_count() for k in range(32)] for f in fp])
+    e = neardup.embedded(fp)
+    for i in range(0, 300, 7):
+        by = np.bitwise_count(e ^ e[i])
+        assert (by == np.abs(counts - counts[i]).sum(axis=1)).all() and (by <= np.bitwise_count(fp ^ fp[i])).all()
+    near = np.unique(np.concatenate([fp[:40] ^ (np.uint64(1) << rnd.integers(0, 64, 40).astype(np.uint64)) for _ in range(6)]))
+    pairs, bound, links = neardup.pair_counts(near)
+    assert pairs > 10 * bound and bound >= links > 0
+
+
+def test_large_cells_lose_no_link():
+    rnd = np.random.default_rng(2)
+    base = rnd.integers(0, 1 << 63, 60, dtype=np.uint64)
+    fp = np.unique(np.concatenate([base, *(base ^ (np.uint64(1) << rnd.integers(0, 64, 60).astype(np.uint64)) ^ (np.uint64(1) << rnd.integers(0, 64, 60).astype(np.uint64)) for _ in range(8))]))
+
+    def groups(a, b):
+        root = {int(f): int(f) for f in fp}
+
+        def find(x):
+            while root[x] != x:
+                x = root[x]
+            return x
+
+        for x, y in zip(a.tolist(), b.tolist(), strict=True):
+            assert (x ^ y).bit_count() <= 3
+            root[find(x)] = find(y)
+        return {f: min(g for g in root if find(g) == find(f)) for f in root}
+
+    assert groups(*neardup._cell_links(fp, 3, large=50)) == groups(*neardup._pair_links(fp, 3))
+
+
+def test_components_that_do_not_settle(spark, monkeypatch):
+    import pytest
+
+    monkeypatch.setattr(neardup, "ROUNDS", 1)
+    links = spark.createDataFrame([(k, k + 1) for k in range(40)], "a long, b long")
+    with pytest.raises(RuntimeError):
+        neardup.components(links)
