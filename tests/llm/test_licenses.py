@@ -86,3 +86,43 @@ def test_edits_that_leave_no_run_of_words(spark):
     line = licenses.TEMPLATES[1][1] + "\n"
     twice = licenses.license_spans(spark.createDataFrame([(1, line * 3)], "doc_id long, text string")).collect()
     assert sorted((r.start, r.matched) for r in twice if r.license == "MIT") == [(k * len(line), 5) for k in range(3)]
+
+
+def test_brute_force(spark):
+    """Lost heads and tails, inserted and exchanged words: each place where enough words are matched is reported once, nothing else is."""
+    rnd = random.Random(12)
+    templates = [(f"T{k}", " ".join(f"t{k}w{rnd.randrange(40)}" for _ in range(n))) for k, n in enumerate((5, 9, 20, 20, 34))]
+    texts = []
+    for name, text in templates:
+        w = text.split()
+        for lost in range(len(w) // 5 + 1):
+            for at in (len(w) // 2, len(w) - 2):
+                texts.append(" ".join(["x"] * 10 + w[lost:at] + ["inserted"] + w[at:] + ["y"] * 5))
+                texts.append(" ".join(["x"] * 3 + w[: len(w) - lost] + ["z"] * 12 + w[lost:]))
+    for _ in range(150):
+        parts = []
+        for _ in range(rnd.randrange(1, 4)):
+            w = rnd.choice(templates)[1].split()
+            for _ in range(rnd.randrange(0, 5)):
+                k = rnd.randrange(len(w))
+                w[k : k + rnd.randrange(2)] = [rnd.choice(["odd", "even"])]
+            parts += w + [f"f{rnd.randrange(9)}" for _ in range(rnd.randrange(30))]
+        texts.append(" ".join(parts))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {}
+    for r in licenses.license_spans(df, templates).collect():
+        got.setdefault((r.doc, r.license), []).append(r)
+    for d, t in enumerate(texts):
+        words = words_of(t)
+        for name, text in templates:
+            template = words_of(text)
+            n = len(template)
+            spans = sorted((r.start, r.end) for r in got.get((d, name), []))
+            assert all(a[1] <= b[0] for a, b in zip(spans, spans[1:], strict=False)), (name, t)
+            for r in got.get((d, name), []):
+                assert 5 * r.matched >= 4 * n and r.words == n and plain_lcs(template, words_of(t[r.start : r.end])) == r.matched
+            # A window of the template's length that holds enough of it touches a reported span.
+            at = np.cumsum([0, *(len(x) + 1 for x in t.split())])
+            for k in range(max(1, len(words) - n + 1)):
+                if 5 * plain_lcs(template, words[k : k + n]) >= 4 * n:
+                    assert any(a < at[min(k + n, len(words))] and at[k] < b for a, b in spans), (name, k, t)
