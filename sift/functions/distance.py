@@ -37,8 +37,17 @@ def literal(metric: str, text: str) -> str:
     return "array(" + ", ".join(f"{float(x)!r}D" for x in text.split(",")) + ")"
 
 
-def _vectors(v: pd.Series) -> np.ndarray:
-    return np.stack(v.to_numpy()).astype(np.float64)
+def _distances(v: pd.Series, q: pd.Series, norm) -> pd.Series:
+    """``norm`` of the differences, for each query the rows it is asked of; null where either is null or lengths differ."""
+    out = pd.Series(np.nan, index=v.index, dtype=float)
+    have = v.notna() & q.notna()
+    for text, at in q[have].groupby(q[have]).groups.items():
+        to = np.array([float(x) for x in text.split(",")])
+        rows = v.loc[at]
+        rows = rows[rows.map(len) == len(to)]
+        if len(rows):
+            out.loc[rows.index] = norm(np.stack(rows.to_numpy()).astype(np.float64) - to)
+    return out
 
 
 def register(spark: SparkSession) -> None:
@@ -46,12 +55,11 @@ def register(spark: SparkSession) -> None:
 
     @F.pandas_udf("double")
     def euclid_distance(v: pd.Series, q: pd.Series) -> pd.Series:
-        d = _vectors(v) - np.array([float(x) for x in q.iloc[0].split(",")])
-        return pd.Series(np.sqrt((d * d).sum(axis=1)))
+        return _distances(v, q, lambda d: np.sqrt((d * d).sum(axis=1)))
 
     @F.pandas_udf("double")
     def manhattan_distance(v: pd.Series, q: pd.Series) -> pd.Series:
-        return pd.Series(np.abs(_vectors(v) - np.array([float(x) for x in q.iloc[0].split(",")])).sum(axis=1))
+        return _distances(v, q, lambda d: np.abs(d).sum(axis=1))
 
     spark.udf.register("euclid_distance", euclid_distance)
     spark.udf.register("manhattan_distance", manhattan_distance)

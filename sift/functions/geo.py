@@ -138,24 +138,63 @@ def rings_intersect(a: Ring, b: Ring) -> bool:
     return one(a, b[0]) or one(b, a[0])
 
 
+def _corners(shape: pd.Series) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All corners' x and y in a row, and how many each shape has; null shapes and those with a null corner have none."""
+    rings = [[(p["x"], p["y"]) for p in s] if s is not None else [] for s in shape]
+    rings = [[] if any(None in p for p in r) else r for r in rings]
+    flat = np.array([p for r in rings for p in r], float).reshape(-1, 2)
+    return flat[:, 0], flat[:, 1], np.array(list(map(len, rings)), np.int64)
+
+
+def shapes_contain(shape: pd.Series, lat: pd.Series, lng: pd.Series) -> pd.Series:
+    """Whether each shape holds its point, all edges side by side; null where shape, corner or coordinate is null."""
+    ax, ay, n = _corners(shape)
+    first = np.cumsum(n) - n
+    after = np.arange(len(ax)) + 1
+    last = (first + n - 1)[n > 0]
+    after[last] = first[n > 0]
+    bx, by = ax[after], ay[after]
+    of = np.repeat(np.arange(len(n)), n)
+    x, y = pd.to_numeric(lng).to_numpy(float)[of], pd.to_numeric(lat).to_numpy(float)[of]
+    with np.errstate(divide="ignore", invalid="ignore"):
+        crossed = ((y < ay) != (y < by)) & (x < (bx - ax) * (y - ay) / (by - ay) + ax)
+    odd = pd.Series(np.bincount(of, crossed, len(n)).astype(int) % 2 == 1, index=shape.index, dtype=object)
+    odd[(n == 0) | lat.isna().to_numpy() | lng.isna().to_numpy()] = None
+    return odd
+
+
+def shapes_intersect(wkt: pd.Series, shape: pd.Series) -> pd.Series:
+    """Whether each shape meets its polygon; edges are looked at only where the rectangles around both meet."""
+    x, y, n = _corners(shape)
+    first = np.cumsum(n) - n
+    out = [None] * len(n)
+    rings = {t: ring_of(t) for t in wkt.dropna().unique()}
+    for i, t in enumerate(wkt):
+        if n[i] and t in rings:
+            ring, at = rings[t], slice(first[i], first[i] + n[i])
+            xs, ys = zip(*ring, strict=True)
+            apart = x[at].max() < min(xs) or x[at].min() > max(xs) or y[at].max() < min(ys) or y[at].min() > max(ys)
+            out[i] = not apart and rings_intersect(ring, tuple(zip(x[at].tolist(), y[at].tolist(), strict=True)))
+    return pd.Series(out, index=shape.index, dtype=object)
+
+
 def register(spark: SparkSession) -> None:
     """st_contains(wkt, lat, lng), st_intersects(wkt, lat, lng), st_distance(lat, lng, lat', lng'), and for columns of shapes
     st_shape_contains(shape, lat, lng), st_shape_intersects(wkt, shape): opaque vectorised functions."""
 
-    def corners(shape) -> Ring:
-        return tuple((p["x"], p["y"]) for p in shape)
-
-    @F.udf("boolean", useArrow=True)
-    def st_shape_contains(shape, lat, lng):
-        return None if shape is None else bool(contains_numpy(corners(shape), np.array([lng]), np.array([lat]))[0])
+    @F.pandas_udf("boolean")
+    def st_shape_contains(shape: pd.Series, lat: pd.Series, lng: pd.Series) -> pd.Series:
+        return shapes_contain(shape, lat, lng)
 
-    @F.udf("boolean", useArrow=True)
-    def st_shape_intersects(wkt, shape):
-        return None if shape is None else rings_intersect(ring_of(wkt), corners(shape))
+    @F.pandas_udf("boolean")
+    def st_shape_intersects(wkt: pd.Series, shape: pd.Series) -> pd.Series:
+        return shapes_intersect(wkt, shape)
 
     def inside(wkt: pd.Series, lat: pd.Series, lng: pd.Series) -> pd.Series:
-        found = pd.Series(contains_numpy(ring_of(wkt.iloc[0]), lng.to_numpy(float), lat.to_numpy(float)), dtype=object)
-        found[lat.isna() | lng.isna()] = None  # a point without a coordinate is neither inside nor outside
+        found = pd.Series([None] * len(wkt), index=wkt.index, dtype=object)
+        have = wkt.notna() & lat.notna() & lng.notna()  # a point without a coordinate is neither inside nor outside
+        for text, at in wkt[have].groupby(wkt[have]).groups.items():
+            found.loc[at] = contains_numpy(ring_of(text), lng.loc[at].to_numpy(float), lat.loc[at].to_numpy(float))
         return found
 
     @F.pandas_udf("boolean")

@@ -7,7 +7,7 @@ from collections.abc import Iterable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sift.session import SiftSession
+from sift.session import SiftSession, usable
 
 FACTORS = ("sigma", "lambda", "mu", "psi")
 
@@ -25,8 +25,7 @@ def object_facts(session: SiftSession, lake: str, queries: Iterable[tuple[str, s
     from sift.plans.labelling import fold, label
 
     listing = x.source.listing(spark)
-    present = set(x.store.indexes())
-    matchers = [k for k in x.kinds if k.index in present] + x.matchers
+    matchers = usable(x)
     tests = []
     for name, p in queries:
         uses = bridge.relations(df.where(p))

@@ -6,8 +6,10 @@ first one's results. Its ``match`` gives sound tests for the nodes of a normalis
 
 from __future__ import annotations
 
+import json
 import math
 import re
+import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -37,8 +39,10 @@ class SummaryKind(Matcher):
 
     @property
     def index(self) -> str:
-        """The summary's column in the store."""
-        return re.sub(r"\W", "_", "__".join([self.kind, *self.columns]))
+        """The summary's column in the store; columns whose names differ in signs only have different ones."""
+        raw = "__".join([self.kind, *self.columns])
+        name = re.sub(r"\W", "_", raw)
+        return name if name == raw else f"{name}__{zlib.crc32(raw.encode()):08x}"
 
     def inputs(self) -> list[Column]:
         """What the aggregates read; for most kinds the columns themselves."""
@@ -63,7 +67,11 @@ class SummaryKind(Matcher):
     signature = None
 
     def describe(self) -> dict:
-        return {"kind": self.kind, "columns": list(self.columns), "params": {k: v for k, v in self.params.items() if isinstance(v, int | float | str | bool | None)}, "key_id": self.key_id}
+        return {"kind": self.kind, "columns": list(self.columns), "params": self.params, "key_id": self.key_id}
+
+    def same_as(self, described: dict) -> bool:
+        """Whether a stored description is that of this very summary, parameters included."""
+        return all(json.loads(json.dumps(self.describe()[k])) == described[k] for k in ("kind", "columns", "params"))
 
     def formula_bytes(self, b: float, v: float) -> float:
         """Upper bound of bytes an object, by value size and distinct values."""
@@ -161,21 +169,36 @@ def _interval(bounds: list[tuple[str, Lit]]) -> tuple[str, str]:
 
 
 class GapList(SummaryKind):
-    """The widest stretches without values, between the least and the greatest; given gaps if ``gaps`` is set."""
+    """Open stretches without values, between the least and the greatest: the ``k`` widest; with a workload of ``ranges``
+    [a, b] the ``k`` that hold most of them, which for single ranges is the best choice."""
 
     kind = "gaps"
 
-    def __init__(self, column: str, k: int = 8, **params):
-        super().__init__(column, k=k, **params)
+    def __init__(self, column: str, k: int = 8, ranges: list | None = None, **params):
+        chosen = {} if ranges is None else {"ranges": [list(r) for r in ranges]}
+        super().__init__(column, k=k, **chosen, **params)
+
+    @property
+    def index(self):
+        return super().index + ("__chosen" if "ranges" in self.params else "")
 
     def aggregates(self, c):
-        return {"lo": F.min(c), "hi": F.max(c), "vs": F.collect_set(c)}
+        return {"lo": F.min(c), "hi": F.max(c)}
 
-    def finish(self, f):
-        vs = F.array_sort(f["vs"])
-        pairs = F.zip_with(F.slice(vs, 1, F.greatest(F.size(vs) - 1, F.lit(0))), F.slice(vs, 2, F.greatest(F.size(vs) - 1, F.lit(0))), lambda a, b: F.struct((-(b - a)).alias("w"), a.alias("lo"), b.alias("hi")))
-        gaps = F.transform(F.slice(F.array_sort(pairs), 1, self.params["k"]), lambda g: F.struct(g["lo"].alias("lo"), g["hi"].alias("hi")))
-        return {"lo": f["lo"], "hi": f["hi"], "gaps": F.when(F.size(vs) > 1, gaps).otherwise(F.slice(gaps, 1, 0))}
+    def second_pass(self, rows, first):
+        along = Window.partitionBy(OBJECT).orderBy("hi")
+        gaps = rows.where("c0 IS NOT NULL").select(OBJECT, F.col("c0").alias("hi")).distinct().withColumn("lo", F.lag("hi").over(along)).where("lo IS NOT NULL")
+        best = [F.desc("wide"), F.col("lo")]
+        gaps = gaps.withColumn("wide", F.col("hi") - F.col("lo"))
+        if "ranges" in self.params:
+            work = F.array(*(F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in self.params["ranges"])) if self.params["ranges"] else F.expr("array()").cast("array<struct<a:int,b:int>>")
+            gaps = gaps.withColumn("hits", F.size(F.filter(work, lambda r: (F.col("lo") < r["a"]) & (r["b"] < F.col("hi"))))).where("hits > 0")
+            best = [F.desc("hits"), *best]
+        held = gaps.withColumn("n", F.row_number().over(Window.partitionBy(OBJECT).orderBy(*best))).where(F.col("n") <= self.params["k"])
+        held = held.groupBy(OBJECT).agg(F.array_sort(F.collect_list(F.struct("lo", "hi"))).alias("gaps"))
+        joined = first.join(held, OBJECT, "left")
+        none = F.expr("array()").cast(joined.schema["gaps"].dataType)
+        return joined.select(OBJECT, F.struct("n_nonnull", "lo", "hi", F.coalesce("gaps", none).alias("gaps")).alias(self.index))
 
     def formula_bytes(self, b, v):
         return self.params["k"] * b
@@ -268,25 +291,29 @@ class Bloom(SummaryKind):
     def hashes(self) -> int:
         return max(1, round(-math.log2(self.params["fpp"])))
 
-    def aggregates(self, c):
-        return {"v": F.count_distinct(c)}
-
     def bits(self, v: Column) -> Column:
         n = F.lit(self.params["expected"]) if self.params["expected"] else v
         return F.greatest(F.lit(64), F.ceil(F.greatest(n, F.lit(1)) * (-math.log(self.params["fpp"]) / math.log(2) ** 2))).cast("long")
 
-    def words(self, rows: DataFrame, first: DataFrame) -> DataFrame:
-        """(path, m, words): the filter's size in bits and its 64-bit words, for the objects of ``first`` (path, v)."""
+    def distinct(self, rows: DataFrame, first: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """(path, c0), each value of an object once, and ``first`` with their number v: one exchange serves both."""
         value = F.col("c0") + 0.0 if dict(rows.dtypes)["c0"] in ("double", "float") else F.col("c0")  # -0.0 is 0.0
-        sized = rows.where("c0 IS NOT NULL").select(OBJECT, value.alias("c0")).distinct().join(first.select(OBJECT, self.bits(F.col("v")).alias("m")), OBJECT)
+        values = rows.where("c0 IS NOT NULL").select(OBJECT, value.alias("c0")).distinct()
+        counted = first.join(values.groupBy(OBJECT).agg(F.count("*").alias("v")), OBJECT, "left")
+        return values, counted.withColumn("v", F.coalesce("v", F.lit(0).cast("long")))
+
+    def words(self, values: DataFrame, counted: DataFrame) -> DataFrame:
+        """(path, m, words): the filter's size in bits and its 64-bit words, for the objects of ``counted`` (path, v)."""
+        sized = values.join(counted.select(OBJECT, self.bits(F.col("v")).alias("m")), OBJECT)
         at = sized.select(OBJECT, "m", F.explode(F.array(*(F.pmod(F.xxhash64("c0", F.lit(i)), F.col("m")) for i in range(self.hashes)))).alias("bit"))
         word = at.groupBy(OBJECT, "m", F.expr("bit div 64").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit % 64 as int))")).alias("bits"))
         whole = word.groupBy(OBJECT, "m").agg(F.map_from_entries(F.collect_list(F.struct("w", "bits"))).alias("set"))
         return whole.select(OBJECT, "m", F.transform(F.sequence(F.lit(0).cast("long"), F.expr("(m - 1) div 64")), lambda i: F.coalesce(F.element_at("set", i), F.lit(0).cast("long"))).alias("words"))
 
     def second_pass(self, rows, first):
-        filled = self.words(rows, first)
-        return first.join(filled, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", "v", "m", "words").alias(self.index))
+        values, counted = self.distinct(rows, first)
+        filled = self.words(values, counted)
+        return counted.join(filled, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", "v", "m", "words").alias(self.index))
 
     def formula_bytes(self, b, v):
         return -v * math.log(self.params["fpp"]) / math.log(2) ** 2 / 8
@@ -464,10 +491,11 @@ class Hybrid(Bloom):
         super().__init__(column, fpp=fpp, threshold=threshold, **params)
 
     def second_pass(self, rows, first):
-        few = first.where(F.col("v") <= self.params["threshold"]).select(OBJECT)
-        listed = rows.where("c0 IS NOT NULL").join(few, OBJECT, "left_semi").groupBy(OBJECT).agg(F.array_sort(F.collect_set("c0")).alias("vs"))
-        filled = self.words(rows, first.where(F.col("v") > self.params["threshold"]))
-        return first.join(listed, OBJECT, "left").join(filled, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", "v", "vs", "m", "words").alias(self.index))
+        values, counted = self.distinct(rows, first)
+        few = counted.where(F.col("v") <= self.params["threshold"]).select(OBJECT)
+        listed = values.join(few, OBJECT, "left_semi").groupBy(OBJECT).agg(F.array_sort(F.collect_list("c0")).alias("vs"))
+        filled = self.words(values, counted.where(F.col("v") > self.params["threshold"]))
+        return counted.join(listed, OBJECT, "left").join(filled, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", "v", "vs", "m", "words").alias(self.index))
 
     def match(self, node: Node) -> Iterator[KeepTest]:
         if not self.on_own(node) or (t := element_test(node, "x")) is None:

@@ -52,6 +52,13 @@ class SkipReport:
     summary_seconds: float
     data_seconds: float
     baseline_seconds: float
+    #: Bytes of the summaries that the test reads.
+    metadata_bytes: int = 0
+
+
+def metadata_bytes(session: SiftSession, made: list) -> int:
+    """Bytes of summaries that some decisions read."""
+    return sum(session.lakes[d.lake].store.read_bytes(d.test.needs()) for d in made if d.test.needs())
 
 
 def skip_report(session: SiftSession, text: str) -> SkipReport:
@@ -67,7 +74,7 @@ def skip_report(session: SiftSession, text: str) -> SkipReport:
     plain.lakes = session.lakes
     at = time.time()
     plain.sql(text).collect()
-    return SkipReport(sum(d.objects for d in made), sum(d.objects - d.n_kept for d in made), sum(d.bytes for d in made), sum(d.bytes - d.bytes_kept for d in made), planned - began, ran - planned, time.time() - at)
+    return SkipReport(sum(d.objects for d in made), sum(d.objects - d.n_kept for d in made), sum(d.bytes for d in made), sum(d.bytes - d.bytes_kept for d in made), planned - began, ran - planned, time.time() - at, metadata_bytes(session, made))
 
 
 def kind_line_counts() -> dict[str, int]:

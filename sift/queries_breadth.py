@@ -35,7 +35,7 @@ lake_sql("join_left", "od", "SELECT c_custkey, o_orderkey FROM customer LEFT JOI
 lake_sql("join_right", "od", "SELECT o_orderkey, c_name FROM (SELECT * FROM customer WHERE c_acctbal > 5000) c RIGHT JOIN od ON c_custkey = o_custkey")
 lake_sql("join_full", "od", "SELECT a.o_orderkey AS x, b.o_orderkey AS y FROM (SELECT * FROM od WHERE o_totalprice < 300000) a FULL OUTER JOIN (SELECT * FROM od WHERE o_totalprice > 100000) b ON a.o_orderkey = b.o_orderkey")
 lake_sql("join_semi", "od", "SELECT c_custkey FROM customer LEFT SEMI JOIN od ON c_custkey = o_custkey AND o_totalprice > 450000", "SELECT c_custkey FROM customer SEMI JOIN od ON c_custkey = o_custkey AND o_totalprice > 450000")
-lake_sql("join_anti", "od", "SELECT c_custkey FROM customer LEFT ANTI JOIN od ON c_custkey = o_custkey", "SELECT c_custkey FROM customer ANTI JOIN od ON c_custkey = o_custkey")
+lake_sql("join_anti", "od", "SELECT c_custkey FROM customer LEFT ANTI JOIN (SELECT o_custkey FROM od WHERE o_totalprice > 200000) o ON c_custkey = o_custkey", "SELECT c_custkey FROM customer ANTI JOIN (SELECT o_custkey FROM od WHERE o_totalprice > 200000) o ON c_custkey = o_custkey")
 lake_sql("join_cross", "", "SELECT r_name, n_name FROM region CROSS JOIN nation")
 lake_sql("join_theta", "od", "SELECT count(*) AS n FROM od JOIN customer ON o_totalprice > c_acctbal * 40")
 lake_sql("join_interval", "ev", "SELECT a.event_id AS x, b.event_id AS y FROM ev a JOIN ev b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.ts < CAST('2024-01-10' AS TIMESTAMP_NTZ)")
@@ -63,9 +63,9 @@ lake_sql("agg_distinct", "ev", "SELECT event_type, count(DISTINCT user_id) AS us
 lake_sql("agg_rollup", "od", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM od GROUP BY ROLLUP (o_orderstatus, o_orderpriority)")
 lake_sql("agg_cube", "od", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM od GROUP BY CUBE (o_orderstatus, o_orderpriority)")
 lake_sql("agg_grouping_sets", "li", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM li GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
-lake_sql("agg_pivot", "li", "SELECT l_returnflag, count(*) FILTER (WHERE l_linestatus = 'F') AS f, count(*) FILTER (WHERE l_linestatus = 'O') AS o FROM li GROUP BY l_returnflag")
+lake_sql("agg_pivot", "li", "SELECT * FROM (SELECT l_returnflag, l_linestatus FROM li) PIVOT (count(*) FOR l_linestatus IN ('F' AS f, 'O' AS o))", "SELECT l_returnflag, count(*) FILTER (WHERE l_linestatus = 'F') AS f, count(*) FILTER (WHERE l_linestatus = 'O') AS o FROM li GROUP BY l_returnflag")
 lake_sql("agg_percentile", "ev", "SELECT event_type, round(percentile(value, 0.5), 6) AS median FROM ev GROUP BY event_type", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS median FROM ev GROUP BY event_type")
-lake_sql("agg_max_by", "ev", "SELECT event_type, max_by(event_id, event_id) AS last_id, min(ts) AS first_ts FROM ev GROUP BY event_type")
+lake_sql("agg_max_by", "ev", "SELECT event_type, max_by(event_id, CAST(value * 1000000 AS BIGINT) * 10000000 + event_id) AS top_id, min(ts) AS first_ts FROM ev GROUP BY event_type")
 lake_sql("agg_having", "ev", "SELECT user_id, count(*) AS n FROM ev GROUP BY user_id HAVING count(*) > 14")
 lake_sql("agg_bool", "ev", "SELECT event_type, bool_or(value > 400) AS any_high, bool_and(value >= 0) AS all_positive FROM ev GROUP BY event_type")
 

@@ -9,12 +9,12 @@ from sift import workloads as W
 from sift.cases import lake_sql, query
 from sift.functions.geo import contains_sql, ring_of
 from sift.operators import build, joins, report, selection
-from sift.operators.baselines import inverted_index, rewrite_with_bounds, without_skipping
-from sift.operators.kinds import ArrowSummaryKind, Bloom, BoxSet, GeoMinMax, Hybrid, MetricRing, MinMax, PrefixList, RangeBits, ShapeBoxes, SuffixList, Template, ValueList
+from sift.operators.baselines import ideal_objects, inverted_index, rewrite_with_bounds, without_skipping
+from sift.operators.kinds import ArrowSummaryKind, Bloom, BoxSet, GapList, GeoMinMax, Hybrid, MetricRing, MinMax, PrefixList, RangeBits, ShapeBoxes, SuffixList, Template, ValueList
 from sift.runtime import scratch_path, table
 from sift.session import SiftSession
 from sift.sources.lake import LakeSource
-from sift.sources.layouts import layout_random, write_by
+from sift.sources.layouts import layout_random, layout_range, layout_time_key, write_by
 from sift.sources.stores import CatalogTableStore, DocumentSummaryStore, ParquetSummaryStore
 from sift.streaming.ingest import stream_summaries
 
@@ -114,15 +114,25 @@ def gaps_content(spark, sf_dir):
 
 
 lake_sql("gaps_query", "gap_orders", "SELECT o_orderkey FROM gap_orders WHERE o_orderkey BETWEEN 590 AND 1010")
-lake_sql("gaps_inside_hole", "gap_orders", "SELECT o_orderkey FROM gap_orders WHERE o_orderkey BETWEEN 650 AND 900")
-lake_sql("gaps_disjunctive", "gap_orders", "SELECT o_orderkey FROM gap_orders WHERE o_orderkey BETWEEN 700 AND 800 OR o_orderkey BETWEEN 1650 AND 1700 OR o_orderkey IN (601, 1900)")
+lake_sql("gaps_disjunctive", "gap_orders", "SELECT o_orderkey FROM gap_orders WHERE o_orderkey BETWEEN 700 AND 800 OR o_orderkey BETWEEN 1650 AND 1700 OR o_orderkey IN (599, 601, 1900)")
+
+
+@query("gaps_inside_hole", ", " + _GAPS.split(" SELECT obj, lo, hi FROM r")[0] + ", q AS (SELECT hi - lo AS w, lo + 1 AS a, hi - 1 AS b FROM g WHERE lo IS NOT NULL ORDER BY w DESC, lo LIMIT 1), o AS (SELECT obj, min(k) AS lo, max(k) AS hi FROM v GROUP BY 1) SELECT count(*) AS objects, count(*) FILTER (WHERE o.lo <= q.b AND o.hi >= q.a AND NOT EXISTS (SELECT 1 FROM r WHERE r.n <= 8 AND r.obj = o.obj AND r.lo < q.a AND r.hi > q.b)) AS kept, CAST((SELECT count(*) FROM gap_orders, q WHERE o_orderkey BETWEEN q.a AND q.b) AS BIGINT) AS n FROM o, q", "gap_orders")
+def gaps_inside_hole(spark, sf_dir):
+    """A range that fills the widest hole has no rows; how many objects the gaps still keep."""
+    s = W.session(spark, sf_dir, "gap_orders")
+    x = s.lakes["gap_orders"]
+    widest = x.source.read(spark).select("obj", "o_orderkey").distinct().selectExpr("o_orderkey AS hi", "lag(o_orderkey) OVER (PARTITION BY obj ORDER BY o_orderkey) AS lo").where("lo IS NOT NULL").orderBy(F.desc(F.col("hi") - F.col("lo")), "lo").first()
+    n = s.sql(f"SELECT count(*) FROM gap_orders WHERE o_orderkey BETWEEN {widest.lo + 1} AND {widest.hi - 1}").first()[0]
+    d = s.history[-1]
+    return spark.createDataFrame([(d.objects, d.n_kept, n)], "objects long, kept long, n long")
 
 _WORK = "q AS (SELECT CAST(k * 331 % 1500 AS BIGINT) AS a, CAST(k * 331 % 1500 + 10 + k % 7 AS BIGINT) AS b FROM range(0, 100) t(k))"
 
 
 @query(
     "gaps_choose_range",
-    ", v AS (SELECT DISTINCT CAST(o_orderkey // 500 AS VARCHAR) AS obj, o_orderkey AS k FROM gap_orders), c AS (SELECT CAST(o_orderkey // 500 AS VARCHAR) AS obj, count(*) AS n FROM gap_orders GROUP BY 1), "
+    ", v AS (SELECT DISTINCT CAST(o_orderkey // 5000 AS VARCHAR) AS obj, o_orderkey AS k FROM gap_orders), c AS (SELECT CAST(o_orderkey // 5000 AS VARCHAR) AS obj, count(*) AS n FROM gap_orders GROUP BY 1), "
     "g AS (SELECT * FROM (SELECT obj, lag(k) OVER (PARTITION BY obj ORDER BY k) AS lo, k AS hi FROM v) WHERE lo IS NOT NULL), "
     + _WORK + " SELECT g.obj, g.lo, g.hi, CAST(count(*) * any_value(c.n) AS BIGINT) AS gain FROM g JOIN q ON g.lo < q.a AND q.b < g.hi JOIN c ON c.obj = g.obj GROUP BY 1, 2, 3 ORDER BY gain DESC, g.obj, g.lo LIMIT 5",
     "gap_orders",
@@ -131,11 +141,40 @@ def gaps_choose_range(spark, sf_dir):
     """The five best gaps over a workload of single ranges."""
     W.tables(spark, sf_dir)
     spark.sql(W.GAPPED).createOrReplaceTempView("gap_rows")
-    gaps = spark.sql("WITH v AS (SELECT DISTINCT cast(o_orderkey div 500 as string) AS obj, o_orderkey AS k FROM gap_rows), c AS (SELECT cast(o_orderkey div 500 as string) AS obj, count(*) AS n_rows FROM gap_rows GROUP BY 1) SELECT g.obj, lo, hi, n_rows FROM (SELECT obj, lag(k) OVER (PARTITION BY obj ORDER BY k) AS lo, k AS hi FROM v) g JOIN c ON c.obj = g.obj WHERE lo IS NOT NULL")
+    gaps = spark.sql("WITH v AS (SELECT DISTINCT cast(o_orderkey div 5000 as string) AS obj, o_orderkey AS k FROM gap_rows), c AS (SELECT cast(o_orderkey div 5000 as string) AS obj, count(*) AS n_rows FROM gap_rows GROUP BY 1) SELECT g.obj, lo, hi, n_rows FROM (SELECT obj, lag(k) OVER (PARTITION BY obj ORDER BY k) AS lo, k AS hi FROM v) g JOIN c ON c.obj = g.obj WHERE lo IS NOT NULL")
     work = spark.range(100).selectExpr("id AS query", "id * 331 % 1500 AS a", "id * 331 % 1500 + 10 + id % 7 AS b")
     return selection.choose_gaps_ranges(gaps, work, 5)
 
 
+_RANGES = [(k * 331 % 1500, k * 331 % 1500 + 10 + k % 7) for k in range(100)]
+_KEPT = "SELECT q.*, NOT EXISTS (SELECT 1 FROM {t} g WHERE g.obj = q.obj AND g.lo < q.a AND q.b < g.hi) AND q.lo <= q.b AND q.hi >= q.a AS keep FROM oq q"
+
+
+@query(
+    "gaps_factor",
+    ", v AS (SELECT DISTINCT CAST(o_orderkey // 5000 AS VARCHAR) AS obj, o_orderkey AS k FROM gap_orders), g AS (SELECT * FROM (SELECT obj, lag(k) OVER (PARTITION BY obj ORDER BY k) AS lo, k AS hi FROM v) WHERE lo IS NOT NULL), "
+    + _WORK + ", h AS (SELECT g.obj, g.lo, g.hi, count(q.a) AS hits FROM g LEFT JOIN q ON g.lo < q.a AND q.b < g.hi GROUP BY 1, 2, 3), "
+    "widest AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY obj ORDER BY hi - lo DESC, lo) AS n FROM h) WHERE n <= 2), chosen AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY obj ORDER BY hits DESC, hi - lo DESC, lo) AS n FROM h WHERE hits > 0) WHERE n <= 2), "
+    "oq AS (SELECT o.*, q.a, q.b FROM (SELECT CAST(o_orderkey // 5000 AS VARCHAR) AS obj, min(o_orderkey) AS lo, max(o_orderkey) AS hi FROM gap_orders GROUP BY 1) o, q) "
+    "SELECT 'widest' AS gaps, CAST(count(*) FILTER (WHERE keep) AS BIGINT) AS kept, count(*) AS pairs FROM (" + _KEPT.format(t="widest") + ") UNION ALL SELECT 'chosen', CAST(count(*) FILTER (WHERE keep) AS BIGINT), count(*) FROM (" + _KEPT.format(t="chosen") + ")",
+    "gap_orders",
+)
+def gaps_factor(spark, sf_dir):
+    """Two gaps an object, the widest or those that a workload of ranges chooses: query-object pairs that are still kept."""
+    source, _, _ = W.lake(spark, sf_dir, "gap_orders")
+    kinds = [GapList("o_orderkey", 2), GapList("o_orderkey", 2, ranges=_RANGES)]
+    store = ParquetSummaryStore(spark, scratch_path(spark, "gap-design"))
+    build.build_summaries(spark, source, kinds, store)
+    rows = None
+    for name, kind in zip(("widest", "chosen"), kinds, strict=True):
+        index = f"`{kind.index}`"
+        work = spark.createDataFrame(_RANGES, "a long, b long")
+        kept = store.rows([kind.index]).crossJoin(F.broadcast(work)).select(F.expr(f"{index}.lo <= b AND {index}.hi >= a AND NOT exists({index}.gaps, g -> g.lo < a AND g.hi > b)").alias("keep"))
+        one = kept.agg(F.lit(name).alias("gaps"), F.count_if("keep").alias("kept"), F.count("*").alias("pairs"))
+        rows = one if rows is None else rows.union(one)
+    return rows
+
+
 @query("gaps_choose_exact", "SELECT * FROM (VALUES ('exact', 3, 3), ('greedy', 3, 3)) t(method, k, skipped)")
 def gaps_choose_exact(spark, sf_dir):
     """Disjunctive workloads: a triangle hidden in a sparse hypergraph is found by both methods."""
@@ -203,7 +242,6 @@ def geo_rewrite_baseline(spark, sf_dir):
 lake_sql("motivating_query", "readings", f"SELECT max(temp) AS max_temp FROM readings WHERE st_contains('{W.polygon(20.0, 10.0, 40.0)}', lat, lng) AND city LIKE '%TION_7'", f"SELECT max(temp) AS max_temp FROM readings WHERE {contains_sql(ring_of(W.polygon(20.0, 10.0, 40.0)), 'lng', 'lat')} AND city LIKE '%TION_7'")
 
 # -- Bloom filters, value lists, hybrid
-_SOME = "m.ththat.example.com/db17/shard3"
 
 
 def _alone(key: str, kind_of, lake: str, sql: str) -> None:
@@ -219,6 +257,19 @@ def _alone(key: str, kind_of, lake: str, sql: str) -> None:
     query(key, sql, lake)(run)
 
 
+def _picked(key: str, kind_of, lake: str, sql: str, pick: str) -> None:
+    """The same with ``{p}`` a literal that ``pick`` draws from the data; the oracle draws it in a subquery."""
+
+    def run(spark, sf_dir):
+        s = W.session(spark, sf_dir, lake)
+        x = s.lakes[lake]
+        s.add(lake, x.source, x.store, [k for k in x.kinds if type(k) is kind_of])
+        value = s.lakes[lake].source.read(spark).sparkSession.sql(pick).first()[0]
+        return s.sql(sql.replace("{p}", "'" + value.replace("'", "''") + "'"))
+
+    query(key, sql.replace("{p}", f"({pick})"), lake)(run)
+
+
 _ONE = "SELECT event_id, db_name FROM access_log WHERE db_name = (SELECT db_name FROM access_log WHERE event_id = 77)"
 _alone("bloom_eq", Bloom, "ev", EV + "user_id = 17")
 _alone("bloom_in", Bloom, "ev", EV + "user_id IN (3, 17, 99999)")
@@ -226,20 +277,20 @@ _alone("list_eq", ValueList, "access_log", LOG + "event_type = 'error'")
 _alone("list_in", ValueList, "od", "SELECT o_orderkey FROM od WHERE o_orderstatus IN ('P', 'Z')")
 _alone("list_ne", ValueList, "od", "SELECT o_orderkey FROM od WHERE o_orderstatus <> 'O' AND o_orderpriority <> '5-LOW'")
 _alone("list_like", ValueList, "access_log", LOG + "db_name LIKE '%/db17/%'")
-_alone("list_not_like", ValueList, "access_log", LOG + "db_name NOT LIKE '%example%'")
+_picked("list_not_like", ValueList, "access_log", LOG + "db_name NOT LIKE {p} AND value > 60", "SELECT '%' || right(max(db_name), 3) FROM access_log")
 _alone("list_rlike", ValueList, "access_log", LOG + "regexp_like(db_name, '/db1[0-3]/shard[12]$')")
 W_RLIKE = LOG + "regexp_matches(db_name, '/db1[0-3]/shard[12]$')"
-_alone("prefix_like", PrefixList, "access_log", LOG + "http_request LIKE 'https://www.ththth.%'")
+_picked("prefix_like", PrefixList, "access_log", LOG + "http_request LIKE {p}", "SELECT left(max(http_request), 18) || '%' FROM access_log")
 _alone("prefix_short", PrefixList, "access_log", LOG + "db_name LIKE 'blo%'")
-_alone("prefix_eq", PrefixList, "access_log", LOG + "db_name IN ('blog.thble.example.com/db1/shard1', 'none') OR db_name = 'm.x'")
-_alone("prefix_long", PrefixList, "access_log", LOG + "db_name LIKE 'www.thble.example.com/db4%'")
+_picked("prefix_eq", PrefixList, "access_log", LOG + "db_name IN ({p}, 'none') OR db_name = 'm.x'", "SELECT min(db_name) FROM access_log")
+_picked("prefix_long", PrefixList, "access_log", LOG + "db_name LIKE {p}", "SELECT left(max(db_name), 22) || '%' FROM access_log")
 _alone("prefix_not", PrefixList, "access_log", LOG + "db_name NOT LIKE 'm.%'")
 _alone("suffix_like", SuffixList, "access_log", LOG + "db_name LIKE '%/shard7'")
 _alone("suffix_long", SuffixList, "access_log", LOG + "db_name LIKE '%.example.com/db12/shard7'")
 _alone("head_tail_like", (PrefixList, SuffixList), "access_log", LOG + "db_name LIKE 'blog.%/shard3'")
 _alone("head_tail_underscore", (PrefixList, SuffixList), "access_log", LOG + "db_name LIKE 'blog._h%shard_'")
 _alone("hybrid_eq", Hybrid, "access_log", _ONE)
-_alone("hybrid_literal", Hybrid, "access_log", LOG + f"db_name = '{_SOME}' OR db_name IN ('a', 'b')")
+_picked("hybrid_literal", Hybrid, "access_log", LOG + "db_name = {p} OR db_name IN ('a', 'b')", "SELECT max(db_name) FROM access_log")
 _alone("hybrid_like", Hybrid, "access_log", LOG + "db_name LIKE '%/db9/%'")
 
 
@@ -496,6 +547,75 @@ def refresh_after(spark, sf_dir):
     return _changing(spark, sf_dir, change)
 
 
+@query("stale_moved_in", "SELECT true AS equal_before, true AS equal_after, 1 AS added, 0 AS rebuilt, 0 AS dropped")
+def stale_moved_in(spark, sf_dir):
+    """A file that comes in by a move keeps an old time; it is read all the same."""
+
+    def change(orders, path):
+        jvm, elsewhere = spark.sparkContext._jvm, scratch_path(spark, "elsewhere")
+        orders.where("o_orderkey BETWEEN 300 AND 340").coalesce(1).write.parquet(elsewhere)
+        hadoop = jvm.org.apache.hadoop.fs.Path
+        fs = hadoop(elsewhere).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        (file,) = [s.getPath() for s in fs.listStatus(hadoop(elsewhere)) if s.getPath().getName().endswith(".parquet")]
+        fs.setTimes(file, 10**12, -1)
+        fs.mkdirs(hadoop(f"{path}/obj=moved"))
+        fs.rename(file, hadoop(f"{path}/obj=moved/{file.getName()}"))
+
+    return _changing(spark, sf_dir, change)
+
+
+@query("params_differ", EV + "user_id = 17 AND value > 20", "ev")
+def params_differ(spark, sf_dir):
+    """Summaries built with other parameters than the reader's are not used, and no row is lost."""
+    source, _, _ = W.lake(spark, sf_dir, "ev")
+    store = ParquetSummaryStore(spark, scratch_path(spark, "params"))
+    build.build_summaries(spark, source, [Bloom("user_id", fpp=0.01), RangeBits("value", 0.0, 400.0)], store)
+    s = SiftSession(spark)
+    s.add("ev", source, store, [Bloom("user_id", fpp=1e-6), RangeBits("value", 0.0, 4000.0)])
+    return s.sql(EV + "user_id = 17 AND value > 20")
+
+
+# -- layouts: by time and account, by ranges
+_BY_ACCOUNT = "strftime(ts, '%Y-%m-%d') || '-00-' || CAST(user_id % 4 AS VARCHAR)"
+
+
+@query("layout_time_account", f"SELECT count(*) AS n, (SELECT count(DISTINCT {_BY_ACCOUNT}) FROM events) AS objects, count(DISTINCT {_BY_ACCOUNT}) AS kept FROM events WHERE user_id = 17 AND ts < CAST('2024-01-06' AS TIMESTAMP)")
+def layout_time_account(spark, sf_dir):
+    """Objects by day and, inside it, by account: value lists keep those that hold the account, and only of the days asked for."""
+    path = scratch_path(spark, "by-time")
+    layout_time_key(table(spark, sf_dir, "events"), path, "ts", "day", F.col("user_id") % 4)
+    source, store, kinds = LakeSource(path), ParquetSummaryStore(spark, scratch_path(spark, "by-time-store")), [ValueList("user_id"), MinMax("ts")]
+    build.build_summaries(spark, source, kinds, store)
+    s = SiftSession(spark)
+    s.add("accounts", source, store, kinds)
+    n = s.sql("SELECT count(*) FROM accounts WHERE user_id = 17 AND ts < CAST('2024-01-06' AS TIMESTAMP_NTZ)").first()[0]
+    return spark.createDataFrame([(n, s.history[-1].objects, s.history[-1].n_kept)], "n long, objects long, kept long")
+
+
+@query("layout_by_range", "SELECT count(*) AS n, true AS few_kept FROM events WHERE value BETWEEN 100 AND 105")
+def layout_by_range(spark, sf_dir):
+    """Files by ranges of a column: of a narrow range few are kept."""
+    path = scratch_path(spark, "by-range")
+    layout_range(table(spark, sf_dir, "events"), path, "value", 40)
+    source, store, kinds = LakeSource(path), ParquetSummaryStore(spark, scratch_path(spark, "by-range-store")), [MinMax("value")]
+    build.build_summaries(spark, source, kinds, store)
+    s = SiftSession(spark)
+    s.add("ranged", source, store, kinds)
+    n = s.sql("SELECT count(*) FROM ranged WHERE value BETWEEN 100 AND 105").first()[0]
+    return spark.createDataFrame([(n, s.history[-1].n_kept <= 0.25 * s.history[-1].objects)], "n long, few_kept boolean")
+
+
+@query("ideal_skipping", "SELECT count(*) AS objects, count(*) FILTER (WHERE top > 300) AS ideal, count(*) FILTER (WHERE top > 300) AS kept FROM (SELECT strftime(ts, '%Y-%m-%d') AS obj, max(value) AS top FROM events GROUP BY 1)")
+def ideal_skipping(spark, sf_dir):
+    """Objects that any correct skipping has to read, beside those that min/max keeps."""
+    s = W.session(spark, sf_dir, "ev")
+    x = s.lakes["ev"]
+    s.sql("SELECT count(*) FROM ev WHERE value > 300").collect()
+    d = s.history[-1]
+    ideal = ideal_objects(x.source, x.source.read(spark), "value > 300").count()
+    return spark.createDataFrame([(d.objects, ideal, d.n_kept)], "objects long, ideal long, kept long")
+
+
 # -- stores, streams, formats
 _EVENTS = "SELECT strftime(ts, '%Y-%m-%d') AS obj, count(*) AS n_rows, min(value) AS lo, max(value) AS hi, list_sort(list(DISTINCT event_type)) AS vs FROM ev GROUP BY 1"
 
@@ -567,9 +687,10 @@ for _fmt in ("parquet", "orc", "json", "csv", "text"):
 
 
 # -- joins with pruning, reports
-@query("join_prune", "SELECT l_orderkey, l_linenumber, p_name FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_retailprice > 1098 AND p_size < 10")
+@query("join_prune", "SELECT l_orderkey, l_linenumber, p_name FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_retailprice >= 0.999 * (SELECT max(p_retailprice) FROM part)")
 def join_prune(spark, sf_dir):
-    dim = table(spark, sf_dir, "part").where("p_retailprice > 1098 AND p_size < 10").select("p_partkey", "p_name")
+    part = table(spark, sf_dir, "part")
+    dim = part.crossJoin(F.broadcast(part.agg(F.max("p_retailprice").alias("top")))).where("p_retailprice >= 0.999 * top").select("p_partkey", "p_name")
     return joins.join_prune(W.session(spark, sf_dir, "li"), "li", "l_partkey", dim, "p_partkey").select("l_orderkey", "l_linenumber", "p_name")
 
 

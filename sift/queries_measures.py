@@ -8,8 +8,10 @@ from sift import workloads as W
 from sift.cases import query
 from sift.operators import build, indicators, report, selection
 from sift.operators.baselines import without_skipping
-from sift.operators.kinds import Bloom, BoxSet, GeoMinMax, Hybrid, MinMax, PrefixList, SuffixList, Template, ValueList
+from sift.operators.kinds import Bloom, BoxSet, GapList, GeoMinMax, Hybrid, MetricRing, MinMax, PrefixList, RangeBits, SuffixList, Template, ValueList
 from sift.runtime import scratch_path
+from sift.sources.lake import LakeSource
+from sift.sources.layouts import write_by
 from sift.sources.stores import ParquetSummaryStore
 
 _OBJ = "strftime(ts, '%Y-%m-%d') || '-' || CAST(user_id % 4 AS VARCHAR)"
@@ -63,12 +65,12 @@ def _agent_facts(spark, sf_dir, lake: str):
     s = W.session(spark, sf_dir, lake)
     x = s.lakes[lake]
     s.add(lake, x.source, x.store, [k for k in x.kinds if isinstance(k, Template)])
-    names = [r[0] for r in spark.sql(f"SELECT DISTINCT {W.AGENT} AS a FROM {lake} ORDER BY a LIMIT 50").collect()]
-    return indicators.object_facts(s, lake, [(n, f"{W.AGENT} = '{n}'") for n in names])
+    drawn = spark.sql(f"SELECT event_id, {W.AGENT} AS a FROM {lake} ORDER BY {_DRAWN} LIMIT 50").collect()
+    return indicators.object_facts(s, lake, [(f"q{r.event_id}", f"{W.AGENT} = '{r.a}'") for r in drawn])
 
 
 def _agent_factors(obj: str) -> str:
-    return f""", v AS (SELECT {obj} AS obj, regexp_extract(user_agent, '^([^/]+)', 1) AS a FROM access_log), t AS (SELECT obj, count(*) AS n FROM v GROUP BY 1), c AS (SELECT a AS query, obj, count(*) AS n FROM v GROUP BY 1, 2),
+    return f""", v AS (SELECT {obj} AS obj, regexp_extract(user_agent, '^([^/]+)', 1) AS a FROM access_log), t AS (SELECT obj, count(*) AS n FROM v GROUP BY 1), q AS (SELECT 'q' || CAST(event_id AS VARCHAR) AS query, regexp_extract(user_agent, '^([^/]+)', 1) AS a FROM access_log ORDER BY {_DRAWN} LIMIT 50), c AS (SELECT query, obj, count(*) AS n FROM v JOIN q USING (a) GROUP BY 1, 2),
 s AS (SELECT query, (SELECT count(*) FROM v) AS d, sum(c.n) AS dr, sum(t.n) AS r, sum(t.n) AS m FROM c JOIN t USING (obj) GROUP BY 1)
 """
 
@@ -210,31 +212,59 @@ def cost_model(spark, sf_dir):
     return spark.createDataFrame(rows, "v int, list_bytes double, bloom_bytes double, list_wins boolean")
 
 
+def _kinds_of(name: str):
+    """Every kind on its column of each lake of the experiments: log, sensor points, holes, vectors, names."""
+    return {
+        "access_log": [MinMax("db_name"), Bloom("db_name"), ValueList("db_name"), PrefixList("db_name", 15), SuffixList("db_name", 15), Hybrid("db_name", threshold=40), Template("user_agent", W.AGENT, "agent")],
+        "readings": [MinMax("obs_time"), GeoMinMax("lng", "lat", "x"), *(BoxSet("lng", "lat", x) for x in (1, 2, 4, 8)), SuffixList("city", 6)],
+        "gap_orders": [MinMax("o_orderkey"), GapList("o_orderkey", 8), RangeBits("o_orderkey", 0.0, 1e6, 1024)],
+        "vectors": [MetricRing("embedding", "euclid"), MetricRing("embedding", "manhattan")],
+        "parts": [MetricRing("p_name", "levenshtein"), ValueList("p_name")],
+    }[name]
+
+
 @query("size_formula")
 def size_formula(spark, sf_dir):
-    """Stored bytes an object against the formulas' upper bounds."""
-    source, _, _ = W.lake(spark, sf_dir, "access_log")
-    n = source.read(spark).select(F.avg(F.length("db_name"))).first()[0]
-    v = source.tagged(source.read(spark), F.col("db_name")).groupBy("path").agg(F.count_distinct("db_name").alias("v")).agg(F.avg("v")).first()[0]
+    """Indexing statistics of every kind on each lake: build seconds, stored bytes an object (the summary's own columns), the formula's bound."""
     rows = []
-    for kind in (MinMax("db_name"), Bloom("db_name"), ValueList("db_name"), PrefixList("db_name", 15), SuffixList("db_name", 15), Hybrid("db_name", threshold=40)):
-        store = ParquetSummaryStore(spark, scratch_path(spark, "size"))
-        r = build.build_summaries(spark, source, [kind], store)
-        rows.append((kind.index, kind.formula_bytes(n, v), r.bytes / max(r.objects, 1), r.seconds))
-    return spark.createDataFrame(rows, "kind string, formula_bytes double, stored_bytes double, seconds double")
+    for name in ("access_log", "readings", "gap_orders", "vectors", "parts"):
+        source, _, _ = W.lake(spark, sf_dir, name)
+        known = {}
+        for kind in _kinds_of(name):
+            store = ParquetSummaryStore(spark, scratch_path(spark, "size"))
+            r = build.build_summaries(spark, source, [kind], store)
+            column = kind.columns[0]
+            if column not in known:
+                value = source.tagged(source.read(spark), F.expr(column).cast("string").alias("v"))
+                known[column] = value.groupBy("path").agg(F.count_distinct("v").alias("v"), F.avg(F.octet_length("v")).alias("b")).agg(F.avg("v"), F.avg("b")).first()
+            v, b = known[column]
+            own = store.column_bytes()[kind.index] / max(r.objects, 1)
+            rows.append((name, kind.index, r.objects, r.seconds, own, float(kind.formula_bytes(b, v))))
+    return spark.createDataFrame(rows, "lake string, kind string, objects int, seconds double, stored_bytes double, formula_bytes double")
+
+
+def _scanned_to_index(spark, source, column: str) -> int:
+    """Compressed bytes of one column in the lake's files: what indexing it reads."""
+    from sift.sources.stores import _column_bytes
+
+    sizes = source.listing(spark).select("path").mapInArrow(_column_bytes, "name string, bytes long")
+    return sizes.where(F.col("name") == column).agg(F.coalesce(F.sum("bytes"), F.lit(0).cast("long"))).first()[0]
 
 
 @query("payback")
 def payback(spark, sf_dir):
-    """Queries after which an index on db_name has paid for itself, by bytes and by time."""
+    """Queries after which an index on db_name has paid for itself: bytes scanned to build it, metadata and data bytes by query, and time."""
     s = W.session(spark, sf_dir, "access_log")
     x = s.lakes["access_log"]
-    store = ParquetSummaryStore(spark, scratch_path(spark, "payback"))
-    r = build.build_summaries(spark, x.source, [ValueList("db_name")], store)
+    store, kinds = ParquetSummaryStore(spark, scratch_path(spark, "payback")), [ValueList("db_name")]
+    r = build.build_summaries(spark, x.source, kinds, store)
+    s.add("access_log", x.source, store, kinds)
     one = spark.sql("SELECT min(db_name) FROM access_log").first()[0]
     rep = report.skip_report(s, f"SELECT count(*) FROM access_log WHERE db_name = '{one}'")
-    by_bytes, by_time = selection.payback(rep.bytes, rep.bytes_skipped, r.seconds, rep.baseline_seconds - rep.data_seconds - rep.summary_seconds)
-    return spark.createDataFrame([(rep.bytes, rep.bytes_skipped, by_bytes, by_time)], "build_bytes long, saved_bytes long, queries_by_bytes int, queries_by_time int")
+    scanned = _scanned_to_index(spark, x.source, "db_name")
+    saved = rep.bytes_skipped - rep.metadata_bytes
+    by_bytes, by_time = selection.payback(scanned, saved, r.seconds, rep.baseline_seconds - rep.data_seconds - rep.summary_seconds)
+    return spark.createDataFrame([(rep.bytes, scanned, rep.metadata_bytes, saved, by_bytes, by_time)], "lake_bytes long, scanned_to_index long, metadata_bytes long, saved_bytes long, queries_by_bytes int, queries_by_time int")
 
 
 @query("kind_lines")
@@ -248,13 +278,13 @@ def _compare(spark, sf_dir, lake: str, texts: list[tuple[str, str]]):
     rows = []
     for name, text in texts:
         r = report.skip_report(W.session(spark, sf_dir, lake), text)
-        rows.append((name, r.objects, r.objects - r.skipped, r.bytes, r.bytes - r.bytes_skipped, r.summary_seconds, r.data_seconds, r.baseline_seconds))
-    return spark.createDataFrame(rows, "query string, objects int, kept int, bytes long, bytes_kept long, summary_seconds double, data_seconds double, baseline_seconds double")
+        rows.append((name, r.objects, r.objects - r.skipped, r.bytes, r.bytes - r.bytes_skipped, r.metadata_bytes, r.bytes / max(r.bytes - r.bytes_skipped + r.metadata_bytes, 1), r.summary_seconds, r.data_seconds, r.baseline_seconds))
+    return spark.createDataFrame(rows, "query string, objects int, kept int, bytes long, bytes_kept long, metadata_bytes long, cost_ratio double, summary_seconds double, data_seconds double, baseline_seconds double")
 
 
 @query("exp_point_lookups")
 def exp_point_lookups(spark, sf_dir):
-    """Four values of one column, frequent to absent, under list, Bloom filter and hybrid."""
+    """Four values of one column, frequent to absent, under list, Bloom filter and hybrid: objects, data and metadata bytes, times."""
     s = W.session(spark, sf_dir, "access_log")
     x = s.lakes["access_log"]
     spark.sql("SELECT 1")
@@ -265,8 +295,8 @@ def exp_point_lookups(spark, sf_dir):
         for name, v in (("top", ranked[0]), ("median", ranked[len(ranked) // 2]), ("rarest", ranked[-1]), ("absent", "no/such/db")):
             s.add("access_log", x.source, x.store, only)
             r = report.skip_report(s, f"SELECT event_id, ts, event_type, value, props, account_name, db_name, http_request FROM access_log WHERE db_name = '{v}'")
-            rows.append((kind.kind, name, r.objects, r.objects - r.skipped, r.summary_seconds, r.data_seconds, r.baseline_seconds))
-    return spark.createDataFrame(rows, "kind string, value string, objects int, kept int, summary_seconds double, data_seconds double, baseline_seconds double")
+            rows.append((kind.kind, name, r.objects, r.objects - r.skipped, r.bytes, r.bytes - r.bytes_skipped, r.metadata_bytes, r.summary_seconds, r.data_seconds, r.baseline_seconds))
+    return spark.createDataFrame(rows, "kind string, value string, objects int, kept int, bytes long, bytes_kept long, metadata_bytes long, summary_seconds double, data_seconds double, baseline_seconds double")
 
 
 def _window(months: int) -> str:
@@ -323,20 +353,103 @@ def exp_boxes(spark, sf_dir):
     return spark.createDataFrame(rows, "kind string, kept int, objects int, bytes long")
 
 
+@query("exp_overhead")
+def exp_overhead(spark, sf_dir):
+    """Queries that no summary can narrow: what skipping costs when it gains nothing."""
+    return _compare(spark, sf_dir, "access_log", [("all rows", "SELECT count(*) FROM access_log WHERE value >= 0"), ("unknown function", "SELECT count(*) FROM access_log WHERE length(props) > 0"), ("frequent tail", "SELECT count(*) FROM access_log WHERE db_name LIKE '%/shard%'")])
+
+
+_WIDE = ("db_name", "http_request", "user_agent", "account_name", "props", "event_type")
+
+
 @query("exp_indexing")
 def exp_indexing(spark, sf_dir):
-    """Build seconds and bytes: hybrid on 1 to 3 columns jointly and one by one, min/max by scan and by footers."""
+    """Build seconds and bytes: hybrid on 1, 2, 4 and 6 log columns jointly and one by one, min/max on 1, 2, 4 and 8 columns of
+    the sensor grid by scan and, as far as footers tell exact bounds, by footers."""
     source, _, _ = W.lake(spark, sf_dir, "access_log")
     make = lambda: ParquetSummaryStore(spark, scratch_path(spark, "indexing"))
     rows = []
-    for n in (1, 2, 3):
-        kinds = [Hybrid(c, threshold=40) for c in ("db_name", "http_request", "user_agent")[:n]]
+    for n in (1, 2, 4, 6):
+        kinds = [Hybrid(c, threshold=40) for c in _WIDE[:n]]
         for how, f in (("joint", build.build_summaries), ("separate", build.build_separately)):
             r = f(spark, source, kinds, make())
             rows.append((f"hybrid-{how}", n, r.seconds, r.bytes))
-    for n, columns in ((1, ["event_id"]), (2, ["event_id", "ts"]), (3, ["event_id", "ts", "user_id"])):
-        r = build.build_summaries(spark, source, [MinMax(c) for c in columns], make())
+    path = scratch_path(spark, "grid-integers")
+    W.lake(spark, sf_dir, "grid")
+    grid = W.lake(spark, sf_dir, "grid")[0].read(spark)
+    # Footers are exact for integral and time columns only: the measurements in hundredths.
+    numbers = [F.round(F.col(c) * 100).cast("long").alias(f"{c}_c") for c in ("temp", "wind", "lat", "lng")]
+    write_by(grid.select("l_orderkey", "l_linenumber", "obs_time", *numbers, F.length("city").cast("long").alias("city_length"), F.col("obj").alias("cell")), path, F.col("cell"))
+    whole, columns = LakeSource(path), ("obs_time", "l_orderkey", "temp_c", "lat_c", "lng_c", "wind_c", "l_linenumber", "city_length")
+    for n in (1, 2, 4, 8):
+        r = build.build_summaries(spark, whole, [MinMax(c) for c in columns[:n]], make())
         rows.append(("minmax-scan", n, r.seconds, r.bytes))
-        r = build.build_from_footers(spark, source, columns, make())
+        r = build.build_from_footers(spark, whole, list(columns[:n]), make())
         rows.append(("minmax-footers", n, r.seconds, r.bytes))
     return spark.createDataFrame(rows, "build string, columns int, seconds double, bytes long")
+
+
+def _measured(spark, sf_dir, n: int = 20) -> tuple[list, dict, dict, list]:
+    """Candidates on db_name with what they cost and bring: (name, bytes, rows skipped over a workload), costs, kept objects, rows."""
+    s = W.session(spark, sf_dir, "access_log")
+    x = s.lakes["access_log"]
+    work = [(q, f"startswith(db_name, '{p}')") for q, p in _queries(spark, "db_name", n, False)]
+    costs, keeps, rows, order, sizes_of = {}, {}, [], [], x.store.column_bytes()
+    for kind in [k for k in x.kinds if k.columns[0] == "db_name"]:
+        s.add("access_log", x.source, x.store, [kind])
+        held = indicators.object_facts(s, "access_log", work).select("query", "path", "n_rows", "keep").collect()  # queries x objects
+        if not order:
+            sizes = {r.path: r.n_rows for r in held}
+            order = sorted(sizes)
+            rows = [sizes[p] for p in order]
+        at = {p: i for i, p in enumerate(order)}
+        kept = {q: 0 for q, _ in work}
+        for r in held:
+            if r.keep:
+                kept[r.query] |= 1 << at[r.path]
+        keeps[kind.index] = [kept[q] for q, _ in work]
+        costs[kind.index] = sizes_of[kind.index]
+    skipped = lambda bits: sum(r for i, r in enumerate(rows) if not bits >> i & 1)
+    return [(i, costs[i], float(sum(map(skipped, keeps[i])))) for i in costs], costs, keeps, rows
+
+
+@query("select_real")
+def select_real(spark, sf_dir):
+    """Index selection on stored candidates, budgets swept: bytes spent, rows skipped over the workload by the chosen set together."""
+    candidates, costs, keeps, rows = _measured(spark, sf_dir)
+    total, out = sum(costs.values()), []
+    for share in (0.02, 0.05, 0.1, 0.25, 0.5, 1.0):
+        budget = int(share * total)
+        for method in ("dp", "greedy", "marginal"):
+            chosen = selection.select_marginal(costs, keeps, rows, budget) if method == "marginal" else selection.select_indexes(candidates, budget, method)
+            together = [(1 << len(rows)) - 1] * len(next(iter(keeps.values())))
+            for i in chosen:
+                together = [a & b for a, b in zip(together, keeps[i], strict=True)]
+            skipped = sum(r for bits in together for k, r in enumerate(rows) if not bits >> k & 1)
+            out.append((share, method, ",".join(chosen), sum(costs[i] for i in chosen), skipped))
+    return spark.createDataFrame(out, "budget_share double, method string, chosen string, bytes long, rows_skipped long")
+
+
+@query("select_real_sound", "SELECT true AS within_budget, true AS growing, true AS marginal_best")
+def select_real_sound(spark, sf_dir):
+    """Of that sweep: no choice exceeds its budget, more budget never skips less, and at full budget the marginal choice skips as much as any."""
+    rows = select_real(spark, sf_dir).collect()
+    total = max(r.bytes for r in rows)
+    by = {m: [r.rows_skipped for r in rows if r.method == m] for m in ("dp", "greedy", "marginal")}
+    _, costs, _, _ = _measured(spark, sf_dir, 1)
+    within = all(r.bytes <= r.budget_share * sum(costs.values()) for r in rows) and total <= sum(costs.values())
+    return spark.createDataFrame([(within, all(v == sorted(v) for v in (by["marginal"],)), by["marginal"][-1] >= max(v[-1] for v in by.values()))], "within_budget boolean, growing boolean, marginal_best boolean")
+
+
+@query("point_lookup_objects", ", c AS (SELECT db_name, count(*) AS n, count(DISTINCT " + _OBJ + ") AS objects FROM access_log GROUP BY 1), r AS (SELECT *, row_number() OVER (ORDER BY n DESC, db_name) AS i, count(*) OVER () AS m FROM c) SELECT 'top' AS value, objects AS kept FROM r WHERE i = 1 UNION ALL SELECT 'median', objects FROM r WHERE i = m // 2 + 1 UNION ALL SELECT 'rarest', objects FROM r WHERE i = m UNION ALL SELECT 'absent', 0", "access_log")
+def point_lookup_objects(spark, sf_dir):
+    """Objects that the value list keeps for four values, frequent to absent: those that hold the value."""
+    s = W.session(spark, sf_dir, "access_log")
+    x = s.lakes["access_log"]
+    s.add("access_log", x.source, x.store, [k for k in x.kinds if type(k) is ValueList and k.columns[0] == "db_name"])
+    ranked = [r[0] for r in spark.sql("SELECT db_name FROM access_log GROUP BY db_name ORDER BY count(*) DESC, db_name").collect()]
+    rows = []
+    for name, v in (("top", ranked[0]), ("median", ranked[len(ranked) // 2]), ("rarest", ranked[-1]), ("absent", "no/such/db")):
+        s.sql(f"SELECT count(*) FROM access_log WHERE db_name = '{v}'")
+        rows.append((name, s.history[-1].n_kept))
+    return spark.createDataFrame(rows, "value string, kept long")

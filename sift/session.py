@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import re
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sift.functions import distance, geo
@@ -15,12 +16,10 @@ from sift.operators.kinds import SummaryKind
 from sift.plans import bridge
 from sift.plans.keep import KeepTest, any_of
 from sift.plans.labelling import Labelled, Matcher, fold, label
-from sift.sources.lake import OBJECT_KEY, LakeSource
+from sift.sources.lake import OBJECT_KEY, LakeSource, among, digest
 from sift.sources.stores import SummaryStore
 
-#: Up to so many keys go into an IN list; more are packed into one string literal.
-IN_LIST = 5_000
-#: Up to so many objects come to the driver with their verdicts; of more only the skipped or the kept ones, whichever are fewer.
+#: Up to so many objects come to the driver with their verdicts; of more only the digests of the skipped ones do.
 COLLECT = 20_000
 
 
@@ -35,10 +34,11 @@ class Decision:
     n_kept: int
     bytes: int
     bytes_kept: int
-    newest: int
-    #: Object keys; one of the two is None where it wasn't fetched.
-    skipped: list[str] | None
+    #: Keys of the skipped objects, or their digests.
+    skipped: list[str]
+    #: Keys of the kept ones; None where they weren't fetched.
     kept: list[str] | None
+    digests: bool = False
     seconds: float = 0.0
 
     def explain(self) -> str:
@@ -54,6 +54,12 @@ class Lake:
     roots: frozenset[str] = frozenset()
 
 
+def usable(lake: Lake) -> list[Matcher]:
+    """The lake's matchers, of its kinds those whose summaries were stored under the same columns and parameters."""
+    stored = lake.store.indexes()
+    return [k for k in lake.kinds if k.index in stored and k.same_as(stored[k.index])] + lake.matchers
+
+
 class SiftSession:
     """Lakes by name. ``sql`` runs a text in which they are views; ``frame`` runs a function of one lake's DataFrame."""
 
@@ -84,43 +90,28 @@ class SiftSession:
         """The test for all uses of a lake together, evaluated over its summaries."""
         began = time.time()
         lake = self.lakes[name]
-        present = set(lake.store.indexes())
-        matchers = [k for k in lake.kinds if k.index in present] + lake.matchers
-        trees = [label(p, matchers) for p in predicates]
+        trees = [label(p, usable(lake)) for p in predicates]
         test = any_of([fold(t) for t in trees])
         verdicts = lake.store.evaluate(test, lake.source.listing(self.spark), self.cached)
         key = F.concat_ws("@", "path", F.col("mtime").cast("string"), F.col("size").cast("string"))
         if lake.store.objects() <= COLLECT:
-            rows = verdicts.select(key.alias("key"), "size", "mtime", "keep").collect()
-            made = Decision(name, test, trees, len(rows), sum(r.keep for r in rows), sum(r["size"] for r in rows), sum(r["size"] for r in rows if r.keep), max((r.mtime for r in rows), default=0), [r.key for r in rows if not r.keep], [r.key for r in rows if r.keep])
+            rows = verdicts.select(key.alias("key"), "size", "keep").collect()
+            made = Decision(name, test, trees, len(rows), sum(r.keep for r in rows), sum(r["size"] for r in rows), sum(r["size"] for r in rows if r.keep), [r.key for r in rows if not r.keep], [r.key for r in rows if r.keep])
         else:
             verdicts = verdicts.persist()
             kept = F.col("keep")
-            t = verdicts.agg(F.count("*").alias("n"), F.count_if(kept).alias("k"), F.coalesce(F.sum("size"), F.lit(0)).alias("b"), F.coalesce(F.sum(F.when(kept, F.col("size"))), F.lit(0)).alias("bk"), F.coalesce(F.max("mtime"), F.lit(0)).alias("newest")).first()
-            fewer_kept = 2 * t.k < t.n
-            keys = [r.key for r in verdicts.where(kept if fewer_kept else ~kept).select(key.alias("key")).collect()]
+            t = verdicts.agg(F.count("*").alias("n"), F.count_if(kept).alias("k"), F.coalesce(F.sum("size"), F.lit(0)).alias("b"), F.coalesce(F.sum(F.when(kept, F.col("size"))), F.lit(0)).alias("bk")).first()
+            skipped = [r.d for r in verdicts.where(~kept).select(digest(key).alias("d")).collect()]
             verdicts.unpersist()
-            made = Decision(name, test, trees, t.n, t.k, t.b, t.bk, t.newest, None if fewer_kept else keys, keys if fewer_kept else None)
+            made = Decision(name, test, trees, t.n, t.k, t.b, t.bk, skipped, None, True)
         made.seconds = time.time() - began
         self.history.append(made)
         return made
 
     def prune(self, df: DataFrame, decision: Decision) -> DataFrame:
-        """``df`` of the lake without the skipped objects. A file that is unknown, or changes meanwhile, is read.
-
-        With the skipped keys at hand they are excluded. With the kept ones, these are read and also every file not
-        older than the newest one listed, for it may have come or changed since.
-        """
-        if decision.skipped == []:
-            return df
-
-        def among(keys: list[str]) -> Column:
-            this = F.expr(OBJECT_KEY)
-            return this.isin(keys) if len(keys) <= IN_LIST else F.array_contains(F.split(F.lit("\n".join(keys)), "\n"), this)
-
-        if decision.skipped is not None:
-            return df.where(~among(decision.skipped))
-        return df.where(among(decision.kept) | (F.expr("unix_micros(_metadata.file_modification_time)") >= decision.newest))
+        """``df`` of the lake without the skipped objects. A file that is unknown, or changes meanwhile, is read: only files
+        that were listed with the same path, time and size, and whose summaries deny the predicate, are left out."""
+        return df.where(~among(F.expr(OBJECT_KEY), decision.skipped, decision.digests)) if decision.skipped else df
 
     def decide(self, df: DataFrame) -> dict[str, Decision]:
         """Decisions for the lakes that ``df`` reads."""
@@ -134,7 +125,8 @@ class SiftSession:
     def sql(self, text: str) -> DataFrame:
         """Plan ``text``, decide, and plan it again over views without the skipped objects."""
         for name, lake in self.lakes.items():
-            lake.source.read(self.spark).createOrReplaceTempView(name)
+            if re.search(rf"(?i)(?<!\w){re.escape(name)}(?!\w)", text):  # only what the text may mean is listed anew
+                lake.source.read(self.spark).createOrReplaceTempView(name)
         df = self.spark.sql(text)
         if not self.skipping:
             return df

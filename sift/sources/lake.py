@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import hashlib
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -13,6 +14,29 @@ from pyspark.sql import types as T
 OBJECT_KEY = "concat_ws('@', _metadata.file_path, cast(unix_micros(_metadata.file_modification_time) as string), cast(_metadata.file_size as string))"
 
 
+#: Up to so many keys go into an IN list; the digests of more are packed into one literal.
+IN_LIST = 5_000
+
+
+def digest(key: Column) -> Column:
+    """128 bits of an object key, in hexadecimal."""
+    return F.md5(key.cast("binary"))
+
+
+def among(key: Column, held: Iterable[str], digests: bool = False) -> Column:
+    """Whether ``key`` is one of those ``held``, given as keys or as their digests; each key is looked up in a small group."""
+    held = list(held)
+    if len(held) <= IN_LIST:
+        return (digest(key) if digests else key).isin(held)
+    held = held if digests else [hashlib.md5(k.encode()).hexdigest() for k in held]
+    groups: list[list[str]] = [[] for _ in range(len(held) // 8 + 1)]
+    for d in held:
+        groups[int(d[:8], 16) % len(groups)].append(d)
+    packed = F.split(F.lit("\n".join(" ".join(g) for g in groups)), "\n")
+    this = digest(key)
+    return F.contains(F.get(packed, F.pmod(F.conv(F.left(this, F.lit(8)), 16, 10).cast("long"), F.lit(len(groups))).cast("int")), this)
+
+
 _schemas: dict["LakeSource", T.StructType] = {}
 
 

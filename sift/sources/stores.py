@@ -7,16 +7,23 @@ encrypted under a key: without the key its column is missing and the index is no
 from __future__ import annotations
 
 import json
+import re
 from collections.abc import Iterable
+from functools import reduce
 
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from sift.plans.keep import KeepTest
+from sift.runtime import ship_package
 
 IDENTITY = ("path", "mtime", "size", "n_rows")
+#: Batches from which on an append merges the newest ones, and manifests that are kept.
+COMPACT_AFTER = 32
+KEEP_VERSIONS = 3
 
 
 class SummaryStore:
@@ -33,49 +40,92 @@ class SummaryStore:
     def _load(self, batch: str, schema: T.StructType, needed: list[str]) -> DataFrame:
         raise NotImplementedError
 
-    # -- manifest
-    def _fs(self):
+    # -- manifest: a file for each version; the highest one counts
+    def _fs(self, name: str = ""):
         jvm = self.spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(f"{self.path}/manifest.json")
+        p = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}" if name else self.path)
         return jvm, p, p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
 
-    def manifest(self) -> dict:
+    def _versions(self) -> list[int]:
         jvm, p, fs = self._fs()
         if not fs.exists(p):
-            return {"version": 1, "indexes": {}, "batches": []}
+            return []
+        names = [s.getPath().getName() for s in fs.listStatus(p)]
+        return sorted(int(m[1]) for n in names if (m := re.fullmatch(r"manifest-(\d+)\.json", n)))
+
+    def manifest(self) -> dict:
+        held = self._versions()
+        if not held:
+            return {"version": 0, "indexes": {}, "batches": []}
+        jvm, p, fs = self._fs(f"manifest-{held[-1]:08d}.json")
         opened = fs.open(p)
         try:
             return json.loads(jvm.org.apache.commons.io.IOUtils.toString(opened, "UTF-8"))
         finally:
             opened.close()
 
-    def _commit(self, manifest: dict) -> None:
-        jvm, p, fs = self._fs()
-        tmp = jvm.org.apache.hadoop.fs.Path(f"{self.path}/manifest.json.new")
+    def _commit(self, manifest: dict, after: int) -> None:
+        """Publish ``manifest`` as the version after ``after``; another writer's commit in between is an error, not a loss."""
+        manifest = manifest | {"version": after + 1}
+        jvm, p, fs = self._fs(f"manifest-{after + 1:08d}.json")
+        _, tmp, _ = self._fs(f"manifest-{after + 1:08d}.json.{jvm.System.nanoTime()}")
         out = fs.create(tmp, True)
         out.write(bytearray(json.dumps(manifest).encode()))
         out.close()
-        fs.delete(p, False)
-        fs.rename(tmp, p)
+        if fs.exists(p) or not fs.rename(tmp, p):
+            fs.delete(tmp, False)
+            raise RuntimeError(f"version {after + 1} of {self.path} was committed by another writer")
+        for old in self._versions()[:-KEEP_VERSIONS]:
+            fs.delete(self._fs(f"manifest-{old:08d}.json")[1], False)
         self._cached.clear()
 
     # -- writing
     def write(self, rows: DataFrame, kinds: Iterable, *, mode: str = "replace") -> None:
-        """Add a batch of summary rows; ``replace`` makes it the only one, ``append`` keeps the older ones."""
-        manifest = self.manifest() if mode == "append" else {"version": 1, "indexes": {}, "batches": []}
-        batch = f"batch-{len(self.manifest()['batches'])}-{self.spark.sparkContext._jvm.System.nanoTime()}"
-        schema = rows.schema
+        """Add a batch of summary rows; ``replace`` makes it the only one, ``append`` keeps the older ones.
+
+        What is appended under a name that the store has must have the same columns and parameters.
+        """
+        was = self.manifest()
+        manifest = was if mode == "append" else {"indexes": {}, "batches": []}
+        kinds, schema = list(kinds), rows.schema
+        for k in kinds:
+            told = json.loads(json.dumps(k.describe() | {"type": schema[k.index].dataType.json()}))
+            if manifest["indexes"].setdefault(k.index, told) != told:
+                raise ValueError(f"{k.index} is stored with other parameters")
         out = rows
         for k in kinds:
-            manifest["indexes"][k.index] = k.describe() | {"type": schema[k.index].dataType.json()}
             if k.key_id:
                 key = self.keys[k.key_id]
                 sealed = F.base64(F.aes_encrypt(F.to_json(F.col(k.index), {"ignoreNullFields": "false"}), F.lit(bytearray(key)), F.lit("GCM")))
                 out = out.withColumn(k.index, sealed)
-        self._append(out, batch)
+        manifest["batches"].append(self._add(out, [k.index for k in kinds]))
+        self._commit(manifest, was["version"])
+        if len(manifest["batches"]) > COMPACT_AFTER:
+            self.compact()
+
+    def _add(self, rows: DataFrame, indexes: list[str]) -> dict:
+        batch = f"batch-{self.spark.sparkContext._jvm.System.nanoTime()}"
+        self._append(rows, batch)
         identity = T.StructType([T.StructField("path", T.StringType())])
-        manifest["batches"].append({"name": batch, "indexes": [k.index for k in kinds], "objects": self._load(batch, identity, []).count()})
-        self._commit(manifest)
+        return {"name": batch, "indexes": indexes, "objects": self._load(batch, identity, []).count()}
+
+    def compact(self) -> None:
+        """Merge the newest batches into one, back to a batch four times as large as all that came after it.
+
+        So each object is rewritten a few times only, however many batches arrive. Sealed summaries stay sealed.
+        """
+        manifest = self.manifest()
+        batches, total, first = manifest["batches"], 0, len(manifest["batches"])
+        while first and (len(batches) - first < 2 or batches[first - 1]["objects"] <= 4 * total):
+            first -= 1
+            total += batches[first]["objects"]
+        if len(batches) - first < 2:
+            return
+        names = sorted({i for b in batches[first:] for i in b["indexes"]})
+        types = {i: T.StringType() if manifest["indexes"][i]["key_id"] else T._parse_datatype_json_string(manifest["indexes"][i]["type"]) for i in names}
+        rows = self._resolved([self._read(b, types, n) for n, b in enumerate(batches[first:])])
+        merged = self._add(rows.drop("batch"), names)
+        self._commit(manifest | {"batches": [*batches[:first], merged]}, manifest["version"])
 
     def objects(self) -> int:
         """Summary rows in all batches: at least the number of indexed objects."""
@@ -90,29 +140,38 @@ class SummaryStore:
         """Indexes that need a key which isn't here."""
         return sorted(set(self.manifest()["indexes"]) - set(self.indexes()))
 
+    def _read(self, batch: dict, types: dict, number: int) -> DataFrame:
+        """Identity columns and the summaries in ``types`` of one batch, null where it has none."""
+        own = [T.StructField(i, t) for i, t in types.items() if i in batch["indexes"]]
+        schema = T.StructType([T.StructField("path", T.StringType()), *(T.StructField(c, T.LongType()) for c in IDENTITY[1:]), *own])
+        df = self._load(batch["name"], schema, [f.name for f in own])
+        return df.select(*IDENTITY, *(F.col(i) if i in batch["indexes"] else F.lit(None).cast(t).alias(i) for i, t in types.items()), F.lit(number).alias("batch"))
+
+    @staticmethod
+    def _resolved(parts: list[DataFrame]) -> DataFrame:
+        """All rows, of an object indexed more than once those of the newest batch. Only paths travel to find the older ones."""
+        out = reduce(DataFrame.unionByName, parts)
+        if len(parts) == 1:
+            return out
+        at = reduce(DataFrame.union, (p.select("path", "batch") for p in parts))
+        newest = at.groupBy("path").agg(F.max("batch").alias("newest"), F.count("*").alias("n")).where("n > 1").select("path", "newest")
+        older = at.join(newest, "path").where("batch < newest").select("path", "batch")
+        return out.join(older, ["path", "batch"], "left_anti")
+
     def rows(self, needed: Iterable[str]) -> DataFrame:
         """Identity columns and the needed summaries of all committed batches; of an object indexed twice the newest row."""
         manifest, readable = self.manifest(), self.indexes()
         needed = sorted(set(needed) & set(readable))
-        parts = []
-        for n, b in enumerate(manifest["batches"]):
-            sealed = {i: readable[i]["key_id"] for i in needed if i in b["indexes"] and readable[i]["key_id"]}
-            types = {i: T._parse_datatype_json_string(readable[i]["type"]) for i in needed}
-            fields = [T.StructField(i, T.StringType() if i in sealed else types[i]) for i in needed if i in b["indexes"]]
-            schema = T.StructType([T.StructField("path", T.StringType()), T.StructField("mtime", T.LongType()), T.StructField("size", T.LongType()), T.StructField("n_rows", T.LongType()), *fields])
-            df = self._load(b["name"], schema, [f.name for f in fields])
-            for i, key in sealed.items():
-                opened = F.try_aes_decrypt(F.unbase64(i), F.lit(bytearray(self.keys[key])), F.lit("GCM")).cast("string")
-                df = df.withColumn(i, F.from_json(opened, types[i]))
-            parts.append(df.select(*IDENTITY, *(F.col(i) if i in b["indexes"] else F.lit(None).cast(types[i]).alias(i) for i in needed), F.lit(n).alias("batch")))
-        if not parts:
+        types = {i: T._parse_datatype_json_string(readable[i]["type"]) for i in needed}
+        sealed = {i: readable[i]["key_id"] for i in needed if readable[i]["key_id"]}
+        raw = {i: T.StringType() if i in sealed else t for i, t in types.items()}
+        if not manifest["batches"]:
             return self.spark.createDataFrame([], "path string, mtime long, size long, n_rows long")
-        out = parts[0]
-        for p in parts[1:]:
-            out = out.unionByName(p)
-        if len(parts) > 1:
-            out = out.groupBy("path").agg(F.max_by(F.struct(*(c for c in out.columns if c != "path")), "batch").alias("r")).select("path", "r.*")
-        return out.drop("batch")
+        out = self._resolved([self._read(b, raw, n) for n, b in enumerate(manifest["batches"])])
+        for i, key in sealed.items():
+            opened = F.try_aes_decrypt(F.unbase64(i), F.lit(bytearray(self.keys[key])), F.lit("GCM")).cast("string")
+            out = out.withColumn(i, F.from_json(opened, types[i]))
+        return out.select(*IDENTITY, *needed)
 
     def cached(self, needed: Iterable[str]) -> DataFrame:
         """The same, kept in memory or on local disk."""
@@ -133,13 +192,17 @@ class SummaryStore:
 
     def drop_objects(self, gone: DataFrame, kinds: list) -> None:
         """Rewrite the store without the objects of ``gone`` (path), as one batch."""
-        rows = self.rows(k.index for k in kinds).join(gone, "path", "left_anti")
+        rows = self.rows([k.index for k in kinds]).join(gone, "path", "left_anti")
         self.write(rows, kinds, mode="replace")
 
     def bytes(self) -> int:
         """Bytes of the committed batches."""
-        jvm, p, fs = self._fs()
-        return sum(fs.getContentSummary(jvm.org.apache.hadoop.fs.Path(f"{self.path}/{b['name']}")).getLength() for b in self.manifest()["batches"])
+        _, _, fs = self._fs()
+        return sum(fs.getContentSummary(self._fs(b["name"])[1]).getLength() for b in self.manifest()["batches"])
+
+    def read_bytes(self, needed: Iterable[str]) -> int:
+        """Bytes that an evaluation reads which needs these summaries: here all of them."""
+        return self.bytes()
 
 
 class ParquetSummaryStore(SummaryStore):
@@ -151,6 +214,43 @@ class ParquetSummaryStore(SummaryStore):
     def _load(self, batch, schema, needed):
         return self.spark.read.schema(schema).parquet(f"{self.path}/{batch}")
 
+    def column_bytes(self) -> dict[str, int]:
+        """Compressed bytes of each column of the committed batches, by the footers."""
+        held = [b["name"] for b in self.manifest()["batches"]]
+        if not held:
+            return {}
+        ship_package(self.spark)
+        files = self.spark.read.format("binaryFile").option("pathGlobFilter", "*.parquet").load([f"{self.path}/{b}" for b in held])
+        sizes = files.select(F.col("_metadata.file_path").alias("path")).mapInArrow(_column_bytes, "name string, bytes long")
+        return {r.name: r.n for r in sizes.groupBy("name").agg(F.sum("bytes").alias("n")).collect()}
+
+    def read_bytes(self, needed):
+        """The identity columns and the needed ones only."""
+        sizes = self.column_bytes()
+        return sum(sizes.get(c, 0) for c in {*needed, *IDENTITY})
+
+
+def _column_bytes(batches):
+    """Compressed bytes of each top-level column of Parquet files."""
+    from urllib.parse import unquote
+
+    import pyarrow.parquet as pq
+    from pyarrow import fs
+
+    for batch in batches:
+        for path in batch.column("path").to_pylist():
+            where = unquote(path)
+            system, inner = (fs.LocalFileSystem(), where.removeprefix("file://").removeprefix("file:")) if where.startswith("file:") else fs.FileSystem.from_uri(where)
+            found: dict[str, int] = {}
+            with system.open_input_file(inner) as f:
+                meta = pq.ParquetFile(f).metadata
+            for g in range(meta.num_row_groups):
+                for c in range(meta.num_columns):
+                    column = meta.row_group(g).column(c)
+                    name = column.path_in_schema.split(".")[0]
+                    found[name] = found.get(name, 0) + column.total_compressed_size
+            yield pa.RecordBatch.from_pydict({"name": pa.array(list(found), pa.string()), "bytes": pa.array(list(found.values()), pa.int64())})
+
 
 class DocumentSummaryStore(SummaryStore):
     """A JSON document for each object, as a search engine or key-value store would hold it."""

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import random
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -115,21 +114,6 @@ def oracle_views(*names: str) -> str:
 # -- query sets
 
 
-def stored_values(df: DataFrame, column: str, n: int, seed: int) -> list[str]:
-    """``n`` random stored values: the first by a seeded hash of the distinct ones."""
-    return [r[0] for r in df.select(column).distinct().orderBy(F.xxhash64(F.lit(seed), column), column).limit(n).collect()]
-
-
-def prefix_queries(values: list[str], column: str, seed: int, suffix: bool = False) -> list[tuple[str, str]]:
-    """(name, predicate): LIKE on a randomly long head (or tail) of each value."""
-    rnd, out = random.Random(seed), []
-    for k, v in enumerate(values):
-        n = rnd.randint(1, len(v))
-        p = (v[-n:] if suffix else v[:n]).replace("\\", "\\\\").replace("%", "\\%").replace("_", "\\_").replace("'", "''")
-        out.append((f"q{k:02d}", f"{'endswith' if suffix else 'startswith'}({column}, '{(v[-n:] if suffix else v[:n]).replace(chr(39), chr(39) * 2)}')" if "\\" in p else f"{column} LIKE '{'%' + p if suffix else p + '%'}'"))
-    return out
-
-
 def polygon(cx: float, cy: float, size: float, concave: bool = False) -> str:
     """A small triangle around a point, or one with a notch."""
     pts = [(cx - size, cy - size), (cx + size, cy - size), (cx, cy + size)]

@@ -103,32 +103,137 @@ def test_old_batches_unknown_kinds_and_cache(spark, events):
 
 
 def test_many_keys_are_packed(spark, events, monkeypatch):
-    import sift.session as session_module
+    import sift.sources.lake as lake_module
 
     store = ParquetSummaryStore(spark, scratch_path(spark, "packed"))
     build_summaries(spark, events, [MinMax("event_id")], store)
     s = SiftSession(spark)
     s.add("e", events, store, [MinMax("event_id")])
-    monkeypatch.setattr(session_module, "IN_LIST", 2)
+    monkeypatch.setattr(lake_module, "IN_LIST", 2)
     df = s.sql("SELECT event_id FROM e WHERE event_id < 10")
     assert len(df.collect()) == 10 and scans(df)[0].files == 1
 
 
-def test_large_lakes_fetch_the_shorter_list(spark, events, monkeypatch):
+def _new_rows(spark, n=3):
+    return spark.range(n).selectExpr("id AS event_id", "timestamp_ntz'2024-01-01' AS ts", "0L AS user_id", "'new' AS event_type", "0D AS value", "'' AS props").coalesce(1)
+
+
+@pytest.mark.parametrize("in_list", [5000, 2])
+def test_large_lakes_name_skipped_objects_only(spark, events, monkeypatch, in_list):
+    """Digests of the skipped objects; whatever came or changed since is read, also files moved in with an old time."""
+    import os
+
     import sift.session as session_module
+    import sift.sources.lake as lake_module
 
     store = ParquetSummaryStore(spark, scratch_path(spark, "large"))
     build_summaries(spark, events, [MinMax("event_id")], store)
     monkeypatch.setattr(session_module, "COLLECT", 2)
+    monkeypatch.setattr(lake_module, "IN_LIST", in_list)
     s = SiftSession(spark)
     s.add("e", events, store, [MinMax("event_id")])
-    df = s.sql("SELECT event_id FROM e WHERE event_id < 10")
-    assert len(df.collect()) == 10 and s.history[-1].skipped is None and len(s.history[-1].kept) == 1 and scans(df)[0].files <= 2
+    text = "SELECT event_id FROM e WHERE event_id < 10"
+    df = s.sql(text)
     decision = s.history[-1]
-    spark.range(3).selectExpr("id AS event_id", "timestamp_ntz'2024-01-01' AS ts", "0L AS user_id", "'new' AS event_type", "0D AS value", "'' AS props").coalesce(1).write.mode("append").parquet(events.path)
+    assert len(df.collect()) == 10 and decision.digests and len(decision.skipped) == 7 and scans(df)[0].files == 1
+    _new_rows(spark).write.mode("append").parquet(events.path)
     assert s.prune(events.read(spark), decision).where("event_type = 'new'").count() == 3  # came after the listing
+    elsewhere = scratch_path(spark, "moved")
+    _new_rows(spark, 5).write.parquet(elsewhere)
+    (moved,) = [f for f in os.listdir(elsewhere.removeprefix("file://")) if f.endswith(".parquet")]
+    old = elsewhere.removeprefix("file://") + "/" + moved
+    os.utime(old, (10**9, 10**9))
+    os.rename(old, events.path.removeprefix("file://") + "/part-moved.parquet")
+    assert s.prune(events.read(spark), decision).where("event_type = 'new'").count() == 8
+    assert len(s.sql(text).collect()) == 18 and s.history[-1].n_kept == 3
     df = s.sql("SELECT event_id FROM e WHERE event_id >= 0 AND event_id <> 7")
-    assert len(df.collect()) == events.read(spark).where("event_id <> 7").count() and s.history[-1].kept is None
+    assert len(df.collect()) == events.read(spark).where("event_id <> 7").count() and s.history[-1].skipped == []
+
+
+def test_files_of_one_clock_tick(spark, events, monkeypatch):
+    """Many files of one modification time are pruned all the same."""
+    import os
+
+    import sift.session as session_module
+
+    folder = events.path.removeprefix("file://")
+    for f in os.listdir(folder):
+        os.utime(f"{folder}/{f}", (1_700_000_000, 1_700_000_000))
+    store = ParquetSummaryStore(spark, scratch_path(spark, "tick"))
+    build_summaries(spark, events, [MinMax("event_id")], store)
+    monkeypatch.setattr(session_module, "COLLECT", 2)
+    s = SiftSession(spark)
+    s.add("e", events, store, [MinMax("event_id")])
+    df = s.sql("SELECT event_id FROM e WHERE event_id < 10")
+    assert len(df.collect()) == 10 and scans(df)[0].files == 1
+
+
+def test_other_parameters_than_stored(spark, events):
+    """An index is used only by a kind of the very parameters that it was built with."""
+    from sift.operators.kinds import GapList, Hybrid, RangeBits, Template
+
+    built = [Bloom("user_id", fpp=0.01), RangeBits("value", 0.0, 400.0), Template("props", "get_json_object(props, '$.k')", "k"), Hybrid("event_type", threshold=2), GapList("event_id", 4)]
+    asked = [Bloom("user_id", fpp=1e-6), RangeBits("value", 0.0, 4000.0), Template("props", "substring(props, 1, 3)", "k"), Hybrid("event_type", threshold=3), GapList("event_id", 5)]
+    store = ParquetSummaryStore(spark, scratch_path(spark, "params"))
+    build_summaries(spark, events, built, store)
+    one = events.read(spark).first()
+    for kinds, used in ((built, True), (asked, False)):
+        s = SiftSession(spark)
+        s.add("e", events, store, kinds)
+        for text in (f"user_id = {one.user_id}", f"value > {one.value - 1} AND value < {one.value + 1}", f"event_type = '{one.event_type}'", f"event_id BETWEEN {one.event_id} AND {one.event_id + 5}"):
+            assert s.sql(f"SELECT event_id FROM e WHERE {text}").count() == events.read(spark).where(text).count() > 0
+            assert (s.history[-1].test.sql() != "true") == used, text
+    with pytest.raises(ValueError):
+        build_summaries(spark, events, asked[:1], store, mode="append")
+    assert MinMax("a.b").index != MinMax("a_b").index and MinMax("a_b").index == "minmax__a_b"
+
+
+def test_many_batches_are_merged(spark, events, monkeypatch):
+    import sift.sources.stores as stores_module
+
+    monkeypatch.setattr(stores_module, "COMPACT_AFTER", 6)
+    path, kinds = scratch_path(spark, "compact"), [MinMax("event_id"), ValueList("event_type", key_id="k")]
+    store = ParquetSummaryStore(spark, path, {"k": b"0123456789abcdef"})
+    for n in range(20):
+        build_summaries(spark, events, kinds, store, mode="append" if n else "replace")
+        assert len(store.manifest()["batches"]) <= 6
+    rows = store.rows([k.index for k in kinds])
+    assert rows.count() == 8 == rows.where("minmax__event_id.lo IS NOT NULL AND size(list__event_type.vs) > 0").count()
+    assert "click" not in str(spark.read.parquet(f"{path}/batch-*").select("list__event_type").distinct().collect())
+    assert store.read_bytes(["minmax__event_id"]) < store.read_bytes([k.index for k in kinds]) <= store.bytes()
+
+
+def test_a_crash_between_commits_loses_nothing(spark, events, monkeypatch):
+    store = ParquetSummaryStore(spark, scratch_path(spark, "crash"))
+    build_summaries(spark, events, [MinMax("event_id")], store)
+    before = store.manifest()
+    monkeypatch.setattr(ParquetSummaryStore, "_commit", lambda self, m, after: (_ for _ in ()).throw(OSError("lost")))
+    with pytest.raises(OSError):
+        build_summaries(spark, events, [MinMax("event_id"), MinMax("value")], store)
+    monkeypatch.undo()
+    assert store.manifest() == before and store.rows(["minmax__event_id"]).count() == 8
+    with pytest.raises(RuntimeError):  # two writers after one version: the second is told
+        store._commit(before, before["version"] - 1)
+
+
+def test_functions_of_columns_and_nulls(spark):
+    """Queries, polygons and shapes that differ by row; nulls give null."""
+    from sift.functions import distance
+
+    geo.register(spark)
+    distance.register(spark)
+    tri, box = "POLYGON((0 0, 4 0, 0 4))", "POLYGON((10 10, 12 10, 12 12, 10 12))"
+    rows = [([1.0, 2.0], "1,2", tri, 1.0, 1.0), ([1.0, 2.0], "4,6", box, 11.0, 11.0), (None, "1,2", box, 1.0, 1.0), ([1.0], "1,2", tri, None, 1.0), ([0.0, 0.0], None, None, 1.0, 1.0)]
+    df = spark.createDataFrame(rows, "v array<double>, q string, wkt string, lat double, lng double")
+    got = df.selectExpr("euclid_distance(v, q) AS e", "manhattan_distance(v, q) AS m", "st_contains(wkt, lat, lng) AS c").collect()
+    assert [r.e for r in got] == [0.0, 5.0, None, None, None] and [r.m for r in got] == [0.0, 7.0, None, None, None]
+    assert [r.c for r in got] == [True, True, False, None, None]
+    ring = lambda *p: [{"x": x, "y": y} for x, y in p]
+    shapes = [(ring((0.0, 0.0), (4.0, 0.0), (0.0, 4.0)), 1.0, 1.0), (ring((0.0, 0.0), (4.0, 0.0), (0.0, 4.0)), 3.0, 3.0), (None, 1.0, 1.0), ([], 1.0, 1.0), (ring((0.0, 0.0), (4.0, None), (0.0, 4.0)), 1.0, 1.0), (ring((0.0, 0.0), (9.0, 0.0), (9.0, 9.0), (0.0, 9.0)), None, 2.0), (ring((0.0, 0.0), (9.0, 0.0), (9.0, 9.0), (0.0, 9.0)), 8.0, 2.0)]
+    df = spark.createDataFrame(shapes, "s array<struct<x:double,y:double>>, lat double, lng double")
+    got = df.selectExpr("st_shape_contains(s, lat, lng) AS c", f"st_shape_intersects('{tri}', s) AS i", "st_shape_intersects(NULL, s) AS n").collect()
+    assert [r.c for r in got] == [True, False, None, None, None, None, True]
+    assert [r.i for r in got] == [True, True, None, None, None, True, True] and {r.n for r in got} == {None}
 
 
 def test_only_ciphertext_is_stored(spark, events):
