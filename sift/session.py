@@ -6,6 +6,7 @@ import re
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,33 +15,50 @@ from sift.functions import distance, geo
 from sift.operators.build import bind
 from sift.operators.kinds import SummaryKind
 from sift.plans import bridge
-from sift.plans.keep import KeepTest, any_of
+from sift.plans.keep import AlwaysKeep, KeepTest, any_of
 from sift.plans.labelling import Labelled, Matcher, fold, label
 from sift.sources.lake import OBJECT_KEY, LakeSource, among, digest
 from sift.sources.stores import SummaryStore
 
-#: Up to so many objects come to the driver with their verdicts; of more only the digests of the skipped ones do.
+#: Of lakes with more objects the skipped ones come to the driver as digests.
 COLLECT = 20_000
+KEY = "concat_ws('@', path, cast(mtime as string), cast(size as string))"
 
 
 @dataclass
 class Decision:
-    """What was decided for one lake in one query."""
+    """What was decided for one lake in one query.
+
+    Planning needs the skipped objects only. How many objects and bytes were listed and kept is looked up when it is asked
+    for first.
+    """
 
     lake: str
     test: KeepTest
     trees: list[Labelled]
-    objects: int
-    n_kept: int
-    bytes: int
-    bytes_kept: int
     #: Keys of the skipped objects, or their digests.
     skipped: list[str]
-    #: Keys of the kept ones; None where they weren't fetched.
-    kept: list[str] | None
-    digests: bool = False
+    digests: bool
+    #: (path, mtime, size, keep) of what is listed.
+    verdicts: Callable[[], DataFrame]
     seconds: float = 0.0
 
+    @cached_property
+    def _facts(self) -> tuple[int, int, int, int]:
+        kept, size = F.col("keep"), F.col("size")
+        zero = F.lit(0).cast("long")
+        return tuple(self.verdicts().agg(F.count("*"), F.count_if(kept), F.coalesce(F.sum(size), zero), F.coalesce(F.sum(F.when(kept, size)), zero)).first())
+
+    objects = property(lambda self: self._facts[0])
+    n_kept = property(lambda self: self._facts[1])
+    bytes = property(lambda self: self._facts[2])
+    bytes_kept = property(lambda self: self._facts[3])
+
+    @cached_property
+    def kept(self) -> list[str]:
+        """Keys of the kept objects."""
+        return [r.key for r in self.verdicts().where("keep").select(F.expr(KEY).alias("key")).collect()]
+
     def explain(self) -> str:
         return f"{self.lake}: keep {self.n_kept} of {self.objects} objects where {self.test.sql()}\n" + "\n".join(t.explain() for t in self.trees)
 
@@ -92,18 +110,13 @@ class SiftSession:
         lake = self.lakes[name]
         trees = [label(p, usable(lake)) for p in predicates]
         test = any_of([fold(t) for t in trees])
-        verdicts = lake.store.evaluate(test, lake.source.listing(self.spark), self.cached)
-        key = F.concat_ws("@", "path", F.col("mtime").cast("string"), F.col("size").cast("string"))
-        if lake.store.objects() <= COLLECT:
-            rows = verdicts.select(key.alias("key"), "size", "keep").collect()
-            made = Decision(name, test, trees, len(rows), sum(r.keep for r in rows), sum(r["size"] for r in rows), sum(r["size"] for r in rows if r.keep), [r.key for r in rows if not r.keep], [r.key for r in rows if r.keep])
-        else:
-            verdicts = verdicts.persist()
-            kept = F.col("keep")
-            t = verdicts.agg(F.count("*").alias("n"), F.count_if(kept).alias("k"), F.coalesce(F.sum("size"), F.lit(0)).alias("b"), F.coalesce(F.sum(F.when(kept, F.col("size"))), F.lit(0)).alias("bk")).first()
-            skipped = [r.d for r in verdicts.where(~kept).select(digest(key).alias("d")).collect()]
-            verdicts.unpersist()
-            made = Decision(name, test, trees, t.n, t.k, t.b, t.bk, skipped, None, True)
+        held: list[str] = []
+        digests = False
+        if not isinstance(test, AlwaysKeep):
+            denied = lake.store.denied(test, self.cached)
+            digests = lake.store.objects() > COLLECT
+            held = [r.key for r in denied.select((digest(F.expr(KEY)) if digests else F.expr(KEY)).alias("key")).collect()]
+        made = Decision(name, test, trees, held, digests, lambda: lake.store.evaluate(test, lake.source.listing(self.spark), self.cached))
         made.seconds = time.time() - began
         self.history.append(made)
         return made
@@ -113,28 +126,51 @@ class SiftSession:
         that were listed with the same path, time and size, and whose summaries deny the predicate, are left out."""
         return df.where(~among(F.expr(OBJECT_KEY), decision.skipped, decision.digests)) if decision.skipped else df
 
-    def decide(self, df: DataFrame) -> dict[str, Decision]:
-        """Decisions for the lakes that ``df`` reads."""
-        uses: dict[str, list] = {}
-        for use in bridge.relations(df):
+    def _named(self, uses: list) -> dict[str, list]:
+        """Predicates by lake, of those that a plan reads."""
+        found: dict[str, list] = {}
+        for use in uses:
             for name, x in self.lakes.items():
                 if x.roots == set(use.roots):
-                    uses.setdefault(name, []).append(use.predicate)
-        return {name: self._decide(name, p) for name, p in uses.items()}
+                    found.setdefault(name, []).append(use.predicate)
+        return found
+
+    def decide(self, df: DataFrame) -> dict[str, Decision]:
+        """Decisions for the lakes that ``df`` reads."""
+        return {name: self._decide(name, p) for name, p in self._named(bridge.relations(df)).items()}
 
     def sql(self, text: str) -> DataFrame:
-        """Plan ``text``, decide, and plan it again over views without the skipped objects."""
-        for name, lake in self.lakes.items():
-            if re.search(rf"(?i)(?<!\w){re.escape(name)}(?!\w)", text):  # only what the text may mean is listed anew
-                lake.source.read(self.spark).createOrReplaceTempView(name)
+        """Plan ``text``, decide, and plan it again over views without the skipped objects; then the views are whole again."""
+        read: dict[str, DataFrame] = {}
+
+        def list_anew(name: str) -> None:
+            read[name] = self.lakes[name].source.read(self.spark)
+            read[name].createOrReplaceTempView(name)
+
+        for name in self.lakes:
+            if re.search(rf"(?i)(?<!\w){re.escape(name)}(?!\w)", text):
+                list_anew(name)
         df = self.spark.sql(text)
+        if not self.skipping and len(read) == len(self.lakes):
+            return df
+        uses = self._named(bridge.relations(df))
+        if late := [name for name in uses if name not in read]:  # read through other views
+            for name in late:
+                list_anew(name)
+            df = self.spark.sql(text)
+            uses = self._named(bridge.relations(df))
         if not self.skipping:
             return df
-        decisions = self.decide(df)
-        for name, d in decisions.items():
-            lake = self.lakes[name].source
-            self.prune(lake.read(self.spark), d).drop("_metadata").createOrReplaceTempView(name)
-        return self.spark.sql(text)
+        pruned = {name: d for name, d in ((name, self._decide(name, p)) for name, p in uses.items()) if d.skipped}
+        if not pruned:
+            return df
+        try:
+            for name, d in pruned.items():
+                self.prune(read[name], d).drop("_metadata").createOrReplaceTempView(name)
+            return self.spark.sql(text)
+        finally:
+            for name in pruned:
+                read[name].createOrReplaceTempView(name)
 
     def frame(self, name: str, use: Callable[[DataFrame], DataFrame]) -> DataFrame:
         """``use`` of the lake's DataFrame, pruned by the predicates that ``use`` itself puts on it."""
@@ -142,8 +178,8 @@ class SiftSession:
         df = use(source.read(self.spark))
         if not self.skipping:
             return df
-        decisions = self.decide(df)
-        return use(self.prune(source.read(self.spark), decisions[name])) if name in decisions else df
+        made = self.decide(df).get(name)
+        return use(self.prune(source.read(self.spark), made)) if made and made.skipped else df
 
     def history_frame(self) -> DataFrame:
         """One row for each decision so far."""

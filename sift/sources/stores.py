@@ -184,6 +184,12 @@ class SummaryStore:
         """The test as a condition on this store's rows."""
         return test.column()
 
+    def denied(self, test: KeepTest, cached: bool = False) -> DataFrame:
+        """(path, mtime, size) of the objects, as they were when summarised, that cannot satisfy the test."""
+        known = self.cached(test.needs()) if cached else self.rows(test.needs())
+        holds = F.col("n_rows").isNull() | (F.col("n_rows") > 0) & self.translate(test)
+        return known.where(~F.coalesce(holds, F.lit(True))).select("path", "mtime", "size")
+
     def evaluate(self, test: KeepTest, listing: DataFrame, cached: bool = False) -> DataFrame:
         """(path, mtime, size, keep) of every object listed now; what is unknown or has changed since is kept."""
         known = self.cached(test.needs()) if cached else self.rows(test.needs())

@@ -286,3 +286,18 @@ def test_shapes_intersect():
     assert geo.rings_intersect(a, geo.ring_of("POLYGON((1 1, 2 1, 2 2))")) and geo.rings_intersect(geo.ring_of("POLYGON((1 1, 2 1, 2 2))"), a)
     assert not geo.rings_intersect(a, geo.ring_of("POLYGON((5 5, 9 5, 9 9))"))
     assert geo.rings_intersect(geo.ring_of("POLYGON((-1 1, 5 1, 5 2, -1 2))"), geo.ring_of("POLYGON((1 -1, 2 -1, 2 5, 1 5))"))
+
+
+def test_views_over_lakes(spark, events):
+    """A view over a lake sees files that came since, and no pruning of an earlier query stays behind."""
+    store = ParquetSummaryStore(spark, scratch_path(spark, "views"))
+    build_summaries(spark, events, [MinMax("event_id")], store)
+    s = SiftSession(spark)
+    s.add("seen_lake", events, store, [MinMax("event_id")])
+    spark.sql("CREATE OR REPLACE TEMP VIEW over_it AS SELECT event_id, event_type FROM seen_lake")
+    n = events.read(spark).count()
+    assert s.sql("SELECT count(*) FROM seen_lake WHERE event_id < 10").first()[0] == 10 and s.history[-1].skipped
+    assert spark.sql("SELECT count(*) FROM seen_lake").first()[0] == n == s.sql("SELECT count(*) FROM over_it").first()[0]
+    _new_rows(spark).write.mode("append").parquet(events.path)
+    assert s.sql("SELECT count(*) FROM over_it WHERE event_type = 'new'").first()[0] == 3
+    assert s.sql("SELECT count(*) FROM over_it WHERE event_id < 10").first()[0] == 13 and s.history[-1].skipped
