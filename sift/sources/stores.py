@@ -26,6 +26,11 @@ COMPACT_AFTER = 32
 KEEP_VERSIONS = 3
 
 
+def _told(description: dict) -> dict:
+    """A description by which stored summaries can be told apart; whether fields may be null is no difference."""
+    return description | {"type": T._parse_datatype_json_string(description["type"]).simpleString()}
+
+
 class SummaryStore:
     """Common to all stores: manifest, encryption, translation and evaluation of tests."""
 
@@ -90,7 +95,7 @@ class SummaryStore:
         kinds, schema = list(kinds), rows.schema
         for k in kinds:
             told = json.loads(json.dumps(k.describe() | {"type": schema[k.index].dataType.json()}))
-            if manifest["indexes"].setdefault(k.index, told) != told:
+            if _told(manifest["indexes"].setdefault(k.index, told)) != _told(told):
                 raise ValueError(f"{k.index} is stored with other parameters")
         out = rows
         for k in kinds:
