@@ -2,41 +2,51 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass
+
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
-#: The name of each metric's function in queries.
-FUNCTIONS = {"euclid": "euclid_distance", "manhattan": "manhattan_distance", "levenshtein": "levenshtein"}
 
+@dataclass(frozen=True)
+class Metric:
+    """A metric: the name of its function in queries, its distance of two values in SQL, and a query value in SQL."""
 
-def sql(metric: str, a: str, b: str) -> str:
-    """The distance of two values in SQL."""
-    if metric == "levenshtein":
-        return f"cast(levenshtein({a}, {b}) as double)"
-    each = "(cast(x as double) - y) * (cast(x as double) - y)" if metric == "euclid" else "abs(cast(x as double) - y)"
-    total = f"aggregate(zip_with({a}, {b}, (x, y) -> {each}), 0D, (s, z) -> s + z)"
-    return f"sqrt({total})" if metric == "euclid" else total
+    function: str
+    sql: Callable[[str, str], str]
+    literal: Callable[[str], str]
 
 
-def expression(metric: str, a: Column, b: Column) -> Column:
-    """The distance of two columns."""
-    if metric == "levenshtein":
-        return F.levenshtein(a, b)
-    diff = lambda x, y: x.cast("double") - y.cast("double")
-    each = (lambda x, y: diff(x, y) * diff(x, y)) if metric == "euclid" else (lambda x, y: F.abs(diff(x, y)))
-    total = F.aggregate(F.zip_with(a, b, each), F.lit(0.0), lambda s, z: s + z)
-    return F.sqrt(total) if metric == "euclid" else total
+def text_literal(text: str) -> str:
+    """A string in SQL."""
+    return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def literal(metric: str, text: str) -> str:
-    """A query value as SQL: a string, or a vector written as numbers between commas."""
-    if metric == "levenshtein":
-        return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
+def vector_literal(text: str) -> str:
+    """A vector, written as numbers between commas, in SQL."""
     return "array(" + ", ".join(f"{float(x)!r}D" for x in text.split(",")) + ")"
 
 
+def _summed(each: str) -> Callable[[str, str], str]:
+    return lambda a, b: f"aggregate(zip_with({a}, {b}, (x, y) -> {each}), 0D, (s, z) -> s + z)"
+
+
+_squares = _summed("(cast(x as double) - y) * (cast(x as double) - y)")
+METRICS = {
+    "euclid": Metric("euclid_distance", lambda a, b: f"sqrt({_squares(a, b)})", vector_literal),
+    "manhattan": Metric("manhattan_distance", _summed("abs(cast(x as double) - y)"), vector_literal),
+    "levenshtein": Metric("levenshtein", lambda a, b: f"cast(levenshtein({a}, {b}) as double)", text_literal),
+}
+
+
+def add_metric(name: str, function: str, sql: Callable[[str, str], str], literal: Callable[[str], str] = text_literal) -> None:
+    """Make a user's metric known. ``sql`` must keep the triangle inequality and agree with ``function`` up to rounding."""
+    METRICS[name] = Metric(function, sql, literal)
+
+
 def _distances(v: pd.Series, q: pd.Series, norm) -> pd.Series:
     """``norm`` of the differences, for each query the rows it is asked of; null where either is null or lengths differ."""
     out = pd.Series(np.nan, index=v.index, dtype=float)

@@ -219,6 +219,22 @@ class GapList(SummaryKind):
             yield self.test(" OR ".join("(" + outside(f"g.lo < {v.sql()}", f"g.hi > {v.sql()}") + ")" for v in node.values) or "false")
 
 
+def _halved(rows: DataFrame, x: str, y: str, times: int) -> DataFrame:
+    """``rows`` with a column cell: each object's points (x, y) halved along the longer side until there are ``times`` cells."""
+    at = rows.withColumn("cell", F.lit(0))
+    for _ in range(int(math.log2(times))):
+        w = Window.partitionBy(OBJECT, "cell")
+        spread = lambda c: F.max(c).over(w) - F.min(c).over(w)  # noqa: E731, B023
+        at = at.withColumn("along", F.when(spread(x) >= spread(y), F.col(x)).otherwise(F.col(y)))
+        at = at.withColumn("cell", 2 * F.col("cell") + F.ntile(2).over(w.orderBy("along")) - 1).drop("along")
+    return at
+
+
+def _listed(box: DataFrame, index: str) -> DataFrame:
+    """(path, summary struct) from a row for each box (path, x0, x1, y0, y1, n)."""
+    return box.groupBy(OBJECT).agg(F.struct(F.sum("n").alias("n_nonnull"), F.array_sort(F.collect_list(F.struct("x0", "x1", "y0", "y1"))).alias("boxes")).alias(index))
+
+
 class BoxSet(SummaryKind):
     """Bounding boxes of the points (x, y): one, or 2, 4, 8 by halving along the longer side."""
 
@@ -241,14 +257,9 @@ class BoxSet(SummaryKind):
         return 1 if self.params["boxes"] == 1 else 2
 
     def second_pass(self, rows, first):
-        at = rows.where("c0 IS NOT NULL AND c1 IS NOT NULL").withColumn("cell", F.lit(0))
-        for _ in range(int(math.log2(self.params["boxes"]))):
-            w = Window.partitionBy(OBJECT, "cell")
-            spread = lambda c: F.max(c).over(w) - F.min(c).over(w)  # noqa: E731, B023
-            at = at.withColumn("along", F.when(spread("c0") >= spread("c1"), F.col("c0")).otherwise(F.col("c1")))
-            at = at.withColumn("cell", 2 * F.col("cell") + F.ntile(2).over(w.orderBy("along")) - 1).drop("along")
+        at = _halved(rows.where("c0 IS NOT NULL AND c1 IS NOT NULL"), "c0", "c1", self.params["boxes"])
         box = at.groupBy(OBJECT, "cell").agg(F.min("c0").alias("x0"), F.max("c0").alias("x1"), F.min("c1").alias("y0"), F.max("c1").alias("y1"), F.count("*").alias("n"))
-        return box.groupBy(OBJECT).agg(F.struct(F.sum("n").alias("n_nonnull"), F.array_sort(F.collect_list(F.struct("x0", "x1", "y0", "y1"))).alias("boxes")).alias(self.index))
+        return _listed(box, self.index)
 
     def formula_bytes(self, b, v):
         return 2 * self.params["boxes"] * b * 2
@@ -444,36 +455,49 @@ class Template(SummaryKind):
 
 
 class MetricRing(SummaryKind):
-    """Distances of all values from an origin: a value of the object itself, or one given for all objects."""
+    """Distances of all values from an origin: a value of the object itself, one given for all objects, or, of vectors, the
+    object's mean (``centroid``). The metric is one of ``distance.METRICS``, to which users add their own."""
 
     kind = "ring"
 
-    def __init__(self, column: str, metric: str = "euclid", origin: str | None = None, **params):
-        super().__init__(column, metric=metric, origin=origin, **params)
+    def __init__(self, column: str, metric: str = "euclid", origin: str | None = None, centroid: bool = False, **params):
+        if centroid and origin is not None:
+            raise ValueError("an origin is either given or the centroid")
+        super().__init__(column, metric=metric, origin=origin, **({"centroid": True} if centroid else {}), **params)
 
     @property
     def index(self):
-        return f"{super().index}__{self.params['metric']}"
+        return f"{super().index}__{self.params['metric']}" + ("__centroid" if "centroid" in self.params else "")
+
+    @property
+    def metric(self) -> distance.Metric:
+        return distance.METRICS[self.params["metric"]]
 
     def aggregates(self, c):
         given = self.params["origin"]
-        return {"origin": F.min_by(c, F.xxhash64(c)) if given is None else F.first(F.expr(distance.literal(self.params["metric"], given)))}
+        if "centroid" in self.params:
+            return {}
+        return {"origin": F.min_by(c, F.xxhash64(c)) if given is None else F.first(F.expr(self.metric.literal(given)))}
 
     def second_pass(self, rows, first):
+        if "centroid" in self.params:
+            mean = rows.select(OBJECT, F.posexplode("c0").alias("pos", "x")).groupBy(OBJECT, "pos").agg(F.avg("x").alias("x"))
+            mean = mean.groupBy(OBJECT).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda p: p["x"]).alias("origin"))
+            first = first.join(mean, OBJECT, "left")
         at = rows.where("c0 IS NOT NULL").join(first.select(OBJECT, "origin"), OBJECT)
-        d = distance.expression(self.params["metric"], F.col("c0"), F.col("origin"))
+        d = F.expr(self.metric.sql("c0", "origin"))
         ring = at.groupBy(OBJECT).agg(F.min(d).cast("double").alias("dmin"), F.max(d).cast("double").alias("dmax"))
         return first.join(ring, OBJECT, "left").select(OBJECT, F.struct("n_nonnull", "origin", "dmin", "dmax").alias(self.index))
 
     def match(self, node: Node) -> Iterator[KeepTest]:
         t = node.term
-        if node.kind != "cmp" or not isinstance(t, Call) or t.name != distance.FUNCTIONS[self.params["metric"]] or len(t.args) != 2:
+        if node.kind != "cmp" or not isinstance(t, Call) or t.name != self.metric.function or len(t.args) != 2:
             return
         ref = [a for a in t.args if isinstance(a, Ref)]
         lit = [a for a in t.args if isinstance(a, Lit)]
         if len(ref) != 1 or len(lit) != 1 or ref[0].path != self.columns[0] or lit[0].value is None:
             return
-        q = distance.sql(self.params["metric"], "{s}.origin", distance.literal(self.params["metric"], lit[0].value))
+        q = self.metric.sql("{s}.origin", self.metric.literal(lit[0].value))
         r = f"cast({node.values[0].sql()} as double)"
         slack = f"1e-9D * (1 + {{s}}.dmax + abs({r}))"
         if node.op in ("<", "<=", "="):
@@ -534,18 +558,38 @@ class RangeBits(SummaryKind):
 
 
 class ShapeBoxes(SummaryKind):
-    """The rectangle around all shapes of a polygon column (array of x, y structs)."""
+    """Rectangles around the shapes of a polygon column (array of x, y structs): one around all, or 2, 4, 8 around as many
+    groups, by halving the shapes' centres along the longer side."""
 
     kind = "shapebox"
 
+    def __init__(self, column: str, boxes: int = 1, **params):
+        super().__init__(column, boxes=boxes, **params)
+
+    @property
+    def index(self):
+        return f"{super().index}__{self.params['boxes']}"
+
     def inputs(self):
         return [F.expr(f"array_{end}(transform({self.columns[0]}, p -> p.{axis}))") for axis in "xy" for end in ("min", "max")]
 
     def aggregates(self, x0, x1, y0, y1):
-        return {"x0": F.min(x0), "x1": F.max(x1), "y0": F.min(y0), "y1": F.max(y1)}
+        return {"x0": F.min(x0), "x1": F.max(x1), "y0": F.min(y0), "y1": F.max(y1)} if self.params["boxes"] == 1 else {}
+
+    def finish(self, f):
+        return {"boxes": F.array(F.struct(*(f[k].alias(k) for k in ("x0", "x1", "y0", "y1"))))}
+
+    def passes(self):
+        return 1 if self.params["boxes"] == 1 else 2
+
+    def second_pass(self, rows, first):
+        whole = rows.where("c0 IS NOT NULL AND c2 IS NOT NULL").withColumns({"mx": F.expr("c0 + (c1 - c0) / 2"), "my": F.expr("c2 + (c3 - c2) / 2")})
+        at = _halved(whole, "mx", "my", self.params["boxes"])
+        box = at.groupBy(OBJECT, "cell").agg(F.min("c0").alias("x0"), F.max("c1").alias("x1"), F.min("c2").alias("y0"), F.max("c3").alias("y1"), F.count("*").alias("n"))
+        return _listed(box, self.index)
 
     def formula_bytes(self, b, v):
-        return 4 * b
+        return 4 * self.params["boxes"] * b
 
     def match(self, node: Node) -> Iterator[KeepTest]:
         t = node.term
@@ -554,11 +598,13 @@ class ShapeBoxes(SummaryKind):
         lits = [a.value for a in t.args if isinstance(a, Lit)]
         if t.name == "st_shape_contains" and len(lits) == 2 and None not in lits:
             y, x = map(float, lits)
-            yield self.test(f"{{s}}.x0 <= {x!r}D AND {{s}}.x1 >= {x!r}D AND {{s}}.y0 <= {y!r}D AND {{s}}.y1 >= {y!r}D")
+            yield self.meeting(x, x, y, y)
         elif t.name == "st_shape_intersects" and len(lits) == 1 and lits[0]:
-            ring = geo.ring_of(lits[0])
-            xs, ys = [p[0] for p in ring], [p[1] for p in ring]
-            yield self.test(f"{{s}}.x0 <= {max(xs)!r}D AND {{s}}.x1 >= {min(xs)!r}D AND {{s}}.y0 <= {max(ys)!r}D AND {{s}}.y1 >= {min(ys)!r}D")
+            xs, ys = zip(*geo.ring_of(lits[0]), strict=True)
+            yield self.meeting(min(xs), max(xs), min(ys), max(ys))
+
+    def meeting(self, x0: float, x1: float, y0: float, y1: float) -> SummaryTest:
+        return self.test(f"exists({{s}}.boxes, b -> b.x0 <= {x1!r}D AND b.x1 >= {x0!r}D AND b.y0 <= {y1!r}D AND b.y1 >= {y0!r}D)")
 
 
 class ArrowSummaryKind(SummaryKind):

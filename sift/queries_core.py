@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from sift import workloads as W
 from sift.cases import lake_sql, query
+from sift.functions import distance
 from sift.functions.geo import contains_sql, ring_of
 from sift.operators import build, joins, report, selection
 from sift.operators.baselines import ideal_objects, inverted_index, rewrite_with_bounds, without_skipping
@@ -413,6 +414,18 @@ _D2 = "list_sum(list_transform(range(1, 65), lambda i: (CAST(v.embedding[i] AS D
 _D1 = "list_sum(list_transform(range(1, 65), lambda i: abs(CAST(v.embedding[i] AS DOUBLE) - CAST(q[i] AS DOUBLE))))"
 _vectors_near("ring_euclid", "euclid", "<", 1.1, f"SELECT vec_id, label {_PAIR} WHERE sqrt({_D2}) < 1.1")
 _vectors_near("ring_manhattan", "manhattan", "<=", 7.5, f"SELECT vec_id, label {_PAIR} WHERE {_D1} <= 7.5")
+
+
+@query("ring_centroid", f"SELECT vec_id, label {_PAIR} WHERE sqrt({_D2}) < 1.1")
+def ring_centroid(spark, sf_dir):
+    """Rings around the mean vector of each object."""
+    x = W.session(spark, sf_dir, "vectors").lakes["vectors"]
+    s, store, kinds = SiftSession(spark), ParquetSummaryStore(spark, scratch_path(spark, "centroid")), [MetricRing("embedding", "euclid", centroid=True)]
+    build.build_summaries(spark, x.source, kinds, store)
+    s.add("vectors", x.source, store, kinds)
+    return s.sql(f"SELECT vec_id, label FROM vectors WHERE euclid_distance(embedding, '{_vector(spark, sf_dir)}') < 1.1")
+
+
 _vectors_near("ring_cosine", "euclid", "<=", (2 - 2 * 0.3) ** 0.5, f"SELECT vec_id, label {_PAIR} WHERE sqrt({_D2}) <= {(2 - 2 * 0.3) ** 0.5!r}")
 _vectors_near("ring_farther", "euclid", ">", 1.6, f"SELECT vec_id, label {_PAIR} WHERE sqrt({_D2}) > 1.6")
 _alone("ring_levenshtein", MetricRing, "parts", "SELECT p_partkey, p_name FROM parts WHERE levenshtein(p_name, 'red widgets') <= 2")
@@ -427,6 +440,37 @@ def ring_content(spark, sf_dir):
     return at.groupBy("obj").agg(F.count_if(F.expr(f"NOT levenshtein(p_name, {i}.origin) BETWEEN {i}.dmin AND {i}.dmax")).cast("int").alias("outside"))
 
 
+_WORDS = "array_distinct(split({}, ' '))"
+
+
+def _jaccard(a: str, b: str) -> str:
+    x, y = _WORDS.format(a), _WORDS.format(b)
+    return f"(1D - size(array_intersect({x}, {y})) / cast(size(array_union({x}, {y})) as double))"
+
+
+def word_distance(spark) -> None:
+    """A user's metric: jaccard_distance(text, text) of the sets of words, opaque to the optimizer."""
+
+    @F.pandas_udf("double")
+    def jaccard_distance(a: pd.Series, b: pd.Series) -> pd.Series:
+        sets = [(set(x.split(" ")), set(y.split(" "))) if x is not None and y is not None else None for x, y in zip(a, b, strict=True)]
+        return pd.Series([None if s is None else 1 - len(s[0] & s[1]) / len(s[0] | s[1]) for s in sets], index=a.index, dtype=float)
+
+    spark.udf.register("jaccard_distance", jaccard_distance)
+    distance.add_metric("jaccard", "jaccard_distance", _jaccard)
+
+
+@query("ring_user_metric", "SELECT p_partkey, p_name FROM part WHERE 1 - len(list_intersect(string_split(p_name, ' '), string_split('red widget', ' '))) / len(list_distinct(list_concat(string_split(p_name, ' '), string_split('red widget', ' ')))) < 0.7")
+def ring_user_metric(spark, sf_dir):
+    """Names near two words by a metric that the user has added."""
+    word_distance(spark)
+    x = W.session(spark, sf_dir, "parts").lakes["parts"]
+    s, store, kinds = SiftSession(spark), ParquetSummaryStore(spark, scratch_path(spark, "jaccard")), [MetricRing("p_name", "jaccard")]
+    build.build_summaries(spark, x.source, kinds, store)
+    s.add("parts", x.source, store, kinds)
+    return s.sql("SELECT p_partkey, p_name FROM parts WHERE jaccard_distance(p_name, 'red widget') < 0.7")
+
+
 # -- arrays, structs, binaries
 @query("array_contains_skip", "SELECT doc_id FROM texts WHERE list_contains(string_split(text, ' '), 'the') AND lang = 'fr'", "texts")
 def array_contains_skip(spark, sf_dir):
@@ -731,19 +775,29 @@ def layout_random_vs_kdtree(spark, sf_dir):
 
 
 # -- shapes, user-collected summaries
-@query("geo_shape_contains", "SELECT l_orderkey, l_linenumber FROM grid WHERE 12.0 >= lat - 1 AND (12.0 - (lat - 1)) <= 2 * (1 - abs(22.0 - lng)) AND abs(22.0 - lng) < 1", "grid")
-def geo_shape_contains(spark, sf_dir):
-    """A column of triangles: which hold a given point."""
+_HOLDING = "SELECT l_orderkey, l_linenumber FROM grid WHERE 12.0 >= lat - 1 AND (12.0 - (lat - 1)) <= 2 * (1 - abs(22.0 - lng)) AND abs(22.0 - lng) < 1"
+
+
+def _shapes(spark, sf_dir, boxes: int) -> SiftSession:
+    """A lake of a column of triangles, with so many rectangles an object."""
     path = scratch_path(spark, "shapes")
     W.tables(spark, sf_dir)
     spark.sql(W.READINGS).createOrReplaceTempView("raw_readings")
     shapes = spark.sql("SELECT l_orderkey, l_linenumber, array(named_struct('x', lng - 1, 'y', lat - 1), named_struct('x', lng + 1, 'y', lat - 1), named_struct('x', lng, 'y', lat + 1)) AS shape, concat_ws('-', cast(floor((lat+90)/30) as string), cast(floor((lng+180)/30) as string)) AS cell FROM raw_readings")
     write_by(shapes, path, F.col("cell"))
-    source, store, kinds = LakeSource(path), ParquetSummaryStore(spark, scratch_path(spark, "shapes-store")), [ShapeBoxes("shape")]
+    source, store, kinds = LakeSource(path), ParquetSummaryStore(spark, scratch_path(spark, "shapes-store")), [ShapeBoxes("shape", boxes)]
     build.build_summaries(spark, source, kinds, store)
     s = SiftSession(spark)
     s.add("shapes", source, store, kinds)
-    return s.sql("SELECT l_orderkey, l_linenumber FROM shapes WHERE st_shape_contains(shape, 12.0D, 22.0D)")
+    return s
+
+
+for _key, _n in (("geo_shape_contains", 1), ("geo_shape_boxes", 4)):
+
+    @query(_key, _HOLDING, "grid")
+    def _which_hold(spark, sf_dir, n=_n):
+        """Which triangles hold a given point."""
+        return _shapes(spark, sf_dir, n).sql("SELECT l_orderkey, l_linenumber FROM shapes WHERE st_shape_contains(shape, 12.0D, 22.0D)")
 
 
 class Median(ArrowSummaryKind):

@@ -6,7 +6,7 @@ from tests.oracle import duck, plain
 
 KEYS = """core_range core_and_or_not core_in_long core_join_two_lakes core_self_join core_not_in_null minmax_content minmax_footer minmax_decimal gaps_content gaps_choose_range
 gaps_choose_exact boxes_content boxes_multi geo_contains_notched geo_distance geo_not_contains bloom_in list_not_like prefix_long suffix_like head_tail_underscore hybrid_like hybrid_choice hybrid_threshold
-template_udf template_json ring_euclid ring_levenshtein struct_field_skip binary_template encrypted_with_key encrypted_without_key encrypted_wrong_key partition_by_summary refresh_after stream_index_equals_batch
+template_udf template_json ring_euclid ring_levenshtein ring_centroid ring_user_metric geo_shape_boxes struct_field_skip binary_template encrypted_with_key encrypted_without_key encrypted_wrong_key partition_by_summary refresh_after stream_index_equals_batch
 store_document store_table format_text format_csv ind_prefix ind_agent ind_geomean ind_identity select_dp select_greedy cost_model join_prune motivating_query join_asof join_range st_session st_stateful tpch_q3 udtf_explain""".split()
 
 

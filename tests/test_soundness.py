@@ -95,3 +95,37 @@ def test_scan_reads_only_kept_files(lake, spark):
     d = lake.history[-1]
     assert 0 < len(d.kept) < d.objects and scans(df)[0].files == len(d.kept)
     assert "keep" in lake.explain("SELECT s FROM odd WHERE i = 20")
+
+
+def test_rings_and_shapes_of_odd_values(spark):
+    """Rings around given, own and mean origins, a user's metric, boxes around groups of shapes; vectors of several lengths, nulls, NaN."""
+    from sift.operators.indicators import object_facts, unsound
+    from sift.operators.kinds import MetricRing, ShapeBoxes
+    from sift.queries_core import word_distance
+
+    rnd = random.Random(3)
+    rows = []
+    for o in range(10):
+        for _ in range(rnd.choice([1, 3, 9])):
+            v = [rnd.gauss(5 * o, 1) for _ in range(rnd.choice([2, 2, 2, 3]))] if o > 1 else rnd.choice([None, [], [1.0, None], [float("nan"), 1.0], [1.0, 2.0]])
+            x, y = rnd.uniform(0, 50), rnd.uniform(0, 50)
+            ring = rnd.choice([None, [], [(x, None), (x, y), (y, x)]]) if rnd.random() < 0.1 else [(x, y), (x + 3, y), (x, y + 3)]
+            rows.append((o, v, None if o == 4 else " ".join(rnd.choice("abcdefgh") + str(o // 3) for _ in range(3)), ring and [{"x": a, "y": b} for a, b in ring]))
+    path = scratch_path(spark, "rings")
+    spark.createDataFrame(rows, "o int, v array<double>, s string, shape array<struct<x:double,y:double>>").repartition("o").write.partitionBy("o").parquet(path)
+    word_distance(spark)
+    source = LakeSource(path)
+    vectors = [(f"v{k}{op}", f"euclid_distance(v, '{a},{b}') {op} {r}") for k, (a, b) in enumerate([(1, 2), (20, 21), (30, 29)]) for op, r in (("<", 2.5), ("<=", 0.0), (">", 30.0))] + [("long", "euclid_distance(v, '20,20,20') < 4")]
+    words = [(f"w{k}", f"jaccard_distance(s, '{t}') < 0.7") for k, t in enumerate(["a0 b0", "c1 d1 e1", "h3 a3"])]
+    shapes = [(f"s{k}", p) for k, p in enumerate(["st_shape_contains(shape, 10.0D, 10.0D)", "st_shape_contains(shape, 44.0D, 3.0D)", "st_shape_intersects('POLYGON((1 1, 4 1, 1 4))', shape)", "st_shape_contains(shape, 99.0D, 1.0D)"])]
+    for kind, asked in ((MetricRing("v", centroid=True), vectors), (MetricRing("v"), vectors), (MetricRing("v", origin="0,0"), vectors), (MetricRing("s", "jaccard"), words), (ShapeBoxes("shape", 4), shapes), (ShapeBoxes("shape"), shapes)):
+        store = ParquetSummaryStore(spark, scratch_path(spark, "rings-store"))
+        build_summaries(spark, source, [kind], store)
+        s = SiftSession(spark)
+        s.add("odd", source, store, [kind])
+        facts = object_facts(s, "odd", asked).persist()
+        assert not unsound(facts).collect(), kind.index
+        assert facts.where("not keep").count() > 0, kind.index
+        facts.unpersist()
+    with pytest.raises(ValueError):
+        MetricRing("v", origin="0,0", centroid=True)
