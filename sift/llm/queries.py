@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sift.llm import chunks, decontam, licenses, lm, neardup, packing, quality, reputation, secrets, tokencounts
+from sift.llm import bases, chunks, decontam, licenses, lm, neardup, packing, quality, reputation, secrets, tokencounts
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_rules": quality.op1_quality_rules,
@@ -19,9 +19,15 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_token_counts": tokencounts.op8_token_counts,
     "op9_lm_scoring": lm.op9_lm_scoring,
     "op10_simhash_near_dedup": neardup.op10_simhash_near_dedup,
+    "quality_base": bases.quality_base,
+    "secrets_base": bases.secrets_base,
+    "lm_base": bases.lm_base,
 }
 
 ORACLES: dict[str, str] = {
     "op2_url_filters": reputation.ORACLE,
     "op5_benchmark_decontamination": decontam.ORACLE,
+    "quality_base": bases.QUALITY,
+    "secrets_base": bases.SECRETS,
+    "lm_base": bases.LM,
 }
