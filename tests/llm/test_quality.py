@@ -1,6 +1,8 @@
 import re
 from collections import Counter
 
+from pyspark.sql import functions as F
+
 from sift.llm import quality
 
 
@@ -58,3 +60,16 @@ def test_no_labels(spark, tiny):
     docs = spark.read.parquet(f"{tiny}/documents.parquet")
     labels = spark.createDataFrame([(None, 1), (3, None)], "doc_id long, quality int")
     assert quality.learn_from(docs, labels) == []
+
+
+def test_held_out_labels(spark, small):
+    """Rules learnt from a part of the labels catch the bad texts of the rest, and leave its good ones."""
+    docs, labels = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
+    taught = labels.where("doc_id is not null and quality is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(270).persist()
+    rules = quality.learn_from(docs, taught)
+    rest = labels.where("quality is not null").join(taught.select("doc_id"), "doc_id", "left_anti")
+    judged = quality.judged(docs.select("doc_id", "text"), rules).join(rest, "doc_id").where("not _quality.base_failed").select("quality", "_quality.kept").collect()
+    taught.unpersist()
+    bad, good = ([r.kept for r in judged if r.quality == q] for q in (0, 1))
+    assert len(bad) >= 4 and len(good) >= 80
+    assert sum(bad) <= 0.2 * len(bad) and sum(good) >= 0.97 * len(good)
